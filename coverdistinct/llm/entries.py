@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import quality, sharding, suffixdedup, urlfilter
+from . import neardup, quality, sharding, suffixdedup, urlfilter
 from .common import table
 
 
@@ -14,6 +14,10 @@ def op1_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
     return sharding.shard_documents(table(spark, sf_dir, "documents"))
 
 
+def op2_minhash_neardup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return neardup.near_duplicates(table(spark, sf_dir, "documents"), n=3, percent=85)
+
+
 def op3_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return suffixdedup.remove_repeats(table(spark, sf_dir, "documents"))
 
@@ -27,7 +31,7 @@ def op10_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
-    f.__name__: f for f in (op1_sharding, op3_suffix_dedup, op4_url_filters, op10_quality_rules)
+    f.__name__: f for f in (op1_sharding, op2_minhash_neardup, op3_suffix_dedup, op4_url_filters, op10_quality_rules)
 }
 
 ORACLE_SQL: dict[str, str] = {"op4_url_filters": urlfilter.SQL}
