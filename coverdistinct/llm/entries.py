@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import neardup, quality, sharding, suffixdedup, urlfilter
+from . import langid, neardup, quality, sharding, suffixdedup, toxicity, urlfilter
 from .common import table
 
 
@@ -26,12 +26,20 @@ def op4_url_filters(spark: SparkSession, sf_dir: str) -> DataFrame:
     return urlfilter.judge_pages(table(spark, sf_dir, "pages"))
 
 
+def op5_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return toxicity.score_documents(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
+
+
+def op6_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return langid.identify(table(spark, sf_dir, "documents"))
+
+
 def op10_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality.rule_documents(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
 
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
-    f.__name__: f for f in (op1_sharding, op2_minhash_neardup, op3_suffix_dedup, op4_url_filters, op10_quality_rules)
+    f.__name__: f for f in (op1_sharding, op2_minhash_neardup, op3_suffix_dedup, op4_url_filters, op5_toxicity, op6_language_id, op10_quality_rules)
 }
 
 ORACLE_SQL: dict[str, str] = {"op4_url_filters": urlfilter.SQL}
