@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import langid, neardup, quality, sharding, suffixdedup, toxicity, urlfilter
+from . import langid, neardup, pii, quality, sharding, suffixdedup, toxicity, urlfilter
 from .common import table
 
 
@@ -34,12 +34,16 @@ def op6_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
     return langid.identify(table(spark, sf_dir, "documents"))
 
 
+def op9_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return pii.find_personal_data(table(spark, sf_dir, "documents"))
+
+
 def op10_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality.rule_documents(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
 
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
-    f.__name__: f for f in (op1_sharding, op2_minhash_neardup, op3_suffix_dedup, op4_url_filters, op5_toxicity, op6_language_id, op10_quality_rules)
+    f.__name__: f for f in (op1_sharding, op2_minhash_neardup, op3_suffix_dedup, op4_url_filters, op5_toxicity, op6_language_id, op9_pii, op10_quality_rules)
 }
 
 ORACLE_SQL: dict[str, str] = {"op4_url_filters": urlfilter.SQL}
