@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import langid, neardup, pii, quality, sharding, suffixdedup, toxicity, urlfilter
+from . import decontam, langid, mixing, neardup, pii, quality, sharding, suffixdedup, toxicity, urlfilter
 from .common import table
 
 
@@ -34,6 +34,14 @@ def op6_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
     return langid.identify(table(spark, sf_dir, "documents"))
 
 
+def op7_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return decontam.decontaminate(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
+
+
+def op8_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return mixing.mix(table(spark, sf_dir, "documents"))
+
+
 def op9_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
     return pii.find_personal_data(table(spark, sf_dir, "documents"))
 
@@ -43,7 +51,7 @@ def op10_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
-    f.__name__: f for f in (op1_sharding, op2_minhash_neardup, op3_suffix_dedup, op4_url_filters, op5_toxicity, op6_language_id, op9_pii, op10_quality_rules)
+    f.__name__: f for f in (op1_sharding, op2_minhash_neardup, op3_suffix_dedup, op4_url_filters, op5_toxicity, op6_language_id, op7_decontamination, op8_mixing, op9_pii, op10_quality_rules)
 }
 
 ORACLE_SQL: dict[str, str] = {"op4_url_filters": urlfilter.SQL}

@@ -13,8 +13,9 @@ keep the refinement to where it can matter:
   with one member is final and is dropped: its windows occur once.
 * An anchor's full context (68 bytes on both sides) is one identifier.  Of the
   anchors with equal context all but the first are repeats with all their windows.
-* Only the first members of buckets with several contexts go on: their windows are
-  refined to depth 100 and the first of each bucket is kept.
+* Only the first members of buckets with several contexts go on, first to the 84
+  bytes that 17 neighbouring windows share, and those that still have company to
+  the full 100 bytes; the first of each bucket is kept.
 
 Hot buckets (a passage in a third of all documents) meet a partial aggregate
 before each shuffle, and the joins back to their members are skew-split.
@@ -34,6 +35,8 @@ from .common import settle
 
 LENGTH, Q = 100, 32
 REACH = LENGTH - Q
+#: Offsets of an anchor in its window, in groups (nearest, farthest).
+GROUPS = [(0, 16), (17, 33), (34, 50), (51, 68)]
 BLOCK = 1 << 17
 _M1, _M2 = np.uint64(0x9E3779B97F4A7C15), np.uint64(0xC2B2AE3D27D4EB4F)
 
@@ -113,20 +116,36 @@ class _Block:
             out[full] = _pair(_pair(ids[64][k - 68], ids[64][k - 4]), _pair(ids[32][k + 60], ids[8][k + 92]))
         return out
 
-    def windows(self, wanted: set[tuple[int, int]]) -> Iterator[tuple[int, np.ndarray, np.ndarray, np.ndarray]]:
-        """For wanted anchors ``(row, pos)``: row, and the anchor bucket, the depth-100
-        bucket and the start of each window that the anchor stands for."""
-        ids, h = self.ids, self.ids.get(Q)
-        mark: dict[int, list[np.ndarray]] = {}
-        for j, p, pos in zip(self.anchors.tolist(), self.piece.tolist(), self.pos.tolist()):
-            if (int(self.rows[p]), pos) in wanted:
-                i0 = max(j - REACH, int(self.at[p]))
-                own = self.low[i0: min(j, len(self.low) - 1) + 1] == h[j]
-                mark.setdefault(p, []).append(i0 + np.flatnonzero(own))
-        for p, parts in mark.items():
-            i = np.unique(np.concatenate(parts))
-            if len(i):
-                yield int(self.rows[p]), self.low[i], _pair(_pair(ids[64][i], ids[32][i + 64]), ids[4][i + 96]), self.first[p] + i - self.at[p]
+    def keys(self) -> np.ndarray:
+        """Row and position of each anchor in one number."""
+        return (self.rows[self.piece].astype(np.int64) << 32) | self.pos
+
+    def cores(self, wanted: np.ndarray) -> tuple[np.ndarray, ...]:
+        """For wanted anchors (as in ``keys``) and each group of window offsets that fits
+        the document: anchor bucket, the bucket of the bytes that all windows of the
+        group share, row, position, group."""
+        pick = np.isin(self.keys(), wanted)
+        j, pos, piece, out = self.anchors[pick], self.pos[pick], self.piece[pick], []
+        for g, (near, far) in enumerate(GROUPS):
+            fits = np.maximum(near, pos + LENGTH - self.whole[piece]) <= np.minimum(far, pos)
+            k, size = j[fits] - near, near + Q + REACH - far
+            core = _pair(_pair(self.ids[64][k], self.ids[16][k + 64]), self.ids[4][k + size - 4]) if len(k) else np.zeros(0, np.uint64)
+            out.append((self.ids[Q][j[fits]], core, self.rows[piece[fits]], pos[fits], np.full(len(k), g)))
+        return tuple(np.concatenate(x) for x in zip(*out))
+
+    def windows(self, wanted: np.ndarray) -> tuple[np.ndarray, ...]:
+        """For wanted ``keys * 4 + group``: anchor bucket, depth-100 bucket, row and
+        start of each window of the group that the anchor stands for."""
+        at = []
+        for g, (near, far) in enumerate(GROUPS):
+            j = self.anchors[np.isin(self.keys() * 4 + g, wanted)]
+            i = (j[:, None] - np.arange(near, far + 1)[None, :])
+            own = (i >= 0) & (i < len(self.low))
+            own[own] = (self.low[i[own]] == np.broadcast_to(self.ids[Q][j][:, None], i.shape)[own])
+            at.append(i[own])
+        i = np.unique(np.concatenate(at))
+        ids, piece = self.ids, np.searchsorted(self.at, i, "right") - 1
+        return self.low[i], _pair(_pair(ids[64][i], ids[32][i + 64]), ids[4][i + 96]), self.rows[piece], self.first[piece] + i - self.at[piece]
 
 
 def _blocks(texts: list[bytes | None], reach: int = LENGTH) -> Iterator[_Block]:
@@ -179,16 +198,33 @@ def _find_buckets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]
                 yield _table(bucket=block.ids[Q][block.anchors])
 
 
+def _refine_cores(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    for batch in batches:
+        ids = np.asarray(batch.column("doc_id"), dtype=np.int64)
+        wanted = _row_keys(batch.column("places"))
+        for block in _blocks(_bytes(batch.column("text"))):
+            if len(block.anchors):
+                bucket, core, row, pos, group = block.cores(wanted)
+                if len(bucket):
+                    yield _table(bucket=bucket, core=core, doc_id=ids[row], pos=pos.astype(np.int32), part=group.astype(np.int32))
+
+
 def _refine_windows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for batch in batches:
         ids = np.asarray(batch.column("doc_id"), dtype=np.int64)
-        wanted = {(row, pos) for row, places in enumerate(batch.column("places").to_pylist()) for pos in places}
+        wanted = _row_keys(batch.column("places"), 4)
         for block in _blocks(_bytes(batch.column("text"))):
-            found = list(block.windows(wanted))
-            if found:
-                yield _table(bucket=np.concatenate([x[1] for x in found]), window=np.concatenate([x[2] for x in found]),
-                             doc_id=np.concatenate([np.full(len(x[1]), ids[x[0]]) for x in found]),
-                             pos=np.concatenate([x[3] for x in found]).astype(np.int32))
+            if len(block.anchors):
+                bucket, window, row, pos = block.windows(wanted)
+                if len(bucket):
+                    yield _table(bucket=bucket, window=window, doc_id=ids[row], pos=pos.astype(np.int32))
+
+
+def _row_keys(lists: pa.Array, scale: int = 1) -> np.ndarray:
+    """The numbers in each row's list, with the row's number above 32 (and ``scale``) bits."""
+    sizes = np.diff(np.asarray(lists.offsets))
+    base = np.repeat(np.arange(len(lists), dtype=np.int64) << 32, sizes) * scale
+    return base + np.asarray(lists.flatten(), dtype=np.int64)
 
 
 def cut(text: bytes, starts: list[int], ends: list[int]) -> tuple[int, int, list[tuple[int, int]], bytes]:
@@ -238,8 +274,13 @@ def repeated_intervals(docs: DataFrame) -> DataFrame:
     mixed = first.groupBy("bucket").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select("bucket")
     open_ = first.join(mixed.hint("merge"), "bucket", "left_semi").select("first.doc_id", "first.pos")
     open_ = open_.groupBy("doc_id").agg(F.collect_set("pos").alias("places"))
+    cores = settle(texts.join(open_.hint("merge"), "doc_id").select("doc_id", "text", "places").mapInArrow(
+        _refine_cores, "bucket long, core long, doc_id long, pos int, part int"), "cores")
+    live = cores.groupBy("bucket", "core").agg(F.count(F.lit(1)).alias("n")).where("n > 1").drop("n")
+    live = cores.join(live.hint("merge"), ["bucket", "core"], "left_semi").groupBy("doc_id").agg(
+        F.collect_set(F.col("pos").cast("long") * 4 + F.col("part")).alias("places"))
 
-    windows = texts.join(open_.hint("merge"), "doc_id").select("doc_id", "text", "places").mapInArrow(
+    windows = texts.join(live.hint("merge"), "doc_id").select("doc_id", "text", "places").mapInArrow(
         _refine_windows, "bucket long, window long, doc_id long, pos int")
     windows = settle(windows, "windows")
     firsts = windows.groupBy("bucket", "window").agg(F.min(place).alias("first"), F.count(F.lit(1)).alias("n")).where("n > 1").drop("n")
