@@ -1,0 +1 @@
+"""Distinct counting from sampled streams on Spark."""
