@@ -13,9 +13,10 @@ keep the refinement to where it can matter:
   with one member is final and is dropped: its windows occur once.
 * An anchor's full context (68 bytes on both sides) is one identifier.  Of the
   anchors with equal context all but the first are repeats with all their windows.
-* Only the first members of buckets with several contexts go on, first to the 84
-  bytes that 17 neighbouring windows share, and those that still have company to
-  the full 100 bytes; the first of each bucket is kept.
+* Only the first members of buckets with several contexts go on, with their 168
+  bytes: the 69 windows around each are refined to depth 100, bucket by bucket, and
+  the first of each kind is kept.  A bucket of more than ``MAX_TOGETHER`` members
+  is not brought together; its windows are counted as rows of their own.
 
 Hot buckets (a passage in a third of all documents) meet a partial aggregate
 before each shuffle, and the joins back to their members are skew-split.
@@ -35,9 +36,10 @@ from .common import settle
 
 LENGTH, Q = 100, 32
 REACH = LENGTH - Q
-#: Offsets of an anchor in its window, in groups (nearest, farthest).
-GROUPS = [(0, 16), (17, 33), (34, 50), (51, 68)]
+CONTEXT = LENGTH + REACH
 BLOCK = 1 << 17
+#: Members of a bucket that one task refines together, and rows it refines at once.
+MAX_TOGETHER, CHUNK = 1 << 16, 1 << 14
 _M1, _M2 = np.uint64(0x9E3779B97F4A7C15), np.uint64(0xC2B2AE3D27D4EB4F)
 
 
@@ -54,16 +56,16 @@ _BYTE = _byte_ids()
 def _pair(a: np.ndarray, b: np.ndarray) -> np.ndarray:
     """The bucket of two buckets."""
     x = a * _M1
-    x += (b ^ (b >> np.uint64(32))) * _M2
+    x += b * _M2
     x ^= x >> np.uint64(29)
     return x
 
 
 def refine(data: np.ndarray, depth: int) -> dict[int, np.ndarray]:
-    """Bucket identifiers of all suffixes of ``data`` at depths 1, 2, 4, .. ``depth``."""
+    """Bucket identifiers of all suffixes of ``data`` (along its last axis) at depths 1, 2, 4, .. ``depth``."""
     ids, q = {1: _BYTE[data]}, 1
-    while q < depth and len(ids[q]) > q:
-        ids[2 * q] = _pair(ids[q][:-q], ids[q][q:])
+    while q < depth and data.shape[-1] >= 2 * q:
+        ids[2 * q] = _pair(ids[q][..., :-q], ids[q][..., q:])
         q *= 2
     return ids
 
@@ -86,18 +88,16 @@ class _Block:
         self.at = np.concatenate([[0], np.cumsum(self.lens)[:-1]])
         self.first, self.lo, self.hi, self.whole = (np.array([p[k] for p in pieces]) for k in (2, 3, 4, 5))
         data = np.frombuffer(b"".join(p[1] for p in pieces), np.uint8)
-        self.ids = refine(data, 64)
-        h = self.ids.get(Q, np.zeros(0, np.uint64))
+        self.ids = refine(data, Q)
+        h = (self.ids.get(Q, np.zeros(0, np.uint64)) >> np.uint64(32)).astype(np.uint32)
         n = len(data)
         if n < LENGTH:
-            self.low = np.zeros(0, np.uint64)
             self.anchors = np.zeros(0, np.int64)
             return
-        self.low = _slide(h, REACH + 1, np.minimum)  # one per window of 100 bytes
-        ends = np.repeat(self.at + self.lens, self.lens)[: len(self.low)]
-        inside = np.arange(LENGTH, len(self.low) + LENGTH) <= ends
-        self.low = np.where(inside, self.low, np.uint64(0))
-        padded = np.concatenate([np.zeros(REACH, np.uint64), self.low, np.zeros(REACH, np.uint64)])
+        low = _slide(h, REACH + 1, np.minimum)  # one per window of 100 bytes
+        for end in (self.at + self.lens).tolist():  # windows that pass an end are none
+            low[max(end - LENGTH + 1, 0): end] = 0
+        padded = np.concatenate([np.zeros(REACH, np.uint32), low, np.zeros(REACH, np.uint32)])
         best = _slide(padded, REACH + 1, np.maximum)
         j = np.flatnonzero((best[: len(h)] == h) & (h != 0))
         piece = np.searchsorted(self.at, j, "right") - 1
@@ -113,40 +113,11 @@ class _Block:
         out = _pair(salt[self.rows[self.piece]], self.pos.astype(np.uint64))
         k = j[full]
         if len(k):
-            out[full] = _pair(_pair(ids[64][k - 68], ids[64][k - 4]), _pair(ids[32][k + 60], ids[8][k + 92]))
+            h = ids[Q]
+            left, right = _pair(_pair(h[k - 68], h[k - 36]), _pair(h[k - 4], h[k + 28])), _pair(h[k + 60], ids[8][k + 92])
+            out[full] = _pair(left, right)
         return out
 
-    def keys(self) -> np.ndarray:
-        """Row and position of each anchor in one number."""
-        return (self.rows[self.piece].astype(np.int64) << 32) | self.pos
-
-    def cores(self, wanted: np.ndarray) -> tuple[np.ndarray, ...]:
-        """For wanted anchors (as in ``keys``) and each group of window offsets that fits
-        the document: anchor bucket, the bucket of the bytes that all windows of the
-        group share, row, position, group."""
-        pick = np.isin(self.keys(), wanted)
-        j, pos, piece, out = self.anchors[pick], self.pos[pick], self.piece[pick], []
-        for g, (near, far) in enumerate(GROUPS):
-            fits = np.maximum(near, pos + LENGTH - self.whole[piece]) <= np.minimum(far, pos)
-            k, size = j[fits] - near, near + Q + REACH - far
-            core = _pair(_pair(self.ids[64][k], self.ids[16][k + 64]), self.ids[4][k + size - 4]) if len(k) else np.zeros(0, np.uint64)
-            out.append((self.ids[Q][j[fits]], core, self.rows[piece[fits]], pos[fits], np.full(len(k), g)))
-        return tuple(np.concatenate(x) for x in zip(*out))
-
-    def windows(self, wanted: np.ndarray) -> tuple[np.ndarray, ...]:
-        """For wanted ``keys * 4 + group``: anchor bucket, depth-100 bucket, row and
-        start of each window of the group that the anchor stands for."""
-        at = []
-        for g, (near, far) in enumerate(GROUPS):
-            j = self.anchors[np.isin(self.keys() * 4 + g, wanted)]
-            i = (j[:, None] - np.arange(near, far + 1)[None, :])
-            own = (i >= 0) & (i < len(self.low))
-            own[own] = (self.low[i[own]] == np.broadcast_to(self.ids[Q][j][:, None], i.shape)[own])
-            at.append(i[own])
-        i = np.unique(np.concatenate(at))
-        ids, piece = self.ids, np.searchsorted(self.at, i, "right") - 1
-        return self.low[i], _pair(_pair(ids[64][i], ids[32][i + 64]), ids[4][i + 96]), self.rows[piece], self.first[piece] + i - self.at[piece]
-
 
 def _blocks(texts: list[bytes | None], reach: int = LENGTH) -> Iterator[_Block]:
     """Whole texts in blocks of bounded size; a longer text comes in overlapping pieces."""
@@ -198,33 +169,102 @@ def _find_buckets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]
                 yield _table(bucket=block.ids[Q][block.anchors])
 
 
-def _refine_cores(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+def _cut_contexts(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """The bytes around each listed anchor, as far as its document goes."""
     for batch in batches:
-        ids = np.asarray(batch.column("doc_id"), dtype=np.int64)
-        wanted = _row_keys(batch.column("places"))
-        for block in _blocks(_bytes(batch.column("text"))):
-            if len(block.anchors):
-                bucket, core, row, pos, group = block.cores(wanted)
-                if len(bucket):
-                    yield _table(bucket=bucket, core=core, doc_id=ids[row], pos=pos.astype(np.int32), part=group.astype(np.int32))
-
+        ids, buckets, docs, places, out = batch.column("doc_id").to_pylist(), [], [], [], []
+        for i, (text, anchors) in enumerate(zip(_bytes(batch.column("text")), batch.column("anchors").to_pylist())):
+            for a in anchors:
+                buckets.append(a["bucket"])
+                docs.append(ids[i])
+                places.append(a["pos"])
+                out.append(text[max(a["pos"] - REACH, 0): a["pos"] + LENGTH])
+        for lo in range(0, len(out), 50_000):
+            part = slice(lo, lo + 50_000)
+            yield pa.RecordBatch.from_arrays([pa.array(buckets[part], pa.int64()), pa.array(docs[part], pa.int64()), pa.array(places[part], pa.int32()), pa.array(out[part], pa.binary())],
+                                             ["bucket", "doc_id", "pos", "around"])
+
+
+def _window_ids(bucket: np.ndarray, pos: np.ndarray, around: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
+    """For each row the bucket at depth 100 of its 69 windows, and which of them its document has."""
+    n = len(around)
+    data, left = np.zeros((n, CONTEXT), np.uint8), np.minimum(pos, REACH)
+    whole = np.array([len(x) == CONTEXT for x in around])
+    if whole.any():
+        data[whole] = np.frombuffer(b"".join(x for x in around if len(x) == CONTEXT), np.uint8).reshape(-1, CONTEXT)
+    for i in np.flatnonzero(~whole).tolist():
+        at = REACH - int(left[i])
+        data[i, at: at + len(around[i])] = np.frombuffer(around[i], np.uint8)
+    ids = refine(data, Q)
+    k = REACH + 1
+    h = ids[Q]
+    w = _pair(_pair(_pair(h[:, :k], h[:, 32: 32 + k]), _pair(h[:, 64: 64 + k], ids[4][:, 96: 96 + k])), bucket.view(np.uint64)[:, None])
+    starts = np.arange(k)[None, :]
+    right = np.array([len(x) for x in around]) - left - Q
+    return w, (starts >= (REACH - left)[:, None]) & (starts <= right[:, None])
+
+
+def _runs(repeats: np.ndarray, doc: np.ndarray, pos: np.ndarray) -> pa.RecordBatch:
+    """Runs of repeated windows as byte intervals."""
+    edge = np.diff(np.pad(repeats, ((0, 0), (1, 1))).astype(np.int8), axis=1)
+    row, first = np.nonzero(edge == 1)
+    _, last = np.nonzero(edge == -1)
+    start = pos[row] - REACH + first
+    return _table(doc_id=doc[row], start=start.astype(np.int32), end=(pos[row] - REACH + last - 1 + LENGTH).astype(np.int32))
+
+
+def _refine_buckets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Whole buckets, sorted by bucket, document and place: all windows but the first of their kind."""
+    held: list[tuple] = []
+    size = 0
+
+    def done(parts: list[tuple]) -> pa.RecordBatch:
+        bucket, doc, pos = (np.concatenate([p[k] for p in parts]) for k in range(3))
+        around = [x for p in parts for x in p[3]]
+        ids, fits = np.empty((len(doc), REACH + 1), np.uint64), np.empty((len(doc), REACH + 1), bool)
+        for lo in range(0, len(doc), 2048):
+            part = slice(lo, lo + 2048)
+            ids[part], fits[part] = _window_ids(bucket[part], pos[part], around[part])
+        flat = np.flatnonzero(fits)
+        keys = ids.ravel()[flat]
+        order = np.argsort(keys, kind="stable")
+        keys, flat = keys[order], flat[order]
+        again = np.zeros(ids.size, bool)
+        if len(flat):
+            # the first place of each kind; one window may be here under two anchors
+            heads = np.flatnonzero(np.concatenate([[True], keys[1:] != keys[:-1]]))
+            kind = np.repeat(np.arange(len(heads)), np.diff(np.append(heads, len(keys))))
+            row = flat // (REACH + 1)
+            start, own = pos[row] + flat % (REACH + 1), doc[row] == doc[row[heads]][kind]
+            first = np.minimum.reduceat(np.where(own, start, np.iinfo(np.int64).max), heads)
+            again[flat] = ~(own & (start == first[kind]))
+        return _runs(again.reshape(ids.shape), doc, pos)
 
-def _refine_windows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for batch in batches:
-        ids = np.asarray(batch.column("doc_id"), dtype=np.int64)
-        wanted = _row_keys(batch.column("places"), 4)
-        for block in _blocks(_bytes(batch.column("text"))):
-            if len(block.anchors):
-                bucket, window, row, pos = block.windows(wanted)
-                if len(bucket):
-                    yield _table(bucket=bucket, window=window, doc_id=ids[row], pos=pos.astype(np.int32))
-
-
-def _row_keys(lists: pa.Array, scale: int = 1) -> np.ndarray:
-    """The numbers in each row's list, with the row's number above 32 (and ``scale``) bits."""
-    sizes = np.diff(np.asarray(lists.offsets))
-    base = np.repeat(np.arange(len(lists), dtype=np.int64) << 32, sizes) * scale
-    return base + np.asarray(lists.flatten(), dtype=np.int64)
+        rows = (np.asarray(batch.column("bucket")), np.asarray(batch.column("doc_id")), np.asarray(batch.column("pos")).astype(np.int64), batch.column("around").to_pylist())
+        cuts = [0, *(np.flatnonzero(np.diff(rows[0])) + 1).tolist(), len(rows[0])]
+        for lo, hi in zip(cuts, cuts[1:]):
+            if lo == hi:
+                continue
+            if size >= CHUNK and held[-1][0][-1] != rows[0][lo]:
+                yield done(held)
+                held, size = [], 0
+            held.append(tuple(x[lo:hi] for x in rows))
+            size += hi - lo
+    if held:
+        yield done(held)
+
+
+def _spread_windows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """The windows of hot buckets, one row each."""
+    for batch in batches:
+        bucket, doc, pos = np.asarray(batch.column("bucket")), np.asarray(batch.column("doc_id")), np.asarray(batch.column("pos")).astype(np.int64)
+        around = batch.column("around").to_pylist()
+        for lo in range(0, len(doc), 2048):
+            part = slice(lo, lo + 2048)
+            ids, fits = _window_ids(bucket[part], pos[part], around[part])
+            row, at = np.nonzero(fits)
+            yield _table(bucket=bucket[part][row], window=ids[row, at], doc_id=doc[part][row], pos=(pos[part][row] - REACH + at).astype(np.int32))
 
 
 def cut(text: bytes, starts: list[int], ends: list[int]) -> tuple[int, int, list[tuple[int, int]], bytes]:
@@ -257,36 +297,38 @@ def _digest(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             ["doc_id", "n_bytes", "n_removed", "n_spans", "kept_sha256"])
 
 
-def repeated_intervals(docs: DataFrame) -> DataFrame:
+def repeated_intervals(docs: DataFrame, max_together: int = MAX_TOGETHER) -> DataFrame:
     """Byte intervals ``(doc_id, start, end)`` of ``docs`` (doc_id, text) that also start
     earlier, as lists per document; they overlap and may pass the ends of a text."""
     texts = docs.select("doc_id", "text").where("octet_length(text) >= 100 AND doc_id IS NOT NULL")
     buckets = texts.select("doc_id", "text").mapInArrow(_find_buckets, "bucket long")
     shared = settle(buckets.groupBy("bucket").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select("bucket"), "buckets")
     anchors = texts.mapInArrow(_find_anchors, "bucket long, context long, doc_id long, pos int")
-    anchors = settle(anchors.join(shared.hint("merge"), "bucket", "left_semi"), "anchors")
+    anchors = settle(anchors.join(shared.hint("shuffle_hash"), "bucket", "left_semi"), "anchors")
 
     place = F.struct("doc_id", "pos")
     first = anchors.groupBy("bucket", "context").agg(F.min(place).alias("first"))
     first = settle(first, "contexts")
-    later = anchors.join(first.hint("merge"), ["bucket", "context"]).where(place != F.col("first"))
+    later = anchors.join(first.hint("shuffle_hash"), ["bucket", "context"]).where(place != F.col("first"))
     whole = later.select("doc_id", (F.col("pos") - REACH).alias("start"), (F.col("pos") + LENGTH).alias("end"))
-    mixed = first.groupBy("bucket").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select("bucket")
-    open_ = first.join(mixed.hint("merge"), "bucket", "left_semi").select("first.doc_id", "first.pos")
-    open_ = open_.groupBy("doc_id").agg(F.collect_set("pos").alias("places"))
-    cores = settle(texts.join(open_.hint("merge"), "doc_id").select("doc_id", "text", "places").mapInArrow(
-        _refine_cores, "bucket long, core long, doc_id long, pos int, part int"), "cores")
-    live = cores.groupBy("bucket", "core").agg(F.count(F.lit(1)).alias("n")).where("n > 1").drop("n")
-    live = cores.join(live.hint("merge"), ["bucket", "core"], "left_semi").groupBy("doc_id").agg(
-        F.collect_set(F.col("pos").cast("long") * 4 + F.col("part")).alias("places"))
-
-    windows = texts.join(live.hint("merge"), "doc_id").select("doc_id", "text", "places").mapInArrow(
-        _refine_windows, "bucket long, window long, doc_id long, pos int")
-    windows = settle(windows, "windows")
-    firsts = windows.groupBy("bucket", "window").agg(F.min(place).alias("first"), F.count(F.lit(1)).alias("n")).where("n > 1").drop("n")
-    again = windows.join(firsts.hint("merge"), ["bucket", "window"]).where(place != F.col("first"))
-    part = again.select("doc_id", F.col("pos").alias("start"), (F.col("pos") + LENGTH).alias("end"))
-    spans = whole.unionByName(part).groupBy("doc_id").agg(F.collect_set(F.struct("start", "end")).alias("spans"))
+    mixed = first.groupBy("bucket").agg(F.count(F.lit(1)).alias("n")).where("n > 1")
+    open_ = first.join(mixed.hint("shuffle_hash"), "bucket").select("bucket", "n", "first.doc_id", "first.pos")
+    open_ = settle(open_, "open")
+
+    def contexts(anchors_of: DataFrame) -> DataFrame:
+        listed = anchors_of.groupBy("doc_id").agg(F.collect_list(F.struct("bucket", "pos")).alias("anchors"))
+        return texts.join(listed.hint("shuffle_hash"), "doc_id").select("doc_id", "text", "anchors").mapInArrow(
+            _cut_contexts, "bucket long, doc_id long, pos int, around binary")
+
+    together = contexts(open_.where(F.col("n") <= max_together)).repartition("bucket").sortWithinPartitions("bucket", "doc_id", "pos")
+    spans = settle(together.mapInArrow(_refine_buckets, "doc_id long, start int, end int"), "spans")
+    hot = open_.where(F.col("n") > max_together)
+    if not hot.isEmpty():
+        windows = settle(contexts(hot).mapInArrow(_spread_windows, "bucket long, window long, doc_id long, pos int"), "windows")
+        firsts = windows.groupBy("bucket", "window").agg(F.min(place).alias("first"), F.count(F.lit(1)).alias("n")).where("n > 1").drop("n")
+        again = windows.join(firsts.hint("merge"), ["bucket", "window"]).where(place != F.col("first"))
+        spans = spans.union(again.select("doc_id", F.col("pos").alias("start"), (F.col("pos") + LENGTH).alias("end")))
+    spans = whole.unionByName(spans).groupBy("doc_id").agg(F.collect_set(F.struct("start", "end")).alias("spans"))
     return settle(spans.select("doc_id", F.col("spans.start").alias("starts"), F.col("spans.end").alias("ends")), "intervals")
 
 
