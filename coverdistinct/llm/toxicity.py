@@ -21,7 +21,7 @@ from pyspark.sql import functions as F
 from .common import settle
 
 #: The classifier is fitted on at most this many labelled rows, and has at most this many features.
-TRAIN_ROWS, MAX_FEATURES, LEAST_ROWS, PREFIX = 20_000, 4096, 3, 6
+TRAIN_ROWS, MAX_FEATURES, LEAST_ROWS, PREFIX = 10_000, 4096, 3, 6
 #: Groups of interchangeable identity terms: fixed values.
 IDENTITY_TERMS = [
     ["women", "men"],
@@ -88,8 +88,13 @@ class Classifier:
         c /= c.sum()
         w, b = np.zeros(len(names), np.float32), np.float32(0)
         pw, pb = w, b
-        rate = np.float32(1.0 / (0.25 * np.average((x * x).sum(1), weights=c) + 2 * swap_penalty + 1e-3))
         n = np.float32(len(rows))
+        # a step of one over a bound of the curvature: of the loss, and of the penalty at its most pulled term
+        pull = np.zeros(len(names) + 1)
+        for (i, j), k in pulls.items():
+            pull[i] += swap_penalty * k / n
+            pull[j] += swap_penalty * k / n
+        rate = np.float32(1.0 / (0.25 * np.average((x * x).sum(1), weights=c) + 2 * pull.max() + 1e-3))
         for t in range(steps):
             m = np.float32(t / (t + 3))
             vw, vb = w + m * (w - pw), b + m * (b - pb)

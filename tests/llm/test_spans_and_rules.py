@@ -1,0 +1,227 @@
+"""Operators whose rows stand alone: url rules, personal data, quality measures, language, toxicity."""
+
+import collections
+import hashlib
+import re
+import zlib
+
+import duckdb
+import numpy as np
+import pytest
+from pyspark.sql import functions as F
+
+from coverdistinct.llm import decontam, entries, langid, pii, quality, toxicity, urlfilter
+
+DOC = "doc_id long, text string, lang string, source string, n_chars long, kept string, w string"
+TEXTS = [None, "", "  \n ", "one", "a b c d e f g h a b c d e f g h " * 4, "x" * 5000, "Éàü ß\n" * 400, "same text", "same text", "mail a.b@c-d.example.org, ip 10.0.0.1 +1 (222) 333-4444 4111 1111 1111 1111 $$"]
+
+
+@pytest.fixture(scope="module")
+def odd(spark):
+    """Nulls, empty and long texts, repeats, and extra columns with clashing names."""
+    rows = [(i, t, None if i % 3 else "en", None, None, "k", "w") for i, t in enumerate(TEXTS)] + [(None, "no id", None, None, None, None, None), (7, "same text", "en", "s", 1, "", "")]
+    return spark.createDataFrame(rows, DOC)
+
+
+@pytest.fixture(scope="module")
+def none(spark):
+    return spark.createDataFrame([], DOC)
+
+
+def test_url_rules_against_sql_and_odd_urls(spark, sf):
+    con = duckdb.connect()
+    con.execute(f"CREATE VIEW pages AS SELECT * FROM '{sf}/pages.parquet'")
+    got = sorted(map(tuple, entries.QUERIES["op4_url_filters"](spark, sf).select("page_id", "host", "path", "rule", "verdict").collect()))
+    assert got == sorted(con.execute(urlfilter.SQL).fetchall())
+    urls = [None, "", "org", "http://ORG/x", "http://a.example.org/es/", "http://example.org/en/1?x", "http://example.org/en/12/3", "http://example.org", "http://x.com/fr/#/de/", "://com/de/1", "http://xexample.org/es/a", "http://a//b"]
+    out = {r["page_id"]: (r["host"], r["path"], r["rule"], r["verdict"]) for r in urlfilter.judge_pages(spark.createDataFrame(list(enumerate(urls)), "page_id long, url string")).collect()}
+    assert out[0] == out[1] == out[2] == ("", "", None, "allow")
+    assert out[3] == ("org", "/x", "org/", "allow") and out[4][2:] == ("example.org/es/", "block") and out[5][1:] == ("/en/1", "example.org/en/1", "block")
+    assert out[6][3] == "block" and out[7] == ("example.org", "", None, "allow") and out[8][2] == "com/fr/" and out[9][2:] == ("com/de/", "block") and out[10][2] == "org/"
+
+
+def test_trie_agrees_with_trying_every_rule():
+    rng = np.random.default_rng(3)
+    labels, parts = ["a", "b", "cc", "org"], ["x", "y", "xy", ""]
+    pick = lambda xs, n: [xs[i] for i in rng.integers(0, len(xs), n)]
+    rules = [(pick(["allow", "block"], 1)[0], ".".join(pick(labels, rng.integers(1, 4))), "/" + "/".join(pick(parts, rng.integers(1, 3)))) for _ in range(60)]
+    trie = urlfilter.RuleTrie(rules)
+    for _ in range(2000):
+        host, path = ".".join(pick(labels, rng.integers(1, 5))), "/" + "/".join(pick(parts, rng.integers(1, 4)))
+        fits = [(len(h) + len(p), v == "block", h + p, v) for v, h, p in rules if (host == h or host.endswith("." + h)) and path.startswith(p)]
+        want = max(fits)[2:] if fits else (None, "allow")
+        assert trie.match(host, path) == want
+
+
+def base_spans(t):
+    out = [(m.start(), 0, m.end()) for m in re.finditer(r"[A-Za-z0-9._%+-]+@[A-Za-z0-9-]+(\.[A-Za-z0-9-]+)+", t)]
+    out += [(m.start(), 1, m.end()) for m in re.finditer(r"[0-9]+(\.[0-9]+)(\.[0-9]+)(\.[0-9]+)", t) if all(int(x) <= 255 for x in m[0].split("."))]
+    for kind, pattern, low, high in ((2, r"[0-9]([\x20-]?[0-9])+", 12, 19), (3, r"\+[0-9][\x20().0-9-]+[0-9]", 9, 15)):
+        for m in re.finditer(pattern, t):
+            d = re.sub("[^0-9]", "", m[0])
+            if low <= len(d) <= high and (kind == 3 or sum(sum(divmod(int(c) * (1 + i % 2), 10)) for i, c in enumerate(reversed(d))) % 10 == 0):
+                out.append((m.start(), kind, m.end()))
+    return sorted(out)
+
+
+def test_personal_data_against_plain_patterns():
+    rng = np.random.default_rng(1)
+    alphabet = list("ab1203456789.@-+ ()%_\n") + ["é"]
+    for n in range(4000):
+        t = "".join(alphabet[i] for i in rng.integers(0, len(alphabet), n % 60))
+        assert [(a, pii.KINDS.index(k), b) for a, b, k in pii.base_spans(t)] == base_spans(t), t
+    pii.base_spans("a" * 200_000 + "1" * 200_000 + "@" * 1000)  # linear time
+
+
+def test_personal_data_learns_contexts(spark, odd, none):
+    rows = [(i, f"log entry token = \"{hashlib.sha1(str(i).encode()).hexdigest()}\" end") for i in range(30)] + [(100, 'then token = "short4key9" was seen'), (101, "plain short4key9 here")]
+    out = {r["doc_id"]: r for r in pii.find_personal_data(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    assert all(out[i]["n_secret"] == 1 for i in range(30)) and out[100]["n_secret"] == 1 and out[101]["n_secret"] == 0
+    a, b = map(int, out[100]["spans"].split(":")[1:])
+    assert rows[30][1][a:b] == "short4key9"
+    got = pii.find_personal_data(odd).collect()
+    assert len(got) == odd.count() and pii.find_personal_data(none).count() == 0
+    last = [r for r in got if r["doc_id"] == 9][0]
+    want = base_spans(TEXTS[9])
+    assert [last[f"n_{k}"] for k in pii.KINDS] == [sum(x[1] == i for x in want) for i in range(4)]
+    assert last["base_sha256"] == hashlib.sha256(",".join(f"{pii.KINDS[k]}:{a}:{b}" for a, k, b in want).encode()).hexdigest()
+
+
+def quality_of(t):
+    t = t or ""
+    w = re.findall("[^\x20\x09-\x0D]+", t)
+    seen = collections.Counter(tuple(w[i:i + 8]) for i in range(len(w) - 7))
+    marked = {j for i in range(len(w) - 7) if seen[tuple(w[i:i + 8])] > 1 for j in range(i, i + 8)}
+    lines = [x for x in t.split("\n") if re.search("[^\x20\x09-\x0D]", x)]
+    return len(w), sum(map(len, w)), sum(c in "#*$%&|<>" for c in t), len(lines) - len(set(lines)), len(marked)
+
+
+def test_quality_measures_against_brute_force(spark, sf, odd, none):
+    docs = spark.read.parquet(f"{sf}/documents.parquet").select("doc_id", "text", "lang").union(odd.select("doc_id", "text", "lang"))
+    texts = collections.defaultdict(list)
+    for r in docs.collect():
+        texts[r["doc_id"]].append(quality_of(r["text"]))
+    got = collections.defaultdict(list)
+    for r in quality.measures(docs).collect():
+        got[r["doc_id"]].append((r["n_words"], r["word_chars"], r["n_symbols"], r["n_dup_lines"], r["n_repeat_words"]))
+    assert {k: sorted(v) for k, v in got.items()} == {k: sorted(v) for k, v in texts.items()}
+    labels = spark.createDataFrame([], "doc_id long, quality int")
+    assert quality.rule_documents(none, labels).count() == 0
+    assert quality.rule_documents(odd, labels).where("kept AND base_failed").count() == 0
+
+
+def test_binomial_tail_and_its_guarantee(spark):
+    import math
+    for n, k, p in ((50, 0, 0.05), (200, 3, 0.05), (1000, 2, 0.004), (1000, 4, 0.004)):
+        want = sum(math.comb(n, i) * p**i * (1 - p)**(n - i) for i in range(k + 1))
+        got = spark.range(1).select(quality.binomial_tail(F.lit(k), F.lit(n), p).alias("x")).first()["x"]
+        assert got == pytest.approx(want, rel=1e-9)
+    # 5,000 good rows of which one in a hundred has many symbols: no cutoff below them stands
+    rows = spark.range(5000).select(F.col("id").alias("doc_id"), F.lit("en").alias("lang"), F.lit(100).cast("long").alias("n_words"), F.lit(400).cast("long").alias("word_chars"),
+                                    F.when(F.col("id") % 100 == 0, 250).otherwise(0).cast("long").alias("n_symbols"), F.lit(0).cast("long").alias("n_dup_lines"), F.lit(0).cast("long").alias("n_repeat_words"))
+    cut = {r["rule"]: r["cutoff"] for r in quality.cutoffs(rows, rows.select("doc_id", F.lit(1).alias("quality"))).collect()}
+    assert cut["symbols_per_word"] == 3.0 and cut["word_length"] == 12.0
+    few = quality.cutoffs(rows.limit(20), rows.select("doc_id", F.lit(1).alias("quality")))
+    assert few.count() == 0
+
+
+def test_language_codes(spark, odd, none):
+    words = {"aa": "laka mola tika sola", "bb": "whex thorp grund blist", "cc": "çéte ûlnê ôrié àvec"}
+    rng = np.random.default_rng(5)
+    rows = [(i, " ".join(rng.choice(words[k].split(), 12)), k) for i in range(300) for k in [list(words)[i % 3]]]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, lang string")
+    got = langid.identify(docs).join(docs, "doc_id").where("held_out")
+    assert got.count() > 40 and got.where("lang_pred = lang").count() == got.count()
+    out = [tuple(r) for r in langid.identify(odd).select("doc_id", "lang_pred", "score").collect()]
+    assert len(out) == odd.count() and {r[1] for r in out if r[0] in (0, 1, 2)} == {"und"} and all(0 <= r[2] <= 1 for r in out)
+    assert langid.identify(none).count() == 0
+    code = langid.codewords(12)
+    assert code.shape[0] == 12 and min((code[i] != code[j]).sum() for i in range(12) for j in range(i)) >= 3
+    assert langid.codewords(4).shape == (4, 7)
+
+
+def test_a_wrong_bit_is_corrected():
+    c = langid.Codes.fit(["aaa bbb", "ccc ddd", "eee fff", "ggg hhh"] * 5, ["a", "b", "c", "d"] * 5)
+    c.weights[:, 0] *= -1
+    c.bias[0] *= -1
+    assert c.decode(["aaa bbb", "ccc ddd", "eee fff", "ggg hhh"])[0] == ["a", "b", "c", "d"]
+
+
+def test_swap_penalty_takes_the_pull_out_of_identity_terms():
+    rng = np.random.default_rng(2)
+    rows, y = [], []
+    for i in range(600):
+        toxic = i % 3 == 0
+        group = "muslim" if (toxic and rng.random() < 0.8) or (not toxic and rng.random() < 0.2) else "christian"
+        rows.append(toxicity.features(f"the {group} person {'is a vile' if toxic and rng.random() < 0.7 else 'went'} home"))
+        y.append(int(toxic))
+    names = sorted({k for r in rows for k in r})
+    gap = []
+    for penalty in (0.0, 3.0):
+        m = toxicity.Classifier.fit(names, rows, y, swap_penalty=penalty)
+        gap.append(m.score("the muslim person went home") - m.score("the christian person went home"))
+    assert gap[0] > 0.1 and abs(gap[1]) < gap[0] / 4
+
+
+def test_toxicity_on_held_out_rows(spark, odd, none):
+    rng = np.random.default_rng(4)
+    words = [f"word{i}" for i in range(200)]
+    rows = [(i, " ".join([*rng.choice(words, 30), *(["nastyword"] * (i % 4 == 0))])) for i in range(600)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    labels = spark.createDataFrame([(i, int(i % 4 == 0)) for i in range(600)], "doc_id long, toxic int")
+    out = toxicity.score_documents(docs, labels).collect()
+    assert all(r["held_out"] == (zlib.crc32(str(r["doc_id"]).encode()) % 5 == 0) for r in out)
+    assert all(r["predicted"] == int(r["doc_id"] % 4 == 0) for r in out if r["held_out"])
+    assert toxicity.score_documents(odd, labels.limit(0)).where("predicted = 1").count() == 0
+    assert toxicity.score_documents(odd, labels).count() == odd.count() and toxicity.score_documents(none, labels).count() == 0
+
+
+def test_tiles_catch_reordered_passages():
+    item = [f"t{i}" for i in range(30)]
+    doc = ["x"] * 10 + item[20:] + ["y"] + item[:10] + ["z"] * 5 + item[10:20]
+    found = decontam.tiles(doc, item)
+    assert sorted(t[2] for t in found) == [10, 10, 10] and sum(t[2] for t in found) == 30
+    assert decontam.tiles(item[:4] * 3, item) == []
+    # the greedy choice: longest first, marked once
+    assert [t[2] for t in decontam.tiles(item[:12] + item[:8], item)] == [12]
+
+
+def tiles_slowly(a, b, least):
+    """Every pair of places, again and again."""
+    fa, fb, out = [True] * len(a), [True] * len(b), []
+    while True:
+        best = []
+        for j in range(len(b)):
+            for i in range(len(a)):
+                n = 0
+                while i + n < len(a) and j + n < len(b) and fa[i + n] and fb[j + n] and a[i + n] == b[j + n]:
+                    n += 1
+                if n >= least:
+                    best.append((-n, j, i))
+        if not best:
+            return out
+        top = min(best)[0]
+        for n, j, i in sorted(x for x in best if x[0] == top):
+            if all(fa[i:i - n]) and all(fb[j:j - n]):
+                out.append((i, j, -n))
+                fa[i:i - n], fb[j:j - n] = [False] * -n, [False] * -n
+
+
+def test_tiles_against_brute_force():
+    rng = np.random.default_rng(7)
+    for _ in range(300):
+        a, b = ([str(x) for x in rng.integers(0, 3, rng.integers(0, 25))] for _ in range(2))
+        assert decontam.tiles(a, b, 3) == tiles_slowly(a, b, 3)
+
+
+def test_decontamination(spark, odd, none):
+    item = "Alpha beta gamma delta epsilon zeta eta theta iota kappa lambda mu nu xi omicron pi"
+    bench = spark.createDataFrame([(1, item), (2, None), (3, "too short"), (4, "One two three four five six seven")], "item_id long, text string")
+    w = item.split()
+    rows = [(1, "intro " + item.upper().replace(" ", ", ") + " outro"), (2, " ".join(w[8:] + ["and"] + w[:8])), (3, " ".join(w[:6])), (4, " ".join(w[::-1])), (5, None), (6, "")]
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    out = {r["doc_id"]: r for r in decontam.decontaminate(docs, bench).collect()}
+    assert {k for k, r in out.items() if not r["kept"]} == {1, 2} and out[1]["item_id"] == 1 and out[1]["coverage"] == 1.0 and out[2]["n_tiles"] == 2
+    assert {r["doc_id"] for r in decontam.keep_uncontaminated(docs, bench).collect()} == {3, 4, 5, 6}
+    assert decontam.decontaminate(odd, bench).where("NOT kept").count() == 0 and decontam.decontaminate(none, bench).count() == 0
+    assert decontam.decontaminate(docs, bench.limit(0)).where("kept").count() == 6
