@@ -34,16 +34,18 @@ IDENTITY_TERMS = [
     ["deaf", "blind", "disabled", "autistic"],
 ]
 _WORD = re.compile(r"\w+")
+_TERMS = frozenset(t for g in IDENTITY_TERMS for t in g)
 
 
 def features(text: str) -> dict[str, float]:
     """Distinct lower-cased words of the whole text, and for each prefix of six
-    letters the logarithm of how many distinct longer words have it."""
+    letters the logarithm of how many distinct longer words have it.  Identity terms
+    have no prefixes: a swap changes the terms alone."""
     found = set(_WORD.findall(text.lower()))
     out = dict.fromkeys(found, 1.0)
     heads: dict[str, int] = {}
     for w in found:
-        if len(w) > PREFIX:
+        if len(w) > PREFIX and w not in _TERMS:
             heads[w[:PREFIX]] = heads.get(w[:PREFIX], 0) + 1
     for head, n in heads.items():
         out["^" + head] = float(np.log2(1 + n))
@@ -147,8 +149,7 @@ def train(docs: DataFrame, labels: DataFrame, swap_penalty: float = 1.0) -> Clas
     words = rows.select("toxic", F.explode(F.map_keys("f")).alias("name"))
     best = (words.groupBy("name").agg(F.sum("toxic").alias("toxic_rows"), F.count(F.lit(1)).alias("rows"))
                  .where(F.col("rows") >= LEAST_ROWS).orderBy(F.desc(chi), "name").limit(MAX_FEATURES))
-    terms = sorted({t for g in IDENTITY_TERMS for t in g})
-    names = sorted({r["name"] for r in best.collect()} | set(terms))
+    names = sorted({r["name"] for r in best.collect()} | _TERMS)
     few = _narrow(rows, names).toPandas().sort_values("doc_id")
     return Classifier.fit(names, [dict(x) for x in few["f"]], few["toxic"].tolist(), swap_penalty=swap_penalty)
 
