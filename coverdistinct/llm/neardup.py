@@ -8,10 +8,14 @@
    document enters only the lists of its rarest ``size - least_shared + 1`` values:
    a passage that a third of all documents share fills no list unless it is
    most of a document.
-3. Of a short list all pairs are candidates.  A long list (a large group of near
-   copies) is first compared with one pivot at a time; pairs that the links so far
-   already connect need no comparison, and what is left is compared block by
-   block.  No list is capped.
+3. Of a short list all pairs are candidates.  The members of long lists are listed
+   again by their full sets, where the least number of shared shingles is certain and
+   the lists hold true relatives alone.  A list that is still long (a large group
+   of near copies) gets a pivot, and each member the *difference* of its set from
+   the pivot's.  A pair in the list is linked through the pivot already, or one of the
+   two is not linked to the pivot; then they can be linked only if they share a known
+   part of their differences.  Differences are small and rare, so lists of their
+   rarest shingles give few candidates and miss none.  No list is capped.
 4. The union sketch of a pair estimates its similarity and drops hopeless pairs;
    the rest is confirmed on full sets.  Components of the confirmed links follow by
    minimum labels and pointer jumping.
@@ -26,9 +30,8 @@ from pyspark.sql import Window as W
 from .common import ascii_lower, settle, words
 
 K = 64
-#: A list up to this length is compared in full at once; a longer one by pivots and then by blocks.
+#: A list up to this length is compared in full at once; a longer one by differences from a pivot.
 SHORT = 48
-PIVOT_ROUNDS = 4
 
 
 def with_sets(docs: DataFrame, n: int) -> DataFrame:
@@ -69,6 +72,25 @@ def components(links: DataFrame) -> DataFrame:
         labels = new.select("id", "component")
 
 
+def _ranked(hits: DataFrame, owner: list[str]) -> DataFrame:
+    """Adds ``rank``, the place of a value among all ``size`` values of its owner from the
+    rarest on, and ``place``, the same among those that another owner has too."""
+    own = W.partitionBy(*owner)
+    place = F.row_number().over(own.orderBy("df", "value"))
+    return hits.withColumn("place", place.cast("long")).withColumn("rank", F.col("size") - F.count(F.lit(1)).over(own) + F.col("place"))
+
+
+def _at(x: str) -> list[Column]:
+    return [F.col(c).alias(f"{c}_{x}") for c in ("size", "rank", "place")]
+
+
+def _most_shared(x: str, y: str) -> Column:
+    """Values that two owners of this one can share: it and those before it that others
+    have, and what both have after it."""
+    before = F.least(f"place_{x}", f"place_{y}")
+    return before + F.least(F.col(f"size_{x}") - F.col(f"rank_{x}"), F.col(f"size_{y}") - F.col(f"rank_{y}"))
+
+
 class NearDuplicates:
     """One run over ``docs`` (doc_id, text); ``percent``: the least similarity, in hundredths."""
 
@@ -78,17 +100,13 @@ class NearDuplicates:
 
     def _confirm(self, pairs: DataFrame) -> DataFrame:
         """Of candidate ``pairs`` (a, b) those that the sketches do not rule out and the full sets confirm."""
-        k, s = self.sketches, self.sets
+        k = self.sketches
         side = lambda t, x, cols: t.select(F.col("id").alias(x), *[F.col(c).alias(f"{c}_{x}") for c in cols])
         hopeful = (pairs.distinct()
                    .join(side(k, "a", ["n", "sketch"]), "a").join(side(k, "b", ["n", "sketch"]), "b")
                    .where(_sketch_passes(F.col("sketch_a"), F.col("sketch_b"), F.col("n_a"), F.col("n_b"), self.similarity))
-                   .select("a", "b", "n_a", "n_b"))
-        both = F.size(F.array_intersect("s_a", "s_b"))
-        return (settle(hopeful, "hopeful").join(side(s, "a", ["s"]), "a").join(side(s, "b", ["s"]), "b")
-                .withColumn("both", both)
-                .where(100 * F.col("both") >= self.percent * (F.col("n_a") + F.col("n_b") - F.col("both")))
-                .select("a", "b"))
+                   .select("a", "b"))
+        return self._measure(settle(hopeful, "hopeful")).where(self._linked()).select("a", "b")
 
     def _alike_sizes(self, x: str, y: str) -> Column:
         return 100 * F.least(x, y) >= self.percent * F.greatest(x, y)
@@ -105,10 +123,9 @@ class NearDuplicates:
         entries = reps.select("id", "n", F.explode("sketch").alias("value"))
         shared = entries.groupBy("value").agg(F.count(F.lit(1)).alias("df")).where("df > 1")
         hits = entries.join(shared.hint("merge"), "value")
-        per_doc = W.partitionBy("id", "n")
         size = F.least("n", F.lit(K))
-        rank = size - F.count(F.lit(1)).over(per_doc) + F.row_number().over(per_doc.orderBy("df", "value"))
-        lists = hits.withColumn("rank", rank).where(F.col("rank") <= size - least_shared(F.col("n"), self.similarity) + 1).select("value", "id", "n")
+        lists = _ranked(hits.withColumn("size", size), ["id", "n"]).where(F.col("rank") <= size - least_shared(F.col("n"), self.similarity) + 1)
+        lists = lists.select("value", "id", "n", "size", "rank", "place")
         lengths = lists.groupBy("value").agg(F.count(F.lit(1)).alias("m")).where("m > 1")
         self.lists = settle(lists.join(lengths.hint("merge"), "value"), "lists")
         members = settle(self.lists.select("id").distinct(), "members")
@@ -116,56 +133,86 @@ class NearDuplicates:
         texts = self.docs.join(members.withColumnRenamed("id", "doc_id").hint("merge"), "doc_id", "left_semi")
         self.sets = settle(with_sets(texts, self.n).withColumnRenamed("doc_id", "id"), "sets")
 
-    def _short_pairs(self) -> DataFrame:
-        x = self.lists.where(F.col("m") <= SHORT)
-        y = x.select("value", F.col("id").alias("b"), F.col("n").alias("nb"))
-        return (x.select("value", F.col("id").alias("a"), F.col("n").alias("na")).join(y, "value")
-                 .where((F.col("a") < F.col("b")) & self._alike_sizes("na", "nb")).select("a", "b"))
-
-    def _labelled(self, lists: DataFrame, labels: DataFrame | None) -> DataFrame:
-        if labels is None:
-            return lists.withColumn("c", F.col("id"))
-        return lists.join(labels, "id", "left").withColumn("c", F.coalesce("component", "id")).drop("component")
-
-    def _open(self, lists: DataFrame) -> DataFrame:
-        """Without the lists whose members the links already connect."""
-        ends = lists.groupBy("value").agg(F.min("c").alias("c0"), F.max("c").alias("c1")).where("c0 <> c1").select("value")
-        return lists.join(ends, "value", "left_semi")
-
-    def _pivot_pairs(self, lists: DataFrame, turn: int) -> DataFrame:
-        pivot = lists.groupBy("value").agg(F.min(F.struct(F.xxhash64("id", F.lit(turn)).alias("h"), "id", "n", "c")).alias("p"))
-        pairs = lists.join(pivot, "value").where((F.col("c") != F.col("p.c")) & self._alike_sizes("n", "p.n"))
-        return pairs.select(F.least("id", "p.id").alias("a"), F.greatest("id", "p.id").alias("b"))
-
-    def _block_pairs(self, lists: DataFrame) -> DataFrame:
-        """All pairs of unconnected members, block against block."""
-        cells = F.ceil(F.col("m") / SHORT).cast("int")
-        cell = F.pmod(F.xxhash64("id"), cells).cast("int")
-        x = lists.withColumn("cell", cell).withColumn("other", F.explode(F.sequence(F.lit(0), cells - 1)))
-        x = x.select("value", F.least("cell", "other").alias("i"), F.greatest("cell", "other").alias("j"), "id", "n", "c")
-        y = x.select("value", "i", "j", F.col("id").alias("id2"), F.col("n").alias("n2"), F.col("c").alias("c2"))
-        return (x.join(y, ["value", "i", "j"]).where((F.col("id") < F.col("id2")) & (F.col("c") != F.col("c2")) & self._alike_sizes("n", "n2"))
-                 .select(F.col("id").alias("a"), F.col("id2").alias("b")))
+    def _measure(self, pairs: DataFrame) -> DataFrame:
+        """``(a, b, n_a, n_b, both)``: shared shingles of distinct ``pairs`` on the full sets."""
+        side = lambda x: self.sets.select(F.col("id").alias(x), F.size("s").cast("long").alias(f"n_{x}"), F.col("s").alias(f"s_{x}"))
+        return (pairs.join(side("a"), "a").join(side("b"), "b")
+                .select("a", "b", "n_a", "n_b", F.size(F.array_intersect("s_a", "s_b")).cast("long").alias("both")))
+
+    def _linked(self) -> Column:
+        return 100 * F.col("both") >= self.percent * (F.col("n_a") + F.col("n_b") - F.col("both"))
+
+    def _short_pairs(self, lists: DataFrame, sketches: bool) -> DataFrame:
+        x = lists.where(F.col("m") <= SHORT)
+        y = x.select("value", F.col("id").alias("b"), F.col("n").alias("nb"), *_at("b"))
+        need = least_shared(F.greatest("na", "nb"), self.similarity) if sketches else F.ceil(self.similarity / (1 + self.similarity) * (F.col("na") + F.col("nb")) - 1e-9)
+        return (x.select("value", F.col("id").alias("a"), F.col("n").alias("na"), *_at("a")).join(y, "value")
+                 .where((F.col("a") < F.col("b")) & self._alike_sizes("na", "nb") & (_most_shared("a", "b") >= need)).select("a", "b"))
+
+    def _full_lists(self, ids: DataFrame) -> DataFrame:
+        """Lists of the rarest shingles of the full sets of ``ids``."""
+        entries = self.sets.join(ids, "id", "left_semi").select("id", F.size("s").cast("long").alias("n"), F.explode("s").alias("value"))
+        shared = entries.groupBy("value").agg(F.count(F.lit(1)).alias("df")).where("df > 1")
+        prefix = F.col("n") - F.ceil(self.similarity * F.col("n") - 1e-9) + 1
+        lists = _ranked(entries.join(shared.hint("merge"), "value").withColumn("size", F.col("n")), ["id", "n"]).where(F.col("rank") <= prefix)
+        lists = lists.select("value", "id", "n", "size", "rank", "place")
+        lengths = lists.groupBy("value").agg(F.count(F.lit(1)).alias("m")).where("m > 1")
+        return lists.join(lengths.hint("merge"), "value")
+
+    def _differences(self, lists: DataFrame) -> DataFrame:
+        """``(pivot, id, n, np, delta)``: for each list the member that is in most lists, and
+        what every other member's set has more or less than the pivot's."""
+        often = lists.groupBy("id").agg(F.count(F.lit(1)).alias("often"))
+        pivots = lists.join(often.hint("merge"), "id").groupBy("value").agg(F.max(F.struct("often", (-F.col("id")).alias("low"), "id")).alias("p"))
+        pairs = lists.join(pivots.select("value", F.col("p.id").alias("pivot")).hint("merge"), "value").where("id <> pivot").select("pivot", "id").distinct()
+        own = self.sets.select("id", F.size("s").cast("long").alias("n"), "s")
+        base = self.sets.select(F.col("id").alias("pivot"), F.size("s").cast("long").alias("np"), F.col("s").alias("sp"))
+        delta = F.concat(F.array_except("s", "sp"), F.array_except("sp", "s"))
+        return settle(pairs.join(own, "id").join(base, "pivot").select("pivot", "id", "n", "np", delta.alias("delta")), "differences")
+
+    def _difference_pairs(self, told: DataFrame) -> DataFrame:
+        """Pairs with a member that its pivot is not linked to (a *far* one).
+
+        With c = (1 - s) / (1 + s) a link means |x ^ y| <= c (nx + ny).  The differences X, Y
+        from the pivot give |x ^ y| = |X| + |Y| - 2 |X & Y|.  For a far x, |X| > c (nx + np),
+        so a link needs |X & Y| > |Y| (1 - c) / 2, and (|X| - c (nx + np)) / 2 at least."""
+        c = (1 - self.similarity) / (1 + self.similarity)
+        size = F.size("delta").cast("long")
+        over = size - c * (F.col("n") + F.col("np"))
+        rows = told.withColumn("size", size).withColumn("far", ~self._close())
+        need = F.when(F.col("far"), F.ceil(over / 2 - 1e-9)).otherwise(F.ceil(F.col("size") * (1 - c) / 2 - 1e-9))
+        rows = rows.withColumn("room", F.col("size") - F.greatest(need, F.lit(1)) + 1)
+        entries = rows.select("pivot", "id", "n", "size", "far", "room", F.explode("delta").alias("value"))
+        shared = entries.groupBy("pivot", "value").agg(F.count(F.lit(1)).alias("df"), F.max("far").alias("any_far")).where("df > 1 AND any_far").drop("any_far")
+        # a value that no far member has, or no other member, ranks as the rarest
+        lists = _ranked(entries.join(shared.hint("merge"), ["pivot", "value"]), ["pivot", "id"]).where(F.col("rank") <= F.col("room"))
+        lists = settle(lists.select("pivot", "value", "id", "n", "far", "size", "rank", "place"), "difference-lists")
+        x = lists.where("far").select("pivot", "value", F.col("id").alias("x"), F.col("n").alias("nx"), *_at("x"))
+        y = lists.select("pivot", "value", "id", "n", "far", *_at("y"))
+        once = ~F.col("far") | (F.col("x") < F.col("id"))
+        enough = 2 * _most_shared("x", "y") >= F.col("size_x") + F.col("size_y") - c * (F.col("n") + F.col("nx")) - 1e-6
+        both = y.join(x, (y["pivot"] == x["pivot"]) & (y["value"] == x["value"]) & (F.col("id") != F.col("x")) & once & self._alike_sizes("n", "nx") & enough)
+        return both.select(F.least("x", "id").alias("a"), F.greatest("x", "id").alias("b"))
+
+    def _close(self) -> Column:
+        """A link between a member and its pivot."""
+        size = F.size("delta").cast("long")
+        return (100 + self.percent) * size <= (100 - self.percent) * (F.col("n") + F.col("np"))
 
     def run(self) -> DataFrame:
         """``(doc_id, n_shingles, component_id, kept)``, one row per row of ``docs``."""
         self._prepare()
-        links = settle(self._confirm(self._short_pairs()), "confirmed")
-        labels = None
-        long_ = self.lists.where(F.col("m") > SHORT)
+        links = settle(self._confirm(self._short_pairs(self.lists, True)), "confirmed")
+        long_ = self.lists.where(F.col("m") > SHORT).select("id").distinct()
         if not long_.isEmpty():
-            for turn in range(PIVOT_ROUNDS + 1):
-                labels = None if links.isEmpty() else components(links)
-                open_ = settle(self._open(self._labelled(long_, labels)), "open-lists")
-                if open_.isEmpty():
-                    break
-                pairs = self._pivot_pairs(open_, turn) if turn < PIVOT_ROUNDS else self._block_pairs(open_)
-                found = settle(self._confirm(pairs), "confirmed")
-                if not found.isEmpty():
-                    links = links.union(found)
-                    labels = None
-        if labels is None and not links.isEmpty():
-            labels = components(links)
+            full = settle(self._full_lists(settle(long_, "long")), "full-lists")
+            links = links.union(settle(self._confirm(self._short_pairs(full, False)), "confirmed"))
+            rest = full.where(F.col("m") > SHORT)
+            if not rest.isEmpty():
+                told = self._differences(rest)
+                links = links.union(told.where(self._close()).select(F.least("pivot", "id").alias("a"), F.greatest("pivot", "id").alias("b")))
+                links = links.union(settle(self._confirm(self._difference_pairs(told)), "confirmed"))
+        labels = None if links.isEmpty() else components(links)
         named = self.classes if labels is None else self.classes.join(labels, "id", "left")
         named = named.select("n", "u", "v", F.coalesce("component", "id").alias("component_id") if labels is not None else F.col("id").alias("component_id"))
         out = self.base.select("doc_id", "n", "u", "v").join(named.hint("merge"), ["n", "u", "v"], "left")
