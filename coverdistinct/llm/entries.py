@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import decontam, langid, mixing, neardup, pii, quality, sharding, suffixdedup, toxicity, urlfilter
+from . import decontam, langid, mixing, neardup, oracles, pii, quality, sharding, suffixdedup, toxicity, urlfilter
 from .common import table
 
 
@@ -54,4 +54,4 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     f.__name__: f for f in (op1_sharding, op2_minhash_neardup, op3_suffix_dedup, op4_url_filters, op5_toxicity, op6_language_id, op7_decontamination, op8_mixing, op9_pii, op10_quality_rules)
 }
 
-ORACLE_SQL: dict[str, str] = {"op4_url_filters": urlfilter.SQL}
+ORACLE_SQL: dict[str, str] = oracles.ORACLE_SQL

@@ -79,12 +79,12 @@ def budgets(leaves: DataFrame, share: float, epochs: int, weights: dict = WEIGHT
 def _sized(docs: DataFrame) -> DataFrame:
     source = F.coalesce(F.col("source"), F.lit(NONE))
     return docs.select("doc_id", domain(source).alias("domain"), F.coalesce(F.col("lang"), F.lit(NONE)).alias("language"),
-                       source.alias("source"), F.size(words(F.col("text"))).cast("long").alias("n_tokens"), F.crc32(F.coalesce("text", F.lit(""))).alias("crc"))
+                       source.alias("source"), F.size(words(F.col("text"))).cast("long").alias("n_tokens"))
 
 
 def _order(seed: int) -> Column:
     """The place of a row in the epoch that its leaf takes a part of."""
-    return F.md5(F.concat_ws("|", F.coalesce(F.col("doc_id").cast("string"), F.lit(NONE)), F.col("crc"), F.col("epochs"), F.lit(str(seed))))
+    return F.md5(F.concat_ws("|", F.coalesce(F.col("doc_id").cast("string"), F.lit(NONE)), F.col("n_tokens"), F.col("epochs"), F.lit(str(seed))))
 
 
 def _last_cell(rows: DataFrame, cell: Column) -> DataFrame:
