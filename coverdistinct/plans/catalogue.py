@@ -13,7 +13,7 @@ from pyspark.sql import types as T
 
 from ..functions import sqlapi, theory
 from ..functions.hashing import SPAN, hash60, threshold
-from ..operators import counters, estimators, planner, probe, sampling, spectrum
+from ..operators import counters, estimators, fused, planner, probe, sampling, spectrum
 from ..sources import streams
 from . import duck, workloads
 
@@ -321,6 +321,12 @@ def _(spark, d):
     return union([estimators.estimate_subsampled(y, 500, c, rate=0.1) for c in (counters.Exact(), counters.BottomM(500), counters.MaxTerm(500), counters.BuiltinHll(), counters.HllSketch(10), counters.Theta(12), counters.Linear(65536))])
 
 
+@query("m2_fused", duck.m2(duck.sample(S("order_key"), 0.1), 200, 500, "value_hash", 0.1))
+def _(spark, d):
+    """One scan: registers, reservoir and length folded in each task."""
+    return fused.fused(sampling.bernoulli(load(spark, d, "order_key"), 0.1), 500, counters.HyperLogLog(200), 0.1, fast=False)
+
+
 @query("m2_budgeted")
 def _(spark, d):
     x = load(spark, d, "part_key")

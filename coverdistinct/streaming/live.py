@@ -221,6 +221,11 @@ def add_queries(query, sql) -> None:
     def _(spark, d):
         return _closed(finish(window_sampled(source(spark, f"{closing(spark, d)}/*"))))
 
+    @query("w11_stream", duck.heads(duck.sample(by_week, 0.5), ["start"]))
+    def _(spark, d):
+        """A stream of which half is processed: sampled before any state is kept."""
+        return _closed(finish(window_sampled(source(spark, f"{closing(spark, d)}/*"), rate=0.5)))
+
     @query("t_window_registers", sql(f"SELECT * FROM (SELECT start, count(*) AS l FROM ({by_week}) GROUP BY ALL) JOIN ({duck.hll(by_week, 200, ['start'])}) USING (start)", "ns_hat"))
     def _(spark, d):
         return _closed(finish(window_registers(source(spark, f"{closing(spark, d)}/*"))))
