@@ -12,7 +12,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from ..functions import sqlapi, theory
-from ..functions.hashing import SPAN, hash60, threshold
+from ..functions.hashing import SPAN, hash60
 from ..operators import counters, estimators, fused, planner, probe, sampling, spectrum
 from ..sources import streams
 from . import duck, workloads

@@ -21,7 +21,7 @@ from pyspark.sql.streaming import StatefulProcessor, StatefulProcessorHandle
 from ..functions.hashing import hash60, threshold
 from ..operators.counters import HyperLogLog
 from ..plans import duck
-from ..sources.streams import STREAMS, element_stream, table
+from ..sources.streams import element_stream, table
 
 EVENT_SCHEMA = "event_id long, ts timestamp_ntz, user_id long, event_type string, value double, props string"
 
