@@ -2,6 +2,9 @@
 
 from __future__ import annotations
 
+import atexit
+import functools
+import shutil
 import uuid
 
 from pyspark.sql import Column, DataFrame, SparkSession
@@ -17,10 +20,18 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+@functools.cache
+def _own_dir() -> str:
+    """A folder for sessions without a shared one (tests on one machine); gone at exit."""
+    place = f"/tmp/checkpoints/coverdistinct-{uuid.uuid4().hex}"
+    atexit.register(shutil.rmtree, place, ignore_errors=True)
+    return f"file://{place}"
+
+
 def shared_dir(spark: SparkSession) -> str:
     """The folder all executors share, from the session; one of our own only where it is unset."""
     place = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getConf().get("spark.checkpoint.dir", None)
-    return place or "file:///tmp/checkpoints/coverdistinct"
+    return place or _own_dir()
 
 
 def settle(df: DataFrame, name: str) -> DataFrame:
