@@ -390,10 +390,11 @@ def _(spark, d):
     return _moments(spark, d)
 
 
-@query("v_expected", sql(f"SELECT stream, rate, n, n * (1 - p0) AS naive, n * (1 - p0) / (1 - p0_mass) AS sampled FROM ({_moments_sql()})", "naive sampled"))
+@query("v_expected", sql(f"SELECT stream, rate, n, 1 - p0 AS naive, (1 - p0) / (1 - p0_mass) AS sampled FROM ({_moments_sql()})", "naive sampled"))
 def _(spark, d):
+    """Expected naive and corrected estimates, as shares of n."""
     m = _moments(spark, d)
-    return m.select("stream", "rate", "n", (F.col("n") * (1 - F.col("p0"))).alias("naive"), theory.expected_estimate(F.col("n"), F.col("p0"), F.col("p0_mass")).alias("sampled"))
+    return m.select("stream", "rate", "n", (1 - F.col("p0")).alias("naive"), theory.expected_estimate(F.lit(1.0), F.col("p0"), F.col("p0_mass")).alias("sampled"))
 
 
 GRID_M = [50, 100, 150, 200, 500]

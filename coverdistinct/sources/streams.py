@@ -8,7 +8,7 @@ element.  Only the columns that the two need are read.
 from __future__ import annotations
 
 import os
-from dataclasses import dataclass, field
+from dataclasses import dataclass
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -21,15 +21,20 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
-def element_stream(df: DataFrame, element: list[Column], occ: list[Column], group_by: dict[str, Column] | None = None, null_policy: str = "skip") -> DataFrame:
+def element_stream(df: DataFrame, element: list[Column], occ: list[Column], group_by: dict[str, Column] | None = None, null_policy: str = "skip", native: bool = False) -> DataFrame:
     """``null_policy``: 'skip' leaves null elements out, as SQL's distinct count does;
-    'as_value' counts them as one value.  A composite key is null when all its parts are."""
+    'as_value' counts them as one value.  A composite key is null when all its parts are.
+    ``native`` keeps a single element in its own type and makes the occurrence a 64-bit
+    hash of its columns: no strings are built, for the fast hashes."""
     if null_policy not in ("skip", "as_value"):
         raise ValueError(null_policy)
     null = element[0].isNull()
     for c in element[1:]:
         null = null & c.isNull()
     rows = df.where(~null) if null_policy == "skip" else df
+    if native and null_policy == "skip":
+        value = element[0] if len(element) == 1 else encode(*element)
+        return rows.select(*[c.alias(k) for k, c in (group_by or {}).items()], value.alias("element"), F.xxhash64(*occ).alias("occ"))
     value = encode(*element)
     if null_policy == "as_value":
         value = F.coalesce(value, F.lit("~null"))
@@ -44,16 +49,14 @@ class Stream:
     table: str
     element: tuple[str, ...]
     occ: tuple[str, ...]
-    #: SQL of the same element and occurrence strings over ``rows``.
     tokens: bool = False
-    groups: tuple[str, ...] = field(default=())
 
-    def load(self, spark: SparkSession, sf_dir: str, group_by: dict[str, str] | None = None, null_policy: str = "skip") -> DataFrame:
+    def load(self, spark: SparkSession, sf_dir: str, group_by: dict[str, str] | None = None, null_policy: str = "skip", native: bool = False) -> DataFrame:
         df = table(spark, sf_dir, self.table)
         if self.tokens:
             df = tokens(df)
         groups = {k: F.expr(v) for k, v in (group_by or {}).items()}
-        return element_stream(df, [F.expr(e) for e in self.element], [F.expr(o) for o in self.occ], groups, null_policy)
+        return element_stream(df, [F.expr(e) for e in self.element], [F.expr(o) for o in self.occ], groups, null_policy, native)
 
 
 def tokens(df: DataFrame, text: str = "text") -> DataFrame:
@@ -83,12 +86,12 @@ STREAMS = {s.name: s for s in (
 )}
 
 
-def load(spark: SparkSession, sf_dir: str, name: str, group_by: dict[str, str] | None = None, null_policy: str = "skip") -> DataFrame:
+def load(spark: SparkSession, sf_dir: str, name: str, group_by: dict[str, str] | None = None, null_policy: str = "skip", native: bool = False) -> DataFrame:
     s = STREAMS[name]
     if name == "host":
         df = table(spark, sf_dir, "pages").select("page_id", F.regexp_extract("url", "^[a-z]+://([^/?#]+)", 1).alias("host"))
         return element_stream(df, [F.col("host")], [F.col("page_id")], {k: F.expr(v) for k, v in (group_by or {}).items()}, null_policy)
-    return s.load(spark, sf_dir, group_by, null_policy)
+    return s.load(spark, sf_dir, group_by, null_policy, native)
 
 
 #: Column kinds that can be elements; a map is hashed as its sorted entries.
