@@ -60,7 +60,8 @@ class HyperLogLog:
 
     def state(self, sample, group_by=()):
         b, r = self.registers(F.col("element"))
-        return sample.groupBy(*group_by, b.alias("bucket")).agg(F.max(r).alias("rank"))
+        # both in one projection, so that the digest they share is computed once
+        return sample.select(*group_by, b.alias("bucket"), r.alias("rank")).groupBy(*group_by, "bucket").agg(F.max("rank").alias("rank"))
 
     def merge(self, a, b):
         keys = [c for c in a.columns if c != "rank"]
