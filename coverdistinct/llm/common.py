@@ -14,6 +14,8 @@ UPPER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ"
 LOWER = UPPER.lower()
 #: Six ASCII white-space characters: the separators of the word contract.
 SPACE = " \t\n\x0b\x0c\r"
+#: Characters of scripts written without spaces (Thai, Lao, Myanmar, Khmer, kana, Han), for a class of ``re``.
+UNSPACED = "\u0e00-\u0eff\u1000-\u109f\u1780-\u17ff\u3005-\u3007\u3040-\u30ff\u31f0-\u31ff\u3400-\u4dbf\u4e00-\u9fff\uf900-\ufaff\uff66-\uff9f\U00020000-\U0003ffff"
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:

@@ -1,28 +1,32 @@
 """Personal data: fixed patterns first, then bootstrapped contextual extraction.
 
 The fixed patterns find emails, IP addresses, card and phone numbers.  They, and a
-few shapes of credentials, are the seeds.  Around every identifier-like token (one
-with a digit that is not a plain short number) stands a lexical pattern: what is
-glued to its front and up to two words before, identifiers blurred, and the class of
-the token.  Patterns and instances form a bipartite graph that Spark scores in turns:
+few shapes of credentials, are the seeds.  A word between blanks may hold many
+identifier-like values (runs of value characters with a digit, ``=`` at their end
+being padding); around each stands a lexical pattern: what is glued to its front, back
+to the value before it, and up to two words or values before, identifiers blurred, and
+the class of the value.  In scripts without spaces the last two and four characters
+before the value stand for words.  Patterns and instances form a bipartite graph that Spark scores in turns:
 a pattern is as good as the mean score of its instances, shrunk by its support;
 an instance is as good as its best pattern, seeds staying at 1.  Instances of
 patterns above the bar become spans of kind ``secret``.
 
-Texts are read once; the graph holds identifier-like tokens alone.
+Texts are read once; the graph holds identifier-like values alone.
 """
 
 from __future__ import annotations
 
 import hashlib
 import re
+from bisect import bisect_left
 from collections.abc import Iterator
+from itertools import accumulate
 
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import settle
+from .common import UNSPACED, settle
 
 KINDS = ["email", "ip", "card", "phone"]
 LEARNED = "secret"
@@ -36,8 +40,12 @@ _PHONE = re.compile(r"\+[0-9][ ().0-9-]+[0-9]")
 _DIGIT = re.compile(r"[0-9]")
 #: Shapes of credentials that seed the bootstrap: fixed values.
 _SEED = re.compile(r"(?:AKIA|ghp_|sk-)[0-9A-Za-z]{16,}\Z|(?=[0-9]*[a-f])(?:[a-f]*[0-9]){4}[0-9a-f]{12,}\Z")
-_TOKEN = re.compile(r"[^\x20\x09-\x0D]*[0-9][^\x20\x09-\x0D]*")
-_VALUE = re.compile(r"""[A-Za-z0-9+/_.-]*[0-9][A-Za-z0-9+/_.-]*""")
+# a match starts where its run does, so that runs without a digit are passed once
+_TOKEN = re.compile(r"(?<![^\x20\x09-\x0D])[^\x20\x09-\x0D0-9]*+[0-9][^\x20\x09-\x0D]*")
+_VALUE = re.compile(r"(?<![A-Za-z0-9+/_.-])[A-Za-z+/_.-]*+[0-9][A-Za-z0-9+/_.-]*")
+_PADDING = re.compile(r"=++(?![A-Za-z0-9+/_.(\[{<$-])")
+_QUOTE = re.compile(r"""\\*(["'`])""")
+_NO_SPACES = re.compile(f"[{UNSPACED}]+(?=[^{UNSPACED}]*\\Z)")
 
 
 def _emails(text: str) -> list[tuple[int, int]]:
@@ -95,35 +103,61 @@ def _class(value: str) -> str:
     return f"digits{'+' if re.search('[^0-9]', value) else ''}{min(len(value), 32)}"
 
 
-def _blur(word: str) -> str:
-    """A word of the context: identifiers become one mark, the rest stays, in lower case."""
-    return "<id>" if _DIGIT.search(word) or "@" in word else word.lower()[:24]
+def _blur(word: str, keep: int = 24) -> str:
+    """A word of the context: identifiers become one mark, the rest stays, in lower case,
+    its first ``keep`` characters or its last ``-keep``."""
+    return "<id>" if _DIGIT.search(word) or "@" in word else word.lower()[:keep] if keep > 0 else word.lower()[keep:]
+
+
+def _padded(text: str, start: int, end: int, stop: int) -> int:
+    """Where the value ends with its padding: ``=`` that no value, bracket or opening quote follows."""
+    m = _PADDING.match(text, end, stop)
+    if not m:
+        return end
+    quote = _QUOTE.match(text, m.end(), stop)
+    return m.end() if not quote or text[start - 1: start] == quote[1] else end
+
+
+def _contexts(glued: str, near: list[str]) -> list[str]:
+    """What a pattern may say of the front of a value."""
+    tail = _blur(glued, -24)
+    out = [tail] if re.search("[a-z]", tail) else []
+    run = _NO_SPACES.search(glued)
+    if run:
+        out += [run[0][-k:] + _blur(glued[run.end():], -24) for k in (2, 4) if k == 2 or len(run[0]) > 2]
+    out += [" ".join([*near[-k:], tail]) for k in range(1, len(near) + 1)]
+    return out or [f"^ {tail}"]
 
 
 def candidates(text: str, base: list[tuple[int, int, str]]) -> list[tuple[int, int, str, str, bool]]:
-    """Identifier-like tokens as ``(start, end, pattern, instance, seed)``, once for each
-    of their patterns: what is glued to the front, that and one word, and two."""
+    """Identifier-like values as ``(start, end, pattern, instance, seed)``, once for each
+    of their patterns: what is glued to the front, that and one word, and two; all
+    values of a word count, and the start of the text where nothing stands before."""
     out = []
+    #: of the base spans, and of the emails among them: starts, and the furthest end so far
+    known, mails = (([x for x, _, _ in part], list(accumulate((y for _, y, _ in part), max))) for part in (base, [s for s in base if s[2] == "email"]))
+
+    def meets(spans: tuple[list[int], list[int]], start: int, end: int) -> bool:
+        n = bisect_left(spans[0], end)
+        return n > 0 and spans[1][n - 1] > start
+
     for m in _TOKEN.finditer(text):
         a, b = m.span()
-        v = _VALUE.search(text, max(a, text.rfind("=", a, b) + 1), b)
-        if not v:
-            continue
-        start, end = v.start(), v.end()
-        while end > start and text[end - 1] in ".-":
-            end -= 1
-        value = text[start:end]
-        known = any(x < b and a < y for x, y, _ in base)
-        kind = _class(text[a:b] if known else value)
-        if kind == "mixed" and len(value) < 6:
-            continue
-        seed = known or bool(_SEED.match(value))
-        glued = _blur(text[a:start]) if start > a else ""
-        near = [_blur(w) for w in text[max(0, a - 80): a].split()[-2:]]
-        if re.search("[a-z]", glued):
-            out.append((start, end, f"{kind} {glued}", value, seed))
-        for k in range(1, len(near) + 1):
-            out.append((start, end, " ".join([kind, *near[-k:], glued]), value, seed))
+        near, last = [_blur(w) for w in text[max(0, a - 80): a].split()[-2:]], a
+        for v in _VALUE.finditer(text, a, b):
+            start, bare = v.span()
+            end = _padded(text, start, bare, b)
+            if end == bare:
+                while end > start and text[end - 1] in ".-":
+                    end -= 1
+                bare = end
+            value, glued, before = text[start:end], text[last:start], near
+            near, last = [*near, "<id>"][-2:], end
+            kind = "mail" if meets(mails, start, end) else _class(text[start:bare])
+            if kind == "mixed" and bare - start < 6:
+                continue
+            seed = meets(known, start, end) or bool(_SEED.match(text, start, bare))
+            out += [(start, end, f"{kind} {c}", value, seed) for c in _contexts(glued, before)]
     return out
 
 
