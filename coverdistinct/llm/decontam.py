@@ -20,15 +20,20 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .common import UNSPACED
+
 LEAST, COVERAGE = 5, 0.5
 #: Tokens of test items that one broadcast may hold.
 BLOCK_TOKENS = 1_000_000
-_WORD = re.compile(r"\w+")
+_WORD, _NO_SPACES = re.compile(r"\w+"), re.compile(f"[{UNSPACED}]")
+_WORD_OR_SIGN = re.compile(f"[^\\W{UNSPACED}]+|(?=\\w)[{UNSPACED}]")
 _BASE, _MOD = 1_000_003, (1 << 61) - 1
 
 
 def tokens(text: str | None) -> list[str]:
-    return _WORD.findall((text or "").lower())
+    """Lower-cased words; in scripts without spaces each character is one."""
+    text = (text or "").lower()
+    return (_WORD if text.isascii() or not _NO_SPACES.search(text) else _WORD_OR_SIGN).findall(text)
 
 
 def _running(ids: list[int], size: int, free: list[bool]) -> Iterator[tuple[int, int]]:
@@ -83,34 +88,40 @@ def tiles(doc: list[str], item: list[str], least: int = LEAST) -> list[tuple[int
 
 @dataclass
 class Benchmark:
-    items: dict[int, list[str]]
+    items: list[tuple[int | None, list[str]]]
     pairs: frozenset
-    seeds: dict[tuple[str, ...], tuple[int, ...]]
+    seeds: dict[tuple[str, ...], tuple[int, ...]]  # places in items
 
     @classmethod
-    def build(cls, rows: list[tuple[int, str]], least: int = LEAST) -> Benchmark:
-        """Items under ``least`` tokens cannot be told from chance and are left out."""
-        items = {i: t for i, text in rows if i is not None and len(t := tokens(text)) >= least}
+    def build(cls, rows: list[tuple[int | None, str]], least: int = LEAST) -> Benchmark:
+        """Each row is an item, whatever its id.  Items under ``least`` tokens cannot be
+        told from chance and are left out."""
+        items = [(i, t) for i, text in dict.fromkeys(rows) if len(t := tokens(text)) >= least]
         seeds: dict[tuple[str, ...], set[int]] = {}
-        for i, t in items.items():
+        for at, (_, t) in enumerate(items):
             for k in range(len(t) - least + 1):
-                seeds.setdefault(tuple(t[k: k + least]), set()).add(i)
-        return cls(items, frozenset(p for t in items.values() for p in zip(t, t[1:])), {k: tuple(sorted(v)) for k, v in seeds.items()})
+                seeds.setdefault(tuple(t[k: k + least]), set()).add(at)
+        return cls(items, frozenset(p for _, t in items for p in zip(t, t[1:])), {k: tuple(sorted(v)) for k, v in seeds.items()})
 
-    def hits(self, text: str | None, coverage: float = COVERAGE, least: int = LEAST) -> list[tuple[int, float, int, int]]:
-        """``(item, share covered, tiles, tokens)`` of the items covered enough, best first."""
+    def hits(self, text: str | None, coverage: float = COVERAGE, least: int = LEAST) -> list[tuple[int | None, float, int, int]]:
+        """``(item, share covered, tiles, tokens)`` of the items covered enough, best
+        first, null ids last among equals; each id once, with its best row."""
         t = tokens(text)
-        if len(self.pairs.intersection(zip(t, t[1:]))) < least - 1:
+        # a seed has least - 1 pairs, counted by place, as they may be equal
+        if sum(map(self.pairs.__contains__, zip(t, t[1:]))) < least - 1:
             return []
         seen = self.seeds.keys() & set(zip(*[t[k:] for k in range(least)]))
         out = []
-        for i in {i for s in seen for i in self.seeds[s]}:
-            item = self.items[i]
+        for at in {at for s in seen for at in self.seeds[s]}:
+            i, item = self.items[at]
             found = tiles(t, item, least)
             n = sum(x[2] for x in found)
             if n >= coverage * len(item):
                 out.append((i, n / len(item), len(found), n))
-        return sorted(out, key=lambda x: (-x[1], x[0]))
+        best: dict[int | None, tuple[int | None, float, int, int]] = {}
+        for x in sorted(out, key=lambda x: (-x[1], x[0] is None, x[0] or 0, x[2], x[3])):
+            best.setdefault(x[0], x)
+        return list(best.values())
 
 
 _SCHEMA = "doc_id long, kept boolean, item_id long, coverage double, n_tiles long, n_tokens long, items array<long>"
@@ -121,7 +132,7 @@ def _blocks(benchmark: DataFrame) -> Iterator[Benchmark]:
     size = benchmark.agg(F.coalesce(F.sum(F.octet_length("text")), F.lit(0)).alias("n")).first()["n"] // 2
     n = int(size // BLOCK_TOKENS) + 1
     for k in range(n):
-        part = benchmark.where(F.pmod(F.xxhash64("item_id"), F.lit(n)) == k).select("item_id", "text")
+        part = benchmark.where(F.pmod(F.xxhash64("item_id", "text"), F.lit(n)) == k).select("item_id", "text")
         yield Benchmark.build([(r["item_id"], r["text"]) for r in part.collect()])
 
 
@@ -129,7 +140,9 @@ def decontaminate(docs: DataFrame, benchmark: DataFrame, coverage: float = COVER
     """Per row of ``docs`` (doc_id, text): doc_id, kept, and of the best covered item
     item_id, coverage, n_tiles and n_tokens (null or 0 if kept), items (all covered enough).
 
-    Null and empty texts are kept; whole texts are tiled; without test items all is kept."""
+    Null and empty texts are kept; whole texts are tiled; without test items all is kept.
+    Rows of ``benchmark`` with a null or repeated item_id are items of their own; those
+    under LEAST tokens are not looked for."""
     spark, parts = docs.sparkSession, []
     rows = docs.select("doc_id", "text")
     for index in _blocks(benchmark):

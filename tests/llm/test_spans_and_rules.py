@@ -254,3 +254,32 @@ def test_decontamination(spark, odd, none):
     assert {r["doc_id"] for r in decontam.keep_uncontaminated(docs, bench).collect()} == {3, 4, 5, 6}
     assert decontam.decontaminate(odd, bench).where("NOT kept").count() == 0 and decontam.decontaminate(none, bench).count() == 0
     assert decontam.decontaminate(docs, bench.limit(0)).where("kept").count() == 6
+
+
+def test_hits_against_brute_force():
+    rng = np.random.default_rng(11)
+    for n in range(1500):
+        words = ["no", "yes", "so"][: 1 + n % 3]
+        bench = [(None if i == 4 else i // 2, " ".join(rng.choice(words, rng.integers(3, 10)))) for i in range(5)]
+        text = " ".join(rng.choice(words, rng.integers(0, 25)))
+        want = {}
+        for i, item in bench:
+            item = item.split()
+            found = sum(x[2] for x in tiles_slowly(text.split(), item, 5))
+            if len(item) >= 5 and found >= 0.5 * len(item):
+                want[i] = max(want.get(i, 0), found / len(item))
+        got = decontam.Benchmark.build(bench).hits(text)
+        assert {x[0]: x[1] for x in got} == want and len(got) == len(want)
+        assert [x[1] for x in got] == sorted(want.values(), reverse=True)
+    index = decontam.Benchmark.build([(1, "yes no yes no yes no yes no"), (2, "no no no no no no")])
+    assert index.hits("yes no yes no yes no yes no") == [(1, 1.0, 1, 8)] and index.hits("no no no no no no")[0][:2] == (2, 1.0)
+
+
+def test_every_item_row_counts(spark):
+    assert decontam.tokens("Abc 天地玄黄，宇宙 x1 ไทย É") == ["abc", *"天地玄黄宇宙", "x1", *"ไทย", "é"]
+    item = ["one two three four five six", "red green blue black white grey", "ash oak elm fir yew box", "春眠不觉晓处处闻啼鸟"]
+    bench = spark.createDataFrame([(1, item[0]), (1, item[1]), (None, item[2]), (4, item[3])], "item_id long, text string")
+    docs = spark.createDataFrame([*enumerate(item), (4, "nothing of the kind is found in here")], "doc_id long, text string")
+    out = {r["doc_id"]: (r["kept"], r["item_id"], r["coverage"], r["items"]) for r in decontam.decontaminate(docs, bench).collect()}
+    assert out == {0: (False, 1, 1.0, [1]), 1: (False, 1, 1.0, [1]), 2: (False, None, 1.0, [None]), 3: (False, 4, 1.0, [4]), 4: (True, None, 0.0, [])}
+    assert [r["doc_id"] for r in decontam.keep_uncontaminated(docs, bench).collect()] == [4]
