@@ -7,7 +7,8 @@ longest are marked again and again, found by running Karp-Rabin hashes, until no
 the order of the tiles, so passages that were cut up and reordered are caught too.
 
 The seeds of the test items are broadcast in blocks of bounded size; a larger
-benchmark takes more blocks, each a pass over the documents.
+benchmark takes more blocks, each a pass over the documents, whose hits are merged
+by a key of the row.
 """
 
 from __future__ import annotations
@@ -15,12 +16,13 @@ from __future__ import annotations
 import re
 from collections.abc import Iterator
 from dataclasses import dataclass
+from functools import reduce
 
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import UNSPACED
+from .common import UNSPACED, settle
 
 LEAST, COVERAGE = 5, 0.5
 #: Tokens of test items that one broadcast may hold.
@@ -124,13 +126,17 @@ class Benchmark:
         return list(best.values())
 
 
-_SCHEMA = "doc_id long, kept boolean, item_id long, coverage double, n_tiles long, n_tokens long, items array<long>"
+_HIT = pa.struct([("item_id", pa.int64()), ("coverage", pa.float64()), ("n_tiles", pa.int64()), ("n_tokens", pa.int64())])
+_SCHEMA = "key long, hits array<struct<item_id:long,coverage:double,n_tiles:long,n_tokens:long>>"
 
 
-def _blocks(benchmark: DataFrame) -> Iterator[Benchmark]:
-    """Indices of at most about BLOCK_TOKENS tokens each."""
+def _n_blocks(benchmark: DataFrame) -> int:
     size = benchmark.agg(F.coalesce(F.sum(F.octet_length("text")), F.lit(0)).alias("n")).first()["n"] // 2
-    n = int(size // BLOCK_TOKENS) + 1
+    return int(size // BLOCK_TOKENS) + 1
+
+
+def _blocks(benchmark: DataFrame, n: int) -> Iterator[Benchmark]:
+    """``n`` indices of at most about BLOCK_TOKENS tokens each."""
     for k in range(n):
         part = benchmark.where(F.pmod(F.xxhash64("item_id", "text"), F.lit(n)) == k).select("item_id", "text")
         yield Benchmark.build([(r["item_id"], r["text"]) for r in part.collect()])
@@ -143,34 +149,39 @@ def decontaminate(docs: DataFrame, benchmark: DataFrame, coverage: float = COVER
     Null and empty texts are kept; whole texts are tiled; without test items all is kept.
     Rows of ``benchmark`` with a null or repeated item_id are items of their own; those
     under LEAST tokens are not looked for."""
-    spark, parts = docs.sparkSession, []
-    rows = docs.select("doc_id", "text")
-    for index in _blocks(benchmark):
+    spark, rows = docs.sparkSession, docs.select("doc_id", "text")
+
+    def found(index: Benchmark, rows: DataFrame, key: str) -> DataFrame:
         shared = spark.sparkContext.broadcast(index)
 
-        def tile(batches: Iterator[pa.RecordBatch], shared=shared) -> Iterator[pa.RecordBatch]:
+        def tile(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             for batch in batches:
-                found = [shared.value.hits(t, coverage) for t in batch.column("text").to_pylist()]
-                first = [h[0] if h else (None, 0.0, 0, 0) for h in found]
-                yield pa.RecordBatch.from_arrays(
-                    [batch.column("doc_id"), pa.array([not h for h in found], pa.bool_()), *(pa.array([f[k] for f in first], kind) for k, kind in enumerate((pa.int64(), pa.float64(), pa.int64(), pa.int64()))), pa.array([[x[0] for x in h] for h in found], pa.list_(pa.int64()))],
-                    ["doc_id", "kept", "item_id", "coverage", "n_tiles", "n_tokens", "items"])
-
-        parts.append(rows.mapInArrow(tile, _SCHEMA))
-    if len(parts) == 1:
-        return parts[0]
-    every = parts[0]
-    for p in parts[1:]:
-        every = every.union(p)
-    best = F.max(F.struct(F.col("coverage"), (-F.col("item_id")).alias("i"), "item_id", "n_tiles", "n_tokens")).alias("b")
-    return every.groupBy("doc_id").agg(F.min("kept").alias("kept"), best, F.array_sort(F.flatten(F.collect_list("items"))).alias("items")).select(
-        "doc_id", "kept", "b.item_id", "b.coverage", "b.n_tiles", "b.n_tokens", "items")
+                hits = [[dict(zip(("item_id", "coverage", "n_tiles", "n_tokens"), h)) for h in shared.value.hits(t, coverage)] for t in batch.column("text").to_pylist()]
+                yield pa.RecordBatch.from_arrays([batch.column(key), pa.array(hits, pa.list_(_HIT))], ["key", "hits"])
+
+        return rows.select(key, "text").mapInArrow(tile, _SCHEMA)
+
+    n = _n_blocks(benchmark)
+    if n == 1:
+        hits = found(next(_blocks(benchmark, n)), rows, "doc_id").withColumnRenamed("key", "doc_id")
+    else:
+        # a row's own key, so that rows that repeat an id stay rows of their own; it is fixed by the table
+        rows = settle(rows.withColumn("row", F.monotonically_increasing_id()), "documents")
+        parts = [found(index, rows, "row").where(F.size("hits") > 0) for index in _blocks(benchmark, n)]
+        merged = reduce(DataFrame.union, parts).groupBy("key").agg(F.flatten(F.collect_list("hits")).alias("hits"))
+        hits = rows.select("doc_id", F.col("row").alias("key")).join(merged.hint("merge"), "key", "left")
+    # best first, as in one block; an id whose rows are in several blocks is listed once
+    order = F.transform(F.coalesce("hits", F.array()), lambda h: F.struct((-h["coverage"]).alias("c"), h["item_id"].isNull().alias("u"), h["item_id"].alias("item_id"), h["n_tiles"].alias("n_tiles"), h["n_tokens"].alias("n_tokens")))
+    best = F.get("hits", F.lit(0))
+    return hits.select("doc_id", F.array_sort(order).alias("hits")).select(
+        "doc_id", (F.size("hits") == 0).alias("kept"), best["item_id"].alias("item_id"), F.coalesce(-best["c"], F.lit(0.0)).alias("coverage"),
+        *(F.coalesce(best[c], F.lit(0)).cast("long").alias(c) for c in ("n_tiles", "n_tokens")), F.array_distinct(F.transform("hits", lambda h: h["item_id"])).alias("items"))
 
 
 def keep_uncontaminated(docs: DataFrame, benchmark: DataFrame, coverage: float = COVERAGE) -> DataFrame:
     """``docs`` without the rows that cover a test item."""
     out, columns = docs, docs.columns
-    for index in _blocks(benchmark):
+    for index in _blocks(benchmark, _n_blocks(benchmark)):
         shared = docs.sparkSession.sparkContext.broadcast(index)
 
         @F.udf("boolean", useArrow=True)

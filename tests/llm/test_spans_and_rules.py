@@ -283,3 +283,18 @@ def test_every_item_row_counts(spark):
     out = {r["doc_id"]: (r["kept"], r["item_id"], r["coverage"], r["items"]) for r in decontam.decontaminate(docs, bench).collect()}
     assert out == {0: (False, 1, 1.0, [1]), 1: (False, 1, 1.0, [1]), 2: (False, None, 1.0, [None]), 3: (False, 4, 1.0, [4]), 4: (True, None, 0.0, [])}
     assert [r["doc_id"] for r in decontam.keep_uncontaminated(docs, bench).collect()] == [4]
+
+
+def test_blocks_change_no_row(spark, monkeypatch):
+    names = ["one", "red", "ash", "sun", "owl"]
+    item = [" ".join(f"{w}{i}" for i in range(8)) for w in names]
+    bench = spark.createDataFrame([(7, item[0]), (7, item[1]), (None, item[2]), (3, item[3]), (9, item[4])], "item_id long, text string")
+    rows = [(1, item[0]), (1, "clean"), (None, item[2]), (None, "clean"), (None, None), (2, " and ".join(item)), (2, " ".join(item[4].split()[:6]) + " " + item[3]), (1, item[0])]
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    key = lambda r: str(tuple(r))
+    one = sorted(decontam.decontaminate(docs, bench).collect(), key=key)
+    monkeypatch.setattr(decontam, "BLOCK_TOKENS", 20)
+    assert decontam._n_blocks(bench) > 2
+    assert sorted(decontam.decontaminate(docs, bench).collect(), key=key) == one
+    assert len(one) == len(rows) and sum(r["kept"] for r in one) == 3 and [3, 7, 9, None] in [r["items"] for r in one] and [3, 9] in [r["items"] for r in one]
+    assert decontam.keep_uncontaminated(docs, bench).count() == 3
