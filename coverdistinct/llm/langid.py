@@ -18,8 +18,8 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-#: The classifiers are fitted on at most this many rows of each language, and on at most so many characters of each.
-TRAIN_ROWS, TRAIN_CHARS, MAX_LANGUAGES = 700, 6000, 64
+#: The classifiers are fitted on at most this many rows of each language, and in all on so many, shared evenly, but one of each.
+TRAIN_ROWS, TRAIN_TOTAL, TRAIN_CHARS = 700, 44_800, 6000
 BITS_OF_HASH = 12
 DIM = 1 << BITS_OF_HASH
 UNDEFINED = "und"
@@ -87,7 +87,8 @@ class Codes:
             return cls([], np.zeros((0, 1)), np.zeros((0, 1)), np.zeros((DIM, 1), np.float32), np.zeros(1, np.float32))
         code = codewords(len(names))
         x = histograms(texts)
-        own = np.array([names.index(v) for v in langs])
+        place = {v: i for i, v in enumerate(names)}
+        own = np.array([place[v] for v in langs])
         y = code[own].astype(np.float32)
         share = 1.0 / np.maximum(np.bincount(own, minlength=len(names)), 1)
         weigh = (share[own] / len(names)).astype(np.float32)[:, None]
@@ -100,7 +101,8 @@ class Codes:
             pw, pb = w, b
             w, b = vw - np.float32(6) * (x.T @ g + np.float32(1e-5) * vw), vb - np.float32(6) * g.sum(0)
         margin = x @ w + b
-        trust = np.array([[np.mean(margin[own == i, j] * code[i, j] > 0) for j in range(code.shape[1])] for i in range(len(names))]) + 1e-6
+        right = margin * code[own] > 0
+        trust = np.array([right[own == i].mean(0) for i in range(len(names))]) + 1e-6
         return cls(names, code, trust / trust.sum(1, keepdims=True), w, b)
 
     def decode(self, texts: list[str]) -> tuple[list[str], np.ndarray, np.ndarray]:
@@ -108,7 +110,9 @@ class Codes:
         if not self.languages:
             return [UNDEFINED] * len(texts), np.zeros(len(texts)), np.ones(len(texts), bool)
         margin = histograms(texts) @ self.weights + self.bias
-        loss = np.stack([(np.log1p(np.exp(-np.clip(margin * self.code[i], -30, 30))) * self.trust[i]).sum(1) for i in range(len(self.languages))], 1)
+        margin = np.clip(margin.astype(float), -30, 30)
+        # the loss on each side of a bit once, then two products for all languages
+        loss = np.log1p(np.exp(-margin)) @ (self.trust * (self.code > 0)).T + np.log1p(np.exp(margin)) @ (self.trust * (self.code < 0)).T
         fit = np.exp(-4 * (loss - loss.min(1, keepdims=True)))
         fit /= fit.sum(1, keepdims=True)
         best = loss.argmin(1)
@@ -123,13 +127,17 @@ def held_out() -> Column:
 
 def train(docs: DataFrame) -> Codes:
     """Fit on rows of ``docs`` (doc_id, text, lang) that are not held out and have a
-    language: for each language the TRAIN_ROWS first in a seeded order."""
+    language: for each language, however rare, the TRAIN_ROWS first in a seeded order,
+    or its even share of TRAIN_TOTAL where there are many."""
     rows = docs.where(~held_out() & F.col("lang").isNotNull() & F.col("text").rlike(r"\p{L}"))
-    known = rows.groupBy("lang").count().orderBy(F.desc("count"), "lang").limit(MAX_LANGUAGES)
-    order = W.partitionBy("lang").orderBy(F.xxhash64("doc_id", F.lit(6)), "doc_id")
-    ids = rows.select("doc_id", "lang").withColumn("k", F.row_number().over(order)).where(F.col("k") <= TRAIN_ROWS)
-    ids = ids.join(F.broadcast(known.select("lang")), "lang", "left_semi").select("doc_id").distinct()
-    few = rows.join(F.broadcast(ids), "doc_id", "left_semi").select("doc_id", "lang", F.substring("text", 1, TRAIN_CHARS).alias("text")).toPandas()
+    n = rows.agg(F.countDistinct("lang").alias("n")).first()["n"]
+    each = max(1, min(TRAIN_ROWS, TRAIN_TOTAL // max(n, 1)))
+    rows = rows.select("doc_id", "lang", "text", F.xxhash64("text").alias("h"))
+    order = W.partitionBy("lang").orderBy(F.xxhash64("doc_id", F.lit(6)), "doc_id", "h")
+    ids = rows.select("doc_id", "lang", "h").withColumn("k", F.row_number().over(order)).where(F.col("k") <= each).drop("k").distinct()
+    ids = ids.select(F.col("doc_id").alias("i"), F.col("lang").alias("l"), F.col("h").alias("g"))
+    few = rows.join(F.broadcast(ids), F.col("doc_id").eqNullSafe(F.col("i")) & (F.col("lang") == F.col("l")) & (F.col("h") == F.col("g")), "left_semi")
+    few = few.dropDuplicates(["doc_id", "lang", "h"]).select("doc_id", "lang", F.substring("text", 1, TRAIN_CHARS).alias("text")).toPandas()
     few = few.sort_values(["doc_id", "text"])
     return Codes.fit(few["text"].tolist(), few["lang"].tolist())
 

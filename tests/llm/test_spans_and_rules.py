@@ -169,6 +169,18 @@ def test_language_codes(spark, odd, none):
     assert langid.codewords(4).shape == (4, 7)
 
 
+def test_rare_languages_are_learned(spark):
+    rng, words = np.random.default_rng(6), [["".join(np.random.default_rng(1000 * k + i).choice(list("abcdefghijklmnopqrstuvwxyz"), 6)) for i in range(5)] for k in range(80)]
+    rows = [(i, " ".join(rng.choice(words[k], 12)), f"l{k:02}") for i in range(2400) for k in [i % 80 if i < 1600 else i % 40]]
+    # a label that stands only in rows without an id
+    rows += [(None, "zzq qzz zqz", "nn")] * 4
+    docs = spark.createDataFrame(rows, "doc_id long, text string, lang string")
+    codes = langid.train(docs)
+    assert len(codes.languages) == 81
+    got = langid.identify(docs).join(docs, "doc_id").where("held_out")
+    assert got.where("lang >= 'l40'").count() > 100 and got.where("lang_pred = lang").count() >= 0.97 * got.count()
+
+
 def test_a_wrong_bit_is_corrected():
     c = langid.Codes.fit(["aaa bbb", "ccc ddd", "eee fff", "ggg hhh"] * 5, ["a", "b", "c", "d"] * 5)
     c.weights[:, 0] *= -1
