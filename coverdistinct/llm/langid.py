@@ -9,6 +9,7 @@ separates that language; a small gap to the runner-up flags ambiguity.
 from __future__ import annotations
 
 import re
+import zlib
 from collections.abc import Iterator
 from dataclasses import dataclass
 
@@ -17,9 +18,10 @@ import pandas as pd
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 #: The classifiers are fitted on at most this many rows of each language, and in all on so many, shared evenly, but one of each.
-TRAIN_ROWS, TRAIN_TOTAL, TRAIN_CHARS = 700, 44_800, 6000
+TRAIN_ROWS, TRAIN_TOTAL = 700, 44_800
 BITS_OF_HASH = 12
 DIM = 1 << BITS_OF_HASH
 UNDEFINED = "und"
@@ -81,12 +83,16 @@ class Codes:
 
     @classmethod
     def fit(cls, texts: list[str], langs: list[str], steps: int = 150) -> Codes:
+        """From texts, see ``fit_histograms``."""
+        return cls.fit_histograms(histograms(texts), langs, steps)
+
+    @classmethod
+    def fit_histograms(cls, x: np.ndarray, langs: list[str], steps: int = 150) -> Codes:
         """Logistic regression for every bit at once (Nesterov steps, ridge)."""
         names = sorted(set(langs))
         if not names:
             return cls([], np.zeros((0, 1)), np.zeros((0, 1)), np.zeros((DIM, 1), np.float32), np.zeros(1, np.float32))
         code = codewords(len(names))
-        x = histograms(texts)
         place = {v: i for i, v in enumerate(names)}
         own = np.array([place[v] for v in langs])
         y = code[own].astype(np.float32)
@@ -125,10 +131,18 @@ def held_out() -> Column:
     return F.pmod(F.crc32(F.coalesce(F.col("doc_id").cast("string"), F.lit(""))), F.lit(4)) == 2
 
 
+@F.pandas_udf(T.BinaryType())
+def packed(texts: pd.Series) -> pd.Series:
+    """Histograms, mostly zeros, as compressed bytes."""
+    texts = texts.tolist()
+    return pd.Series([zlib.compress(h.tobytes(), 1) for lo in range(0, len(texts), 256) for h in histograms(texts[lo: lo + 256])], dtype=object)
+
+
 def train(docs: DataFrame) -> Codes:
     """Fit on rows of ``docs`` (doc_id, text, lang) that are not held out and have a
     language: for each language, however rare, the TRAIN_ROWS first in a seeded order,
-    or its even share of TRAIN_TOTAL where there are many."""
+    or its even share of TRAIN_TOTAL where there are many.  Whole texts are counted by
+    the executors; the driver gets their histograms, of one size."""
     rows = docs.where(~held_out() & F.col("lang").isNotNull() & F.col("text").rlike(r"\p{L}"))
     n = rows.agg(F.countDistinct("lang").alias("n")).first()["n"]
     each = max(1, min(TRAIN_ROWS, TRAIN_TOTAL // max(n, 1)))
@@ -137,9 +151,12 @@ def train(docs: DataFrame) -> Codes:
     ids = rows.select("doc_id", "lang", "h").withColumn("k", F.row_number().over(order)).where(F.col("k") <= each).drop("k").distinct()
     ids = ids.select(F.col("doc_id").alias("i"), F.col("lang").alias("l"), F.col("h").alias("g"))
     few = rows.join(F.broadcast(ids), F.col("doc_id").eqNullSafe(F.col("i")) & (F.col("lang") == F.col("l")) & (F.col("h") == F.col("g")), "left_semi")
-    few = few.dropDuplicates(["doc_id", "lang", "h"]).select("doc_id", "lang", F.substring("text", 1, TRAIN_CHARS).alias("text")).toPandas()
-    few = few.sort_values(["doc_id", "text"])
-    return Codes.fit(few["text"].tolist(), few["lang"].tolist())
+    few = few.select("doc_id", "lang", "h", packed("text").alias("x")).dropDuplicates(["doc_id", "lang", "h"]).toPandas()
+    few = few.sort_values(["doc_id", "h"])
+    x = np.empty((len(few), DIM), np.float32)
+    for i, b in enumerate(few["x"]):
+        x[i] = np.frombuffer(zlib.decompress(b), np.float32)
+    return Codes.fit_histograms(x, few["lang"].tolist())
 
 
 def predict(docs: DataFrame, codes: Codes) -> DataFrame:

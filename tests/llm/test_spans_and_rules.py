@@ -181,6 +181,13 @@ def test_rare_languages_are_learned(spark):
     assert got.where("lang >= 'l40'").count() > 100 and got.where("lang_pred = lang").count() >= 0.97 * got.count()
 
 
+def test_whole_texts_train(spark):
+    words = {"aa": "laka mola tika sola ", "bb": "whex thorp grund blist "}
+    rows = [(i, "1234567890 " * 600 + words[k] * 900, k) for i in range(60) for k in [list(words)[i % 2]]]
+    out = langid.identify(spark.createDataFrame(rows, "doc_id long, text string, lang string")).collect()
+    assert all(r["lang_pred"] == rows[r["doc_id"]][2] for r in out)
+
+
 def test_a_wrong_bit_is_corrected():
     c = langid.Codes.fit(["aaa bbb", "ccc ddd", "eee fff", "ggg hhh"] * 5, ["a", "b", "c", "d"] * 5)
     c.weights[:, 0] *= -1
