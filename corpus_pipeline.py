@@ -17,7 +17,7 @@ MIX_SHARE = 0.9
 
 
 def language_id(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Drops documents whose language cannot be told."""
+    """Drops documents without a letter, and those in no language that the labels teach."""
     return langid.keep_identified(docs)
 
 

@@ -80,6 +80,8 @@ class Codes:
     trust: np.ndarray  # languages x bits, rows sum to 1
     weights: np.ndarray  # DIM x bits
     bias: np.ndarray
+    #: Texts with a higher loss than this are in no learned language.
+    cutoff: float = np.inf
 
     @classmethod
     def fit(cls, texts: list[str], langs: list[str], steps: int = 150) -> Codes:
@@ -109,22 +111,29 @@ class Codes:
         margin = x @ w + b
         right = margin * code[own] > 0
         trust = np.array([right[own == i].mean(0) for i in range(len(names))]) + 1e-6
-        return cls(names, code, trust / trust.sum(1, keepdims=True), w, b)
+        out = cls(names, code, trust / trust.sum(1, keepdims=True), w, b)
+        # halfway from the worst labelled row to a text that tells the bits nothing; no labelled row is above
+        worst = float(out.losses(margin).min(1).max())
+        out.cutoff = max(worst, (worst + np.log(2)) / 2)
+        return out
+
+    def losses(self, margin: np.ndarray) -> np.ndarray:
+        """One column per language: the loss on each side of a bit once, then two products."""
+        margin = np.clip(margin.astype(float), -30, 30)
+        return np.log1p(np.exp(-margin)) @ (self.trust * (self.code > 0)).T + np.log1p(np.exp(margin)) @ (self.trust * (self.code < 0)).T
 
-    def decode(self, texts: list[str]) -> tuple[list[str], np.ndarray, np.ndarray]:
-        """Languages, scores in 0..1 and whether the runner-up is near."""
+    def decode(self, texts: list[str]) -> tuple[list[str], np.ndarray, np.ndarray, np.ndarray]:
+        """Languages, scores in 0..1, whether the runner-up is near, and whether the text
+        is in a learned language at all (with none learned, any may be)."""
         if not self.languages:
-            return [UNDEFINED] * len(texts), np.zeros(len(texts)), np.ones(len(texts), bool)
-        margin = histograms(texts) @ self.weights + self.bias
-        margin = np.clip(margin.astype(float), -30, 30)
-        # the loss on each side of a bit once, then two products for all languages
-        loss = np.log1p(np.exp(-margin)) @ (self.trust * (self.code > 0)).T + np.log1p(np.exp(margin)) @ (self.trust * (self.code < 0)).T
+            return [UNDEFINED] * len(texts), np.zeros(len(texts)), np.ones(len(texts), bool), np.ones(len(texts), bool)
+        loss = self.losses(histograms(texts) @ self.weights + self.bias)
         fit = np.exp(-4 * (loss - loss.min(1, keepdims=True)))
         fit /= fit.sum(1, keepdims=True)
         best = loss.argmin(1)
         score = fit[np.arange(len(best)), best]
         second = np.sort(fit, 1)[:, -2] if fit.shape[1] > 1 else np.zeros(len(best))
-        return [self.languages[i] for i in best], score, second > 0.5 * score
+        return [self.languages[i] for i in best], score, second > 0.5 * score, loss.min(1) <= self.cutoff
 
 
 def held_out() -> Column:
@@ -160,24 +169,24 @@ def train(docs: DataFrame) -> Codes:
 
 
 def predict(docs: DataFrame, codes: Codes) -> DataFrame:
-    """Adds lang_pred, score and ambiguous to ``docs`` (text), whose other columns pass
-    through.  Texts that are null or without a letter are ``und`` with score 0; long
+    """Adds lang_pred, score, ambiguous and told to ``docs`` (text), whose other columns pass
+    through; told is whether the text is in a learned language.  Texts that are null or without a letter are ``und`` with score 0; long
     texts are counted whole.  The model has a fixed size, whatever the data."""
     shared = docs.sparkSession.sparkContext.broadcast(codes)
 
-    @F.pandas_udf("struct<lang_pred string, score double, ambiguous boolean>")
+    @F.pandas_udf("struct<lang_pred string, score double, ambiguous boolean, told boolean>")
     def decode(batches: Iterator[pd.Series]) -> Iterator[pd.DataFrame]:
         for column in batches:
             texts = [t or "" for t in column]
-            out = pd.DataFrame({"lang_pred": UNDEFINED, "score": 0.0, "ambiguous": True}, index=range(len(texts)))
+            out = pd.DataFrame({"lang_pred": UNDEFINED, "score": 0.0, "ambiguous": True, "told": False}, index=range(len(texts)))
             rows = [i for i, t in enumerate(texts) if _LETTER.search(t)]
             for lo in range(0, len(rows), 256):
                 part = rows[lo: lo + 256]
-                names, score, near = shared.value.decode([texts[i] for i in part])
-                out.loc[part, "lang_pred"], out.loc[part, "score"], out.loc[part, "ambiguous"] = names, score, near
+                names, score, near, told = shared.value.decode([texts[i] for i in part])
+                out.loc[part, "lang_pred"], out.loc[part, "score"], out.loc[part, "ambiguous"], out.loc[part, "told"] = names, score, near, told
             yield out
 
-    return docs.drop("lang_pred", "score", "ambiguous").withColumn("__p", decode("text")).select("*", "__p.lang_pred", "__p.score", "__p.ambiguous").drop("__p")
+    return docs.drop("lang_pred", "score", "ambiguous", "told").withColumn("__p", decode("text")).select("*", "__p.lang_pred", "__p.score", "__p.ambiguous", "__p.told").drop("__p")
 
 
 def identify(docs: DataFrame) -> DataFrame:
@@ -188,6 +197,10 @@ def identify(docs: DataFrame) -> DataFrame:
 
 
 def keep_identified(docs: DataFrame) -> DataFrame:
-    """``docs`` without the rows whose language cannot be told (``und``)."""
+    """``docs`` without the rows whose language cannot be told: those without a letter,
+    and those whose loss the decoder rejects.  With no label to learn from, all texts
+    with a letter stay; with one language the code has no bit that could reject."""
     codes = train(docs.select("doc_id", "text", "lang"))
-    return predict(docs, codes).where(F.col("lang_pred") != UNDEFINED).select(*docs.columns)
+    # a column of docs may have a name that predict adds
+    kept = predict(docs.select(F.struct(*docs.columns).alias("__d"), F.col("text")), codes)
+    return kept.where("told").select("__d.*")

@@ -188,6 +188,20 @@ def test_whole_texts_train(spark):
     assert all(r["lang_pred"] == rows[r["doc_id"]][2] for r in out)
 
 
+def test_texts_of_no_learned_language_are_dropped(spark):
+    words = {"aa": "laka mola tika sola", "bb": "whex thorp grund blist", "cc": "çéte ûlnê ôrié àvec"}
+    rng = np.random.default_rng(5)
+    rows = [(i, " ".join(rng.choice(words[k].split(), 12)), k) for i in range(300) for k in [list(words)[i % 3]]]
+    noise = ["".join(rng.choice(list("jqvyz "), 80)) for _ in range(8)] + ["Все люди рождаются свободными и равными", "人人生而自由"]
+    odd = [(1000 + i, t, None) for i, t in enumerate(noise)] + [(2000, "123 !", "aa"), (2001, None, "aa")]
+    docs = spark.createDataFrame(rows + odd, "doc_id long, text string, lang string")
+    kept = langid.keep_identified(docs)
+    assert kept.columns == docs.columns and sorted(r["doc_id"] for r in kept.collect()) == list(range(300))
+    # nothing to learn from: texts with a letter stay
+    bare = langid.keep_identified(docs.withColumn("lang", F.lit(None).cast("string")))
+    assert bare.count() == docs.count() - 2
+
+
 def test_a_wrong_bit_is_corrected():
     c = langid.Codes.fit(["aaa bbb", "ccc ddd", "eee fff", "ggg hhh"] * 5, ["a", "b", "c", "d"] * 5)
     c.weights[:, 0] *= -1
