@@ -18,6 +18,9 @@ keep the refinement to where it can matter:
   the first of each kind is kept.  A bucket of more than ``MAX_TOGETHER`` members
   is not brought together; its windows are counted as rows of their own.
 
+Identifiers are not compared with the bytes: a bucket and a context hold 128 bits together,
+a window 64 among those of its bucket's task.
+
 Hot buckets (a passage in a third of all documents) meet a partial aggregate
 before each shuffle, and the joins back to their members are skew-split.
 """
@@ -95,11 +98,19 @@ class _Block:
             self.anchors = np.zeros(0, np.int64)
             return
         low = _slide(h, REACH + 1, np.minimum)  # one per window of 100 bytes
+        real = np.ones(len(low), bool)
         for end in (self.at + self.lens).tolist():  # windows that pass an end are none
-            low[max(end - LENGTH + 1, 0): end] = 0
+            real[max(end - LENGTH + 1, 0): end] = False
+        low[~real] = 0
         padded = np.concatenate([np.zeros(REACH, np.uint32), low, np.zeros(REACH, np.uint32)])
         best = _slide(padded, REACH + 1, np.maximum)
-        j = np.flatnonzero((best[: len(h)] == h) & (h != 0))
+        j = np.flatnonzero(best[: len(h)] == h)
+        # 0 is the best where no window is, too: an identifier of 0 counts where one is
+        nil = np.flatnonzero(h[j] == 0)
+        if len(nil):
+            upto = np.concatenate([[0], np.cumsum(real)])
+            some = upto[np.minimum(j[nil] + 1, len(real))] > upto[np.clip(j[nil] - REACH, 0, len(real))]
+            j = np.delete(j, nil[~some])
         piece = np.searchsorted(self.at, j, "right") - 1
         pos = self.first[piece] + j - self.at[piece]
         core = (pos >= self.lo[piece]) & (pos < self.hi[piece])
