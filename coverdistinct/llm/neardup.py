@@ -11,11 +11,14 @@
 3. Of a short list all pairs are candidates.  The members of long lists are listed
    again by their full sets, where the least number of shared shingles is certain and
    the lists hold true relatives alone.  A list that is still long (a large group
-   of near copies) gets a pivot, and each member the *difference* of its set from
-   the pivot's.  A pair in the list is linked through the pivot already, or one of the
-   two is not linked to the pivot; then they can be linked only if they share a known
-   part of their differences.  Differences are small and rare, so lists of their
-   rarest shingles give few candidates and miss none.  No list is capped.
+   of near copies) gets a reference set, what most of some of its members hold, and each
+   member the *difference* of its set from it.  By the triangle inequality all members
+   with a small difference are linked to the one with the smallest; of the other pairs one
+   member is far, and then the two can be linked only if they share a known part of their
+   differences.  Differences are small and rare, so lists of their rarest shingles give few
+   candidates and miss none.  Where one of these lists has many far members (a family
+   within the family), it gets a reference of its own, and so on: the work grows with the
+   members, not with their pairs.  No list is capped.
 4. The union sketch of a pair estimates its similarity and drops hopeless pairs;
    the rest is confirmed on full sets.  Components of the confirmed links follow by
    minimum labels and pointer jumping.
@@ -30,8 +33,11 @@ from pyspark.sql import Window as W
 from .common import ascii_lower, settle, words
 
 K = 64
-#: A list up to this length is compared in full at once; a longer one by differences from a pivot.
+#: A list up to this length is compared in full at once; a longer one by differences from a reference set.
 SHORT = 48
+#: Members whose majority makes a reference (any set would be right, a good one makes small differences); turns in
+#: which lists with a common member share one; turns after which the lists that are left are compared in full.
+VOTERS, MERGED_TURNS, TURNS = 31, 3, 12
 
 
 def with_sets(docs: DataFrame, n: int) -> DataFrame:
@@ -74,21 +80,20 @@ def components(links: DataFrame) -> DataFrame:
 
 def _ranked(hits: DataFrame, owner: list[str]) -> DataFrame:
     """Adds ``rank``, the place of a value among all ``size`` values of its owner from the
-    rarest on, and ``place``, the same among those that another owner has too."""
+    rarest on; values that no other owner has are not in ``hits`` and come first."""
     own = W.partitionBy(*owner)
     place = F.row_number().over(own.orderBy("df", "value"))
-    return hits.withColumn("place", place.cast("long")).withColumn("rank", F.col("size") - F.count(F.lit(1)).over(own) + F.col("place"))
+    return hits.withColumn("rank", F.col("size") - F.count(F.lit(1)).over(own) + place.cast("long"))
 
 
 def _at(x: str) -> list[Column]:
-    return [F.col(c).alias(f"{c}_{x}") for c in ("size", "rank", "place")]
+    return [F.col(c).alias(f"{c}_{x}") for c in ("size", "rank")]
 
 
 def _most_shared(x: str, y: str) -> Column:
-    """Values that two owners of this one can share: it and those before it that others
-    have, and what both have after it."""
-    before = F.least(f"place_{x}", f"place_{y}")
-    return before + F.least(F.col(f"size_{x}") - F.col(f"rank_{x}"), F.col(f"size_{y}") - F.col(f"rank_{y}"))
+    """Values that two owners can share if this is the first one: it and what both have
+    after it.  Every pair passes at the first value that it shares, so no other list need give it."""
+    return 1 + F.least(F.col(f"size_{x}") - F.col(f"rank_{x}"), F.col(f"size_{y}") - F.col(f"rank_{y}"))
 
 
 class NearDuplicates:
@@ -125,7 +130,7 @@ class NearDuplicates:
         hits = entries.join(shared.hint("merge"), "value")
         size = F.least("n", F.lit(K))
         lists = _ranked(hits.withColumn("size", size), ["id", "n"]).where(F.col("rank") <= size - least_shared(F.col("n"), self.similarity) + 1)
-        lists = lists.select("value", "id", "n", "size", "rank", "place")
+        lists = lists.select("value", "id", "n", "size", "rank")
         lengths = lists.groupBy("value").agg(F.count(F.lit(1)).alias("m")).where("m > 1")
         self.lists = settle(lists.join(lengths.hint("merge"), "value"), "lists")
         members = settle(self.lists.select("id").distinct(), "members")
@@ -155,50 +160,72 @@ class NearDuplicates:
         shared = entries.groupBy("value").agg(F.count(F.lit(1)).alias("df")).where("df > 1")
         prefix = F.col("n") - F.ceil(self.similarity * F.col("n") - 1e-9) + 1
         lists = _ranked(entries.join(shared.hint("merge"), "value").withColumn("size", F.col("n")), ["id", "n"]).where(F.col("rank") <= prefix)
-        lists = lists.select("value", "id", "n", "size", "rank", "place")
+        lists = lists.select("value", "id", "n", "size", "rank")
         lengths = lists.groupBy("value").agg(F.count(F.lit(1)).alias("m")).where("m > 1")
         return lists.join(lengths.hint("merge"), "value")
 
-    def _differences(self, lists: DataFrame) -> DataFrame:
-        """``(pivot, id, n, np, delta)``: for each list the member that is in most lists, and
-        what every other member's set has more or less than the pivot's."""
-        often = lists.groupBy("id").agg(F.count(F.lit(1)).alias("often"))
-        pivots = lists.join(often.hint("merge"), "id").groupBy("value").agg(F.max(F.struct("often", (-F.col("id")).alias("low"), "id")).alias("p"))
-        pairs = lists.join(pivots.select("value", F.col("p.id").alias("pivot")).hint("merge"), "value").where("id <> pivot").select("pivot", "id").distinct()
+    def _gather(self, lists: DataFrame, merged: bool) -> DataFrame:
+        """Clusters of members from long ``lists`` (cluster, value, id, has): a list each, or
+        one for all lists of a cluster that have the same most listed member."""
+        if merged:
+            often = lists.groupBy("cluster", "id").agg(F.count(F.lit(1)).alias("often"))
+            top = lists.join(often.hint("merge"), ["cluster", "id"]).groupBy("cluster", "value").agg(F.max(F.struct("often", (-F.col("id")).alias("low"))).alias("p"))
+            lists = lists.join(top.select("cluster", "value", F.xxhash64("cluster", F.lit("member"), "p.low").alias("next")).hint("merge"), ["cluster", "value"])
+        else:
+            lists = lists.withColumn("next", F.xxhash64("cluster", F.lit("value"), "value"))
+        return settle(lists.select(F.col("next").alias("cluster"), "id", "value", "has"), "clusters")
+
+    def _references(self, clusters: DataFrame, members: DataFrame) -> DataFrame:
+        """``(cluster, ref)``: what most voters hold; it agrees with every list that made the cluster."""
+        order = W.partitionBy("cluster").orderBy(F.xxhash64("cluster", "id"), "id")
+        voters = members.withColumn("k", F.row_number().over(order)).where(F.col("k") <= VOTERS).drop("k")
+        voters = voters.join(voters.groupBy("cluster").agg(F.count(F.lit(1)).alias("voters")).hint("merge"), "cluster")
+        votes = voters.join(self.sets, "id").select("cluster", "voters", F.explode("s").alias("value")).groupBy("cluster", "voters", "value").agg(F.count(F.lit(1)).alias("votes"))
+        voted = votes.where("2 * votes > voters").select("cluster", "value", F.lit(False).alias("firm"), F.lit(True).alias("has"))
+        firm = clusters.select("cluster", "value", F.lit(True).alias("firm"), "has").distinct()
+        held = voted.union(firm).groupBy("cluster", "value").agg(F.max(F.struct("firm", "has")).alias("x")).where("x.has")
+        return held.groupBy("cluster").agg(F.collect_list("value").alias("ref"))
+
+    def _differences(self, clusters: DataFrame) -> DataFrame:
+        """``(cluster, id, n, delta, size, slack)``: for every member what its set has more or
+        less than the reference.  Two members with slacks of sum 0 or more are linked: with
+        X and Y the differences, (100 + p) (|X| + |Y|) <= (100 - p) (nx + ny)."""
+        members = clusters.select("cluster", "id").distinct()
         own = self.sets.select("id", F.size("s").cast("long").alias("n"), "s")
-        base = self.sets.select(F.col("id").alias("pivot"), F.size("s").cast("long").alias("np"), F.col("s").alias("sp"))
-        delta = F.concat(F.array_except("s", "sp"), F.array_except("sp", "s"))
-        return settle(pairs.join(own, "id").join(base, "pivot").select("pivot", "id", "n", "np", delta.alias("delta")), "differences")
-
-    def _difference_pairs(self, told: DataFrame) -> DataFrame:
-        """Pairs with a member that its pivot is not linked to (a *far* one).
-
-        With c = (1 - s) / (1 + s) a link means |x ^ y| <= c (nx + ny).  The differences X, Y
-        from the pivot give |x ^ y| = |X| + |Y| - 2 |X & Y|.  For a far x, |X| > c (nx + np),
-        so a link needs |X & Y| > |Y| (1 - c) / 2, and (|X| - c (nx + np)) / 2 at least."""
-        c = (1 - self.similarity) / (1 + self.similarity)
-        size = F.size("delta").cast("long")
-        over = size - c * (F.col("n") + F.col("np"))
-        rows = told.withColumn("size", size).withColumn("far", ~self._close())
-        need = F.when(F.col("far"), F.ceil(over / 2 - 1e-9)).otherwise(F.ceil(F.col("size") * (1 - c) / 2 - 1e-9))
-        rows = rows.withColumn("room", F.col("size") - F.greatest(need, F.lit(1)) + 1)
-        entries = rows.select("pivot", "id", "n", "size", "far", "room", F.explode("delta").alias("value"))
-        shared = entries.groupBy("pivot", "value").agg(F.count(F.lit(1)).alias("df"), F.max("far").alias("any_far")).where("df > 1 AND any_far").drop("any_far")
+        rows = members.join(own, "id").join(self._references(clusters, members), "cluster", "left").withColumn("ref", F.coalesce("ref", F.array().cast("array<bigint>")))
+        mark = lambda a, b, has: F.transform(F.array_except(a, b), lambda v: F.struct(v.alias("value"), F.lit(has).alias("has")))
+        rows = rows.select("cluster", "id", "n", F.concat(mark("s", "ref", True), mark("ref", "s", False)).alias("delta")).withColumn("size", F.size("delta").cast("long"))
+        return settle(rows.withColumn("slack", (100 - self.percent) * F.col("n") - (100 + self.percent) * F.col("size")), "differences")
+
+    def _related(self, told: DataFrame) -> tuple[DataFrame, DataFrame]:
+        """The sure links, from the member with the most slack to all it reaches, and lists
+        ``(cluster, value, has, id, ..)`` for pairs with a member out of its reach (a *far* one).
+
+        With slack z, x and y are linked if they share at least -(zx + zy) / 2 (100 + p) of their
+        differences.  No partner has more slack than the best, and a far one has less than minus the best."""
+        best = told.groupBy("cluster").agg(F.max(F.struct("slack", (-F.col("id")).alias("low"))).alias("best"))
+        rows = told.join(best.hint("merge"), "cluster").withColumn("top", F.col("best.slack")).withColumn("far", F.col("slack") + F.col("top") < 0)
+        star = rows.where("NOT far").select((-F.col("best.low")).alias("hub"), "id").where("hub <> id").select(F.least("hub", "id").alias("a"), F.greatest("hub", "id").alias("b"))
+        lack = F.when(F.col("far"), -F.col("slack") - F.col("top")).otherwise(F.col("top") + 1 - F.col("slack"))
+        need = F.greatest(F.ceil(lack / (2 * (100 + self.percent)) - 1e-9), F.lit(1))
+        rows = rows.withColumn("room", F.col("size") - need + 1)
+        entries = rows.select("cluster", "id", "n", "size", "slack", "far", "room", F.explode("delta").alias("d")).select("*", "d.*").drop("d")
         # a value that no far member has, or no other member, ranks as the rarest
-        lists = _ranked(entries.join(shared.hint("merge"), ["pivot", "value"]), ["pivot", "id"]).where(F.col("rank") <= F.col("room"))
-        lists = settle(lists.select("pivot", "value", "id", "n", "far", "size", "rank", "place"), "difference-lists")
-        x = lists.where("far").select("pivot", "value", F.col("id").alias("x"), F.col("n").alias("nx"), *_at("x"))
-        y = lists.select("pivot", "value", "id", "n", "far", *_at("y"))
+        shared = entries.groupBy("cluster", "value").agg(F.count(F.lit(1)).alias("df"), F.max("far").alias("any_far")).where("df > 1 AND any_far").drop("any_far")
+        lists = _ranked(entries.join(shared.hint("merge"), ["cluster", "value"]), ["cluster", "id"]).where(F.col("rank") <= F.col("room"))
+        lengths = lists.groupBy("cluster", "value").agg(F.count(F.lit(1)).alias("m"), F.count_if("far").alias("fars")).where("m > 1 AND fars > 0")
+        lists = lists.join(lengths.hint("merge"), ["cluster", "value"])
+        return star, settle(lists.select("cluster", "value", "has", "id", "n", "size", "slack", "far", "rank", "fars"), "difference-lists")
+
+    def _far_pairs(self, lists: DataFrame) -> DataFrame:
+        """Each far member of a list with all others."""
+        x = lists.where("far").select("cluster", "value", F.col("id").alias("x"), F.col("n").alias("nx"), F.col("slack").alias("slack_x"), *_at("x"))
+        y = lists.select("cluster", "value", "id", "n", "far", "slack", *_at("y"))
         once = ~F.col("far") | (F.col("x") < F.col("id"))
-        enough = 2 * _most_shared("x", "y") >= F.col("size_x") + F.col("size_y") - c * (F.col("n") + F.col("nx")) - 1e-6
-        both = y.join(x, (y["pivot"] == x["pivot"]) & (y["value"] == x["value"]) & (F.col("id") != F.col("x")) & once & self._alike_sizes("n", "nx") & enough)
+        enough = 2 * (100 + self.percent) * _most_shared("x", "y") >= -(F.col("slack_x") + F.col("slack"))
+        both = y.join(x, (y["cluster"] == x["cluster"]) & (y["value"] == x["value"]) & (F.col("id") != F.col("x")) & once & self._alike_sizes("n", "nx") & enough)
         return both.select(F.least("x", "id").alias("a"), F.greatest("x", "id").alias("b"))
 
-    def _close(self) -> Column:
-        """A link between a member and its pivot."""
-        size = F.size("delta").cast("long")
-        return (100 + self.percent) * size <= (100 - self.percent) * (F.col("n") + F.col("np"))
-
     def run(self) -> DataFrame:
         """``(doc_id, n_shingles, component_id, kept)``, one row per row of ``docs``."""
         self._prepare()
@@ -207,11 +234,12 @@ class NearDuplicates:
         if not long_.isEmpty():
             full = settle(self._full_lists(settle(long_, "long")), "full-lists")
             links = links.union(settle(self._confirm(self._short_pairs(full, False)), "confirmed"))
-            rest = full.where(F.col("m") > SHORT)
-            if not rest.isEmpty():
-                told = self._differences(rest)
-                links = links.union(told.where(self._close()).select(F.least("pivot", "id").alias("a"), F.greatest("pivot", "id").alias("b")))
-                links = links.union(settle(self._confirm(self._difference_pairs(told)), "confirmed"))
+            rest, turn = full.where(F.col("m") > SHORT).select(F.lit(0).cast("long").alias("cluster"), "value", "id", F.lit(True).alias("has")), 0
+            while not rest.isEmpty():
+                star, lists = self._related(self._differences(self._gather(rest, turn < MERGED_TURNS)))
+                few = (F.col("fars") <= SHORT) | F.lit(turn == TURNS)
+                links = links.union(star).union(settle(self._confirm(self._far_pairs(lists.where(few))), "confirmed"))
+                rest, turn = lists.where(~few).select("cluster", "value", "id", "has"), turn + 1
         labels = None if links.isEmpty() else components(links)
         named = self.classes if labels is None else self.classes.join(labels, "id", "left")
         named = named.select("n", "u", "v", F.coalesce("component", "id").alias("component_id") if labels is not None else F.col("id").alias("component_id"))

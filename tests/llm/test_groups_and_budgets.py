@@ -119,6 +119,47 @@ def test_near_duplicates_in_one_large_group_and_a_common_passage(spark, monkeypa
     check(spark, texts)
 
 
+def family(rng, words, size, edits):
+    return [edited(rng, words, int(e)) for e in rng.integers(0, edits, size)]
+
+
+def test_pairs_grow_with_the_members_of_families_not_with_their_pairs(spark, monkeypatch):
+    """Two families that share most shingles, but too few for a link, and texts of one template with contents of their own."""
+    size, pairs = 400, []
+    confirm = neardup.NearDuplicates._confirm
+
+    def counted(self, found):
+        found = found.cache()
+        pairs.append(found.count())
+        return confirm(self, found)
+
+    monkeypatch.setattr(neardup.NearDuplicates, "_confirm", counted)
+    rng = np.random.default_rng(8)
+    base = [f"w{i}" for i in range(300)]
+    other = base[:260] + [f"v{i}" for i in range(40)]
+    template = [f"t{i}" for i in range(160)]
+    texts = family(rng, base, size, 5) + family(rng, other, size, 5)
+    texts += [" ".join(template + [f"u{rng.integers(1 << 30)}" for _ in range(30)]) for _ in range(size)]
+    check(spark, texts)
+    assert sum(pairs) <= 60 * len(texts)
+
+
+def test_families_within_families(spark, monkeypatch):
+    """Every turn of new references, the ones of single lists and the last, in full, included."""
+    monkeypatch.setattr(neardup, "SHORT", 3)
+    rng = np.random.default_rng(9)
+    base = [f"w{i}" for i in range(200)]
+    texts = []
+    for a in range(3):
+        for b in range(3):
+            words = base[:150] + [f"a{a}_{i}" for i in range(25)] + [f"b{b}_{i}" for i in range(25)]
+            texts += family(rng, words, 9, 9)
+    for turns, merged in ((12, 0), (0, 3)):
+        monkeypatch.setattr(neardup, "TURNS", turns)
+        monkeypatch.setattr(neardup, "MERGED_TURNS", merged)
+        check(spark, texts)
+
+
 def test_near_duplicates_of_odd_rows(spark, odd, none):
     out = neardup.near_duplicates(odd).collect()
     assert len(out) == odd.count() and all(r["component_id"] == r["doc_id"] for r in out if r["doc_id"] != 5 and r["doc_id"] is not None)
@@ -178,6 +219,28 @@ def test_long_texts_come_in_pieces(spark, monkeypatch):
     assert cut == whole
 
 
+def test_an_identifier_of_zero_is_an_identifier(spark, monkeypatch):
+    """Anchors are chosen by the leading bits of identifiers; all zero, or zero for every other place."""
+    texts = passages()[:12]
+    for keep in (lambda p: np.zeros(p.shape, bool), lambda p: (p >> np.uint64(7)) & np.uint64(1) == 1):
+        def dull(data, depth, f=suffixdedup.refine, keep=keep):
+            ids = f(data, depth)
+            if suffixdedup.Q in ids:
+                x = ids[suffixdedup.Q]
+                ids[suffixdedup.Q] = np.where(keep(x), x, x & np.uint64(0xFFFFFFFF))
+            return ids
+        with monkeypatch.context() as m:
+            m.setattr(suffixdedup, "refine", dull)
+            seen = {}
+            for b in suffixdedup._blocks([t.encode() if t else None for t in texts]):
+                for r, p in zip(b.rows[b.piece], b.pos) if len(b.anchors) else ():
+                    seen.setdefault(int(r), set()).add(int(p))
+        for i, t in enumerate(texts):
+            n = len((t or "").encode())
+            assert all(any(w <= p <= w + suffixdedup.REACH for p in seen.get(i, ())) for w in range(n - 99))
+            assert all(0 <= p <= n - suffixdedup.Q for p in seen.get(i, ()))
+
+
 def test_repeated_passages_of_odd_rows(spark, odd, none):
     assert suffixdedup.remove_repeats(odd).count() == odd.count() and suffixdedup.remove_repeats(none).count() == 0
 
