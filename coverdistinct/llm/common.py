@@ -31,11 +31,19 @@ def _own_dir() -> str:
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder all executors share, from the session; one of our own only where it is unset."""
+    """The folder all executors share, from the session; one of our own only where it is
+    unset and driver and executors are one process.  A cluster without one is refused: tables
+    in a machine's own folder would be lost."""
     place = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getConf().get("spark.checkpoint.dir", None)
+    if not place and not one_process(spark.sparkContext.master):
+        raise ValueError("set spark.checkpoint.dir to a folder that all executors share")
     return place or _own_dir()
 
 
+def one_process(master: str) -> bool:
+    return master == "local" or master.startswith("local[")
+
+
 def settle(df: DataFrame, name: str) -> DataFrame:
     """Write ``df`` as a table in the shared folder and read it back: lineage ends
     there, and a lost executor costs a reread, not a recomputation.  The shuffle
