@@ -20,6 +20,8 @@ from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
+from .common import settle, unit
+
 #: The classifiers are fitted on at most this many rows of each language, and in all on so many, shared evenly, but one of each.
 TRAIN_ROWS, TRAIN_TOTAL = 700, 44_800
 BITS_OF_HASH = 12
@@ -28,6 +30,8 @@ UNDEFINED = "und"
 _LETTER = re.compile(r"[^\W\d_]")
 _PLAIN = bytes(b if 97 <= b <= 122 or b >= 128 else 32 for b in range(256))
 _GROUP_BYTES = 1 << 21
+#: A label is overruled from this score on.
+CONFIDENT = 0.9
 
 
 def histograms(texts: list[str]) -> np.ndarray:
@@ -150,14 +154,20 @@ def packed(texts: pd.Series) -> pd.Series:
 def train(docs: DataFrame) -> Codes:
     """Fit on rows of ``docs`` (doc_id, text, lang) that are not held out and have a
     language: for each language, however rare, the TRAIN_ROWS first in a seeded order,
-    or its even share of TRAIN_TOTAL where there are many.  Whole texts are counted by
+    or its even share of TRAIN_TOTAL where there are many.  Rows that repeat id and text count
+    once.  The first ones are among those with a low enough draw, so a language's rows
+    never meet: only twice as many as are wanted go on.  Whole texts are counted by
     the executors; the driver gets their histograms, of one size."""
-    rows = docs.where(~held_out() & F.col("lang").isNotNull() & F.col("text").rlike(r"\p{L}"))
-    n = rows.agg(F.countDistinct("lang").alias("n")).first()["n"]
-    each = max(1, min(TRAIN_ROWS, TRAIN_TOTAL // max(n, 1)))
-    rows = rows.select("doc_id", "lang", "text", F.xxhash64("text").alias("h"))
-    order = W.partitionBy("lang").orderBy(F.xxhash64("doc_id", F.lit(6)), "doc_id", "h")
-    ids = rows.select("doc_id", "lang", "h").withColumn("k", F.row_number().over(order)).where(F.col("k") <= each).drop("k").distinct()
+    rows = docs.where(~held_out() & F.col("lang").isNotNull() & F.col("text").rlike(r"\p{L}")).select("doc_id", "lang", "text", F.xxhash64("text").alias("h"))
+    draw = unit(F.col("doc_id"), F.col("h"), F.lit(6))
+    sizes = settle(rows.groupBy("lang").agg(F.approx_count_distinct(draw, 0.02).alias("n")), "languages")
+    each = max(1, min(TRAIN_ROWS, TRAIN_TOTAL // max(sizes.count(), 1)))
+    # twice the share, and 50 more, is missed by fewer than ``each`` rows with odds below 1e-12
+    low = sizes.select(F.col("lang").alias("__l"), ((2.0 * each + 50) / F.col("n")).alias("upto"))
+    ids = rows.select("doc_id", "lang", "h", draw.alias("draw")).join(F.broadcast(low), F.col("lang") == F.col("__l")).where(F.col("draw") < F.col("upto"))
+    ids = ids.select("doc_id", "lang", "h", "draw").distinct()
+    order = W.partitionBy("lang").orderBy("draw", "doc_id", "h")
+    ids = ids.withColumn("k", F.row_number().over(order)).where(F.col("k") <= each)
     ids = ids.select(F.col("doc_id").alias("i"), F.col("lang").alias("l"), F.col("h").alias("g"))
     few = rows.join(F.broadcast(ids), F.col("doc_id").eqNullSafe(F.col("i")) & (F.col("lang") == F.col("l")) & (F.col("h") == F.col("g")), "left_semi")
     few = few.select("doc_id", "lang", "h", packed("text").alias("x")).dropDuplicates(["doc_id", "lang", "h"]).toPandas()
@@ -197,10 +207,19 @@ def identify(docs: DataFrame) -> DataFrame:
 
 
 def keep_identified(docs: DataFrame) -> DataFrame:
-    """``docs`` without the rows whose language cannot be told: those without a letter,
-    and those whose loss the decoder rejects.  With no label to learn from, all texts
-    with a letter stay; with one language the code has no bit that could reject."""
+    """``docs`` with their language told, without the rows whose language cannot be.
+
+    Rejected are texts without a letter, texts whose loss lies past the cutoff, and ambiguous
+    ones that have no label to decide.  ``lang`` becomes the prediction where it is null,
+    or where another is predicted with a score of CONFIDENT or more; all other columns stay
+    as they are.  With no label to learn from, all texts with a letter stay as they are; with
+    one language the code has no bit that could reject."""
     codes = train(docs.select("doc_id", "text", "lang"))
     # a column of docs may have a name that predict adds
-    kept = predict(docs.select(F.struct(*docs.columns).alias("__d"), F.col("text")), codes)
-    return kept.where("told").select("__d.*")
+    told = predict(docs.select(F.struct(*docs.columns).alias("__d"), F.col("text")), codes).where("told")
+    if not codes.languages:
+        return told.select("__d.*")
+    label = F.col("__d.lang")
+    firm = ~F.col("ambiguous") & (label.isNull() | (F.col("score") >= CONFIDENT))
+    lang = F.when(firm, F.col("lang_pred")).otherwise(label)
+    return told.where(label.isNotNull() | ~F.col("ambiguous")).select(*[lang.alias(c) if c == "lang" else F.col("__d").getField(c).alias(c) for c in docs.columns])
