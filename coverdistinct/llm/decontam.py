@@ -3,7 +3,8 @@
 Seeds: runs of ``LEAST`` tokens that a document shares with a test item.  A document
 with a seed is tiled against the item: of the matches between unmarked tokens the
 longest are marked again and again, found by running Karp-Rabin hashes, until none of
-``LEAST`` tokens is left.  The share of the item's tokens under tiles does not depend on
+``LEAST`` tokens is left.  An item too short to hold a seed is found where a text is
+that item and nothing else.  The share of the item's tokens under tiles does not depend on
 the order of the tiles, so passages that were cut up and reordered are caught too.
 
 The seeds of the test items are broadcast in blocks of bounded size; a larger
@@ -93,22 +94,31 @@ class Benchmark:
     items: list[tuple[int | None, list[str]]]
     pairs: frozenset
     seeds: dict[tuple[str, ...], tuple[int, ...]]  # places in items
+    short: dict[tuple[str, ...], list[int | None]]  # items without a seed
 
     @classmethod
     def build(cls, rows: list[tuple[int | None, str]], least: int = LEAST) -> Benchmark:
-        """Each row is an item, whatever its id.  Items under ``least`` tokens cannot be
-        told from chance and are left out."""
-        items = [(i, t) for i, text in dict.fromkeys(rows) if len(t := tokens(text)) >= least]
+        """Each row is an item, whatever its id; one without tokens is none."""
+        items, short = [], {}
+        for i, text in dict.fromkeys(rows):
+            t = tokens(text)
+            if len(t) >= least:
+                items.append((i, t))
+            elif t and i not in short.setdefault(tuple(t), []):
+                short[tuple(t)].append(i)
         seeds: dict[tuple[str, ...], set[int]] = {}
         for at, (_, t) in enumerate(items):
             for k in range(len(t) - least + 1):
                 seeds.setdefault(tuple(t[k: k + least]), set()).add(at)
-        return cls(items, frozenset(p for _, t in items for p in zip(t, t[1:])), {k: tuple(sorted(v)) for k, v in seeds.items()})
+        return cls(items, frozenset(p for _, t in items for p in zip(t, t[1:])), {k: tuple(sorted(v)) for k, v in seeds.items()}, short)
 
     def hits(self, text: str | None, coverage: float = COVERAGE, least: int = LEAST) -> list[tuple[int | None, float, int, int]]:
         """``(item, share covered, tiles, tokens)`` of the items covered enough, best
         first, null ids last among equals; each id once, with its best row."""
         t = tokens(text)
+        if len(t) < least:
+            same = self.short.get(tuple(t), ())
+            return [(i, 1.0, 1, len(t)) for i in sorted(same, key=lambda i: (i is None, i or 0))]
         # a seed has least - 1 pairs, counted by place, as they may be equal
         if sum(map(self.pairs.__contains__, zip(t, t[1:]))) < least - 1:
             return []
@@ -148,7 +158,7 @@ def decontaminate(docs: DataFrame, benchmark: DataFrame, coverage: float = COVER
 
     Null and empty texts are kept; whole texts are tiled; without test items all is kept.
     Rows of ``benchmark`` with a null or repeated item_id are items of their own; those
-    under LEAST tokens are not looked for."""
+    under LEAST tokens are found where they are the whole text."""
     spark, rows = docs.sparkSession, docs.select("doc_id", "text")
 
     def found(index: Benchmark, rows: DataFrame, key: str) -> DataFrame:
