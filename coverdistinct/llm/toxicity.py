@@ -22,7 +22,7 @@ from .common import settle
 
 #: The classifier is fitted on at most this many labelled rows, and has at most this many features.
 TRAIN_ROWS, MAX_FEATURES, LEAST_ROWS, PREFIX = 10_000, 4096, 3, 6
-#: Groups of interchangeable identity terms: fixed values.
+#: Groups of interchangeable identity terms, in English, German, French and Spanish: fixed values.
 IDENTITY_TERMS = [
     ["women", "men"],
     ["woman", "man"],
@@ -32,12 +32,36 @@ IDENTITY_TERMS = [
     ["gay", "lesbian", "bisexual", "straight", "transgender"],
     ["immigrants", "refugees", "citizens", "tourists"],
     ["deaf", "blind", "disabled", "autistic"],
+    ["frauen", "männer"],
+    ["frau", "mann"],
+    ["muslime", "christen", "juden", "hindus", "buddhisten", "atheisten"],
+    ["muslimisch", "christlich", "jüdisch", "hinduistisch", "buddhistisch", "atheistisch"],
+    ["schwule", "lesben", "bisexuelle", "heterosexuelle"],
+    ["einwanderer", "flüchtlinge", "bürger", "touristen"],
+    ["femmes", "hommes"],
+    ["femme", "homme"],
+    ["musulmans", "chrétiens", "juifs", "hindous", "bouddhistes", "athées"],
+    ["musulman", "chrétien", "juif", "hindou", "bouddhiste", "athée"],
+    ["homosexuels", "hétérosexuels", "bisexuels"],
+    ["immigrés", "réfugiés", "citoyens", "touristes"],
+    ["mujeres", "hombres"],
+    ["mujer", "hombre"],
+    ["musulmanes", "cristianos", "judíos", "hindúes", "budistas", "ateos"],
+    ["judío", "cristiano", "hindú", "budista", "ateo"],
+    ["homosexuales", "heterosexuales", "bisexuales"],
+    ["inmigrantes", "refugiados", "ciudadanos", "turistas"],
 ]
 _WORD = re.compile(r"\w+")
-_TERMS = frozenset(t for g in IDENTITY_TERMS for t in g)
 
 
-def features(text: str) -> dict[str, float]:
+def _flat(terms: list[list[str]]) -> frozenset[str]:
+    return frozenset(t.lower() for g in terms for t in g)
+
+
+_TERMS = _flat(IDENTITY_TERMS)
+
+
+def features(text: str, terms: frozenset[str] = _TERMS) -> dict[str, float]:
     """Distinct lower-cased words of the whole text, and for each prefix of six
     letters the logarithm of how many distinct longer words have it.  Identity terms
     have no prefixes: a swap changes the terms alone."""
@@ -45,7 +69,7 @@ def features(text: str) -> dict[str, float]:
     out = dict.fromkeys(found, 1.0)
     heads: dict[str, int] = {}
     for w in found:
-        if len(w) > PREFIX and w not in _TERMS:
+        if len(w) > PREFIX and w not in terms:
             heads[w[:PREFIX]] = heads.get(w[:PREFIX], 0) + 1
     for head, n in heads.items():
         out["^" + head] = float(np.log2(1 + n))
@@ -57,6 +81,7 @@ class Classifier:
     names: list[str]
     weights: np.ndarray
     bias: float
+    terms: frozenset[str] = _TERMS
     index: dict[str, int] = field(init=False)
 
     def __post_init__(self):
@@ -66,7 +91,7 @@ class Classifier:
     def fit(cls, names: list[str], rows: list[dict[str, float]], toxic: list[int], terms=IDENTITY_TERMS, swap_penalty: float = 1.0, steps: int = 300) -> Classifier:
         """Nesterov steps on logistic loss + ridge + swap penalty.  The swapped copies
         are pairs of feature differences, one per text, term and replacement."""
-        model = cls(names, np.zeros(len(names)), 0.0)
+        model = cls(names, np.zeros(len(names)), 0.0, _flat(terms))
         if not rows or not names:
             model.bias = -4.0
             return model
@@ -76,7 +101,10 @@ class Classifier:
             for n, v in row.items():
                 if n in at:
                     x[i, at[n]] = v
-        groups = {t: g for g in terms for t in g}
+        groups: dict[str, list[str]] = {}
+        for g in terms:
+            for t in g:  # a word may be in groups of several languages
+                groups[t.lower()] = [*groups.get(t.lower(), []), *(x.lower() for x in g)]
         pulls: dict[tuple[int, int], int] = {}
         for row in rows:
             for t in row.keys() & groups.keys():
@@ -115,7 +143,7 @@ class Classifier:
     def score(self, text: str) -> float:
         at, w = self.index, self.weights
         z = self.bias
-        for n, v in features(text).items():
+        for n, v in features(text, self.terms).items():
             i = at.get(n)
             if i is not None:
                 z += w[i] * v
@@ -126,20 +154,22 @@ def held_out() -> Column:
     return F.pmod(F.crc32(F.coalesce(F.col("doc_id").cast("string"), F.lit(""))), F.lit(5)) == 0
 
 
-def train(docs: DataFrame, labels: DataFrame, swap_penalty: float = 1.0) -> Classifier:
+def train(docs: DataFrame, labels: DataFrame, swap_penalty: float = 1.0, terms: list[list[str]] = IDENTITY_TERMS) -> Classifier:
     """Fit on labelled rows that are not held out: the TRAIN_ROWS first in a seeded
-    order.  The features are the words and prefixes whose share among toxic and
+    order; of texts that share a doc_id one, by its hash.  The features are the words and prefixes whose share among toxic and
     other rows differs most, by a chi-square count in Spark; the driver gets the
     chosen features of the chosen rows."""
     known = labels.where(F.col("toxic").isNotNull()).groupBy("doc_id").agg(F.max("toxic").alias("toxic"))
     known = known.where(~held_out()).orderBy(F.xxhash64("doc_id", F.lit(5)), "doc_id").limit(TRAIN_ROWS)
     rows = docs.select("doc_id", "text").where("text IS NOT NULL").join(F.broadcast(known), "doc_id")
+    rows = rows.groupBy("doc_id", "toxic").agg(F.min(F.struct(F.xxhash64("text").alias("h"), "text")).alias("x"))
+    flat = _flat(terms)
 
     @F.pandas_udf("map<string, double>")
     def extract(texts: pd.Series) -> pd.Series:
-        return texts.map(features)
+        return texts.map(lambda t: features(t, flat))
 
-    rows = settle(rows.select("doc_id", "toxic", extract("text").alias("f")), "toxicity-features")
+    rows = settle(rows.select("doc_id", "toxic", extract("x.text").alias("f")), "toxicity-features")
     total = rows.agg(F.count(F.lit(1)).alias("n"), F.coalesce(F.sum("toxic"), F.lit(0)).alias("t")).first()
     n, t = float(total["n"]), float(total["t"])
     if not n or t in (0.0, n):
@@ -149,9 +179,9 @@ def train(docs: DataFrame, labels: DataFrame, swap_penalty: float = 1.0) -> Clas
     words = rows.select("toxic", F.explode(F.map_keys("f")).alias("name"))
     best = (words.groupBy("name").agg(F.sum("toxic").alias("toxic_rows"), F.count(F.lit(1)).alias("rows"))
                  .where(F.col("rows") >= LEAST_ROWS).orderBy(F.desc(chi), "name").limit(MAX_FEATURES))
-    names = sorted({r["name"] for r in best.collect()} | _TERMS)
+    names = sorted({r["name"] for r in best.collect()} | flat)
     few = _narrow(rows, names).toPandas().sort_values("doc_id")
-    return Classifier.fit(names, [dict(x) for x in few["f"]], few["toxic"].tolist(), swap_penalty=swap_penalty)
+    return Classifier.fit(names, [dict(x) for x in few["f"]], few["toxic"].tolist(), terms, swap_penalty)
 
 
 def _narrow(rows: DataFrame, names: list[str]) -> DataFrame:
@@ -177,10 +207,10 @@ def score(docs: DataFrame, model: Classifier) -> DataFrame:
     return docs.withColumn("score", rate("text"))
 
 
-def score_documents(docs: DataFrame, labels: DataFrame) -> DataFrame:
+def score_documents(docs: DataFrame, labels: DataFrame, swap_penalty: float = 1.0, terms: list[list[str]] = IDENTITY_TERMS) -> DataFrame:
     """Per row of ``docs`` (doc_id, text): doc_id, held_out, score, predicted.
 
     Without usable labels all scores are low.  Repeated rows score alike; long texts
     are read whole."""
-    out = score(docs.select("doc_id", "text"), train(docs, labels))
+    out = score(docs.select("doc_id", "text"), train(docs, labels, swap_penalty, terms))
     return out.select("doc_id", held_out().alias("held_out"), "score", (F.col("score") >= 0.5).cast("int").alias("predicted"))
