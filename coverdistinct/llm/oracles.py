@@ -66,7 +66,7 @@ SELECT doc_id, domain, language, source, CAST(n_tokens AS BIGINT) AS n_tokens, C
 """
 
 
-def _quality(risk: float = quality.RISK, level: float = quality.LEVEL) -> str:
+def _quality(risk: float = quality.RISK / len(quality.GRID), level: float = quality.LEVEL) -> str:
     w = _WORDS.format("text")
     grid = " UNION ALL ".join(f"SELECT '{rule}' AS rule, {i} AS i, {cut}::DOUBLE AS cutoff" for rule, cuts in quality.GRID.items() for i, cut in enumerate(cuts))
     rates = ", ".join(f"{c} / greatest(n_words, 1)::DOUBLE AS {r}" for r, c in (("symbols_per_word", "n_symbols"), ("dup_lines_per_word", "n_dup_lines"), ("repeat_share", "n_repeat_words"), ("word_length", "word_chars")))

@@ -3,10 +3,12 @@
 A rule rejects a document when a measure exceeds its cutoff.  The cutoffs are
 chosen on labelled rows: for each stratum (language) and rule the grid is walked
 from the loosest cutoff to the strictest, and a cutoff stands while the exact
-binomial test rejects "more than ``risk`` of the good documents are rejected".
+binomial test rejects "the rule rejects more than its share of ``risk`` of the good documents".
 Walking in a fixed order needs no correction inside a grid; over strata and rules
-the level is divided by their number (Bonferroni).  A stratum with too few good
-labels to prove anything keeps all its documents.
+the level is divided by their number (Bonferroni).  So, with a probability of 1 - ``level``, in
+every stratum all rules together reject at most ``risk`` of the good documents that pass the
+base rules.  A stratum with too few good labels to prove anything keeps all its documents
+(at zero rejections a cutoff takes ``log(level / rules / strata) / log(1 - risk / rules)`` of them).
 """
 
 from __future__ import annotations
@@ -24,7 +26,7 @@ GRID = {
     "repeat_share": [0.28, 0.25, 0.22, 0.2, 0.17, 0.15],
     "word_length": [25.0, 20.0, 17.0, 15.0, 13.0, 12.0],
 }
-RISK, LEVEL, WINDOW = 0.004, 0.05, 8
+RISK, LEVEL, WINDOW = 0.016, 0.05, 8
 
 
 def _with_window_hashes(df: DataFrame, w: str = "w", out: str = "h", n: int = WINDOW) -> DataFrame:
@@ -114,7 +116,7 @@ def cutoffs(measured: DataFrame, labels: DataFrame, risk: float = RISK, level: f
                       for rule, grid in GRID.items() for i, cut in enumerate(grid)])
     tests = wide.select("lang", "n", F.explode(steps).alias("t")).select("lang", "n", "t.*")
     strata = wide.agg(F.greatest(F.count(F.lit(1)), F.lit(1)).alias("strata"))
-    tests = tests.withColumn("tail", binomial_tail(F.col("k"), F.col("n"), risk)).crossJoin(F.broadcast(strata))
+    tests = tests.withColumn("tail", binomial_tail(F.col("k"), F.col("n"), risk / len(GRID))).crossJoin(F.broadcast(strata))
     tests = tests.withColumn("passes", F.col("tail") <= level / (len(GRID) * F.col("strata")))
     stop = F.coalesce(F.min(F.when(~F.col("passes"), F.col("i"))), F.lit(1 << 30))
     firm = tests.groupBy("lang", "rule").agg(stop.alias("stop"), F.collect_list(F.struct("i", "cutoff", "n", "k", "tail")).alias("g"))
