@@ -9,7 +9,8 @@ order in which they fill up, running capacity before and weight after them.
 A leaf's budget is whole epochs plus a token-prefix of one more, in a seeded order of
 that epoch.  The prefix needs no sorted leaf: a first pass sums tokens by the order's
 leading digits, a second by the next digits within the cell where the budget ends,
-and only the rows of the last cell are ordered.
+and only the places of the last cell are ordered; rows that share a place (a repeated
+or null id with equal tokens) are one counted place, of which some copies fit.
 """
 
 from __future__ import annotations
@@ -102,7 +103,7 @@ def mix(docs: DataFrame, share: float = SHARE, epochs: int = EPOCHS, weights: di
     The budget is ``share`` of all tokens, and a leaf gives at most ``epochs`` times its
     own.  Null languages and sources are a node of their own; texts without tokens
     cost nothing and go with whole epochs or the prefix they fall in; repeated rows are selected alike
-    or, at the very end of a prefix, one by one."""
+    or, at the very end of a prefix, as many of them as fit."""
     sized = settle(_sized(docs), "sized")
     leaves = sized.groupBy(*LEVELS).agg(F.sum("n_tokens").alias("tokens"))
     plan = settle(budgets(leaves, share, epochs, weights), "budgets")
@@ -116,13 +117,18 @@ def mix(docs: DataFrame, share: float = SHARE, epochs: int = EPOCHS, weights: di
     near = near.join(small(end2), LEVELS, "left")
     # the prefix: leading digits below the first cell, or within it below the second, or early in the second
     last = (first == F.col("cell1")) & (second == F.col("cell2"))
-    tail = near.where(last).withColumn("upto", F.col("before1") + F.col("before2") + F.sum("n_tokens").over(
-        W.partitionBy(*LEVELS).orderBy("place", "doc_id", "n_tokens").rowsBetween(W.unboundedPreceding, W.currentRow)))
+    columns = ["doc_id", *LEVELS, "n_tokens"]
+    tail = near.where(last).groupBy(*columns, "epochs", "rest", "before1", "before2", "place").agg(F.count(F.lit(1)).alias("n"))
+    tail = tail.withColumn("left", F.col("rest") - F.col("before1") - F.col("before2") - F.coalesce(F.sum(F.col("n_tokens") * F.col("n")).over(
+        W.partitionBy(*LEVELS).orderBy("place", "doc_id", "n_tokens").rowsBetween(W.unboundedPreceding, -1)), F.lit(0)))
+    fit = F.when((F.col("rest") <= 0) | (F.col("left") < 0), 0).when(F.col("n_tokens") == 0, F.col("n")).otherwise(F.least("n", F.floor(F.col("left") / F.greatest("n_tokens", F.lit(1)))))
+    tail = tail.withColumn("fit", fit.cast("long"))
     more = F.col("cell1").isNull() | (first < F.col("cell1")) | ((first == F.col("cell1")) & (F.col("cell2").isNull() | (second < F.col("cell2"))))
     more = more & (F.col("rest") > 0)
-    columns = ["doc_id", *LEVELS, "n_tokens"]
     body = near.where(~F.coalesce(last, F.lit(False))).select(*columns, (F.col("epochs") + F.coalesce(more, F.lit(False)).cast("long")).alias("copies"))
-    tail = tail.select(*columns, (F.col("epochs") + ((F.col("upto") <= F.col("rest")) & (F.col("rest") > 0)).cast("long")).alias("copies"))
+    each = F.array(F.struct((F.col("epochs") + 1).alias("copies"), F.col("fit").alias("n")), F.struct(F.col("epochs").alias("copies"), (F.col("n") - F.col("fit")).alias("n")))
+    tail = tail.select(*columns, F.explode(F.filter(each, lambda x: (x["n"] > 0) & (x["copies"] > 0))).alias("x"))
+    tail = tail.select(*columns, "x.copies", F.explode(F.sequence(F.lit(1).cast("long"), "x.n"))).drop("col")
     both = body.union(tail).where("copies > 0")
     return both.select(*columns, F.explode(F.sequence(F.lit(0), (F.col("copies") - 1).cast("int"))).alias("epoch"))
 
