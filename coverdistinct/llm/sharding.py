@@ -131,5 +131,7 @@ def shard_documents(docs: DataFrame, topology: Topology = BASE) -> DataFrame:
 
 
 def shard_table(docs: DataFrame, path: str, topology: Topology = BASE) -> None:
-    """Write ``docs`` (with ``doc_id``) as one folder per shard."""
-    assign(docs, "doc_id", topology).repartition("shard", F.pmod(F.xxhash64("doc_id"), F.lit(8))).write.partitionBy("shard").parquet(path)
+    """Write ``docs`` (with ``doc_id``) as one folder per shard; a null id is a key like any
+    other, and a column of docs may have the name ``shard``, which is replaced.  The rows are
+    rebalanced by shard: as many tasks, and so files, as the bytes of each shard need."""
+    assign(docs.drop("shard"), "doc_id", topology).hint("rebalance", "shard").write.partitionBy("shard").parquet(path)
