@@ -46,6 +46,27 @@ def test_shards(spark, sf, odd, none):
     assert sorted(map(tuple, again)) == sorted(map(tuple, out))
 
 
+def test_draws_are_those_of_the_tree(spark, sf):
+    """Region, rack and shard of every document, each the child with the least -ln(u) / weight, from the published hash alone."""
+    draw = lambda name: F.udf(lambda h: -np.log(((h & (2**64 - 1)) >> 11) * 2.0**-53 + 2.0**-54).item(), "double")(F.xxhash64("key", F.lit(name)))
+    docs = spark.read.parquet(f"{sf}/documents.parquet").select("doc_id", "text", F.col("doc_id").cast("string").alias("key"))
+    t = sharding.Topology.regular(2, 2, 2).grow(2.0)
+    names = [f"region:{r}" for r in t.tree()] + [f"rack:{k}" for r in t.tree().values() for k in r] + [f"shard:{s}" for r in t.tree().values() for k in r.values() for s in k]
+    got = sharding.assign(docs, "doc_id", t).select("*", *[draw(n).alias(n) for n in names]).collect()
+    for r in got:
+        region = min(t.tree(), key=lambda x: r[f"region:{x}"] / sum(w for k in t.tree()[x].values() for w in k.values()))
+        rack = min(t.tree()[region], key=lambda x: r[f"rack:{x}"] / sum(t.tree()[region][x].values()))
+        assert r["shard"] == min(t.tree()[region][rack], key=lambda x: r[f"shard:{x}"] / t.tree()[region][rack][x])
+
+
+def test_shards_are_written_one_folder_each(spark, odd, none, tmp_path):
+    sharding.shard_table(odd.withColumn("shard", F.lit("mine")), f"file://{tmp_path}/a")
+    back = spark.read.parquet(f"file://{tmp_path}/a")
+    want = sharding.assign(odd, "doc_id", sharding.BASE).select("doc_id", "text", "shard").collect()
+    assert sorted(map(str, back.select("doc_id", "text", "shard").collect())) == sorted(map(str, want))
+    sharding.shard_table(none, f"file://{tmp_path}/b")
+
+
 def test_weights_and_confined_movement(spark):
     keys = spark.range(40_000).withColumnRenamed("id", "doc_id")
     t = sharding.Topology((sharding.Shard("a", "a1", 0, 3.0), sharding.Shard("a", "a2", 1, 1.0), sharding.Shard("b", "b1", 2, 2.0), sharding.Shard("b", "b1", 3, 2.0)))
@@ -281,14 +302,90 @@ def test_prefixes_by_cells_are_prefixes_by_sorting(spark, sf):
     assert again == got and {x for x in mixing.mix(docs, 0.6, 3, seed=9).select("doc_id").distinct().toPandas()["doc_id"]} != {d for d, _ in got}
 
 
+def test_rows_that_share_a_place_are_counted(spark):
+    """Rows without an id and of equal length: as many as fit, whatever their number."""
+    rows = [(None, "a b c", "en", "src1")] * 1000 + [(5, "a b", "en", "src1")] * 3
+    docs = spark.createDataFrame(rows, "doc_id long, text string, lang string, source string")
+    for share, epochs in ((0.5, 1), (1.0, 1), (1.7, 3), (0.001, 1)):
+        out = mixing.mix(docs, share, epochs)
+        n = int(3006 * share)
+        assert n - 3 < out.agg(F.coalesce(F.sum("n_tokens"), F.lit(0)).alias("n")).first()["n"] <= n
+    assert mixing.mix(docs, 1.0, 1).count() == 1003
+
+
 def test_mixing_of_odd_rows(spark, odd, none):
     assert mixing.mix(none).count() == 0
+    everything = mixing.mix(odd, 1.0, 1).groupBy("doc_id").count()
+    assert {(r["doc_id"], r["count"]) for r in everything.collect() if r["doc_id"] in (3, 4, 5, 6)} == {(3, 1), (4, 1), (5, 1), (6, 1)}
     assert mixing.mix(odd, 1.0, 1).count() >= odd.where("text IS NOT NULL").count() - 3
     assert mixing.keep_mixed(odd, 0.5).columns == odd.columns
 
 
 # --- the pipeline ---
 
+def test_a_cluster_without_a_shared_folder_is_refused():
+    from coverdistinct.llm import common
+    assert common.one_process("local[4]") and common.one_process("local") and not common.one_process("local-cluster[2,1,1024]") and not common.one_process("yarn")
+
+
+def test_pipeline_stages_of_odd_rows(spark, sf, odd, none):
+    """Nulls, empty and long texts, repeated ids and rows, more columns, and no rows at all."""
+    for name, stage in corpus_pipeline.STAGES[:-1]:
+        out = stage(spark, odd, sf)
+        assert out.columns == odd.columns, name
+        left = [tuple(r) for r in out.collect()]
+        assert all(r in [tuple(x) for x in odd.collect()] for r in left), name
+        assert stage(spark, none, sf).count() == 0, name
+    ids = lambda k: sorted((r["doc_id"] for r in corpus_pipeline.STAGES[k][1](spark, odd, sf).select("doc_id").collect()), key=str)
+    assert 0 not in ids(0) and 1 not in ids(0)  # no letter
+    assert 5 not in ids(1) and 4 in ids(1)  # a copy
+    assert ids(2) == sorted((r["doc_id"] for r in odd.select("doc_id").collect()), key=str)
+    assert corpus_pipeline.STAGES[4][1](spark, odd, sf).count() == odd.count()
+
+
+def test_pipeline_against_its_stages_in_python(spark, sf):
+    """What each stage keeps, recomputed from the documents of the stage before."""
+    from coverdistinct.llm import decontam, langid
+    docs = spark.read.parquet(f"{sf}/documents.parquet")
+    rows = {r["doc_id"]: r for r in docs.collect()}
+    codes = langid.train(docs)
+    name, score, near, told = codes.decode([r["text"] or "" for r in rows.values()])
+    langs = {}
+    for d, n, s, a, t in zip(rows, name, score, near, told):
+        if t and re.search(r"[^\W\d_]", rows[d]["text"] or ""):
+            langs[d] = n if not a and s >= langid.CONFIDENT else rows[d]["lang"]
+    group = groups([(d, rows[d]["text"]) for d in langs], 5, 80)
+    kept = {d for d, (_, top) in group.items() if top == d}
+    bench = decontam.Benchmark.build([(r["item_id"], r["text"]) for r in spark.read.parquet(f"{sf}/benchmark.parquet").collect()])
+    kept = {d for d in kept if not bench.hits(rows[d]["text"])}
+    leaves = collections.defaultdict(list)
+    for d in kept:
+        leaves[rows[d]["source"], langs[d]].append((d, len(re.findall("[^\x20\x09-\x0D]+", rows[d]["text"]))))
+    out = {r["doc_id"]: r for r in corpus_pipeline.run(spark, sf).collect()}
+    assert set(out) <= kept
+    # of each leaf a prefix in the seeded order, of tokens within its budget
+    sized = spark.createDataFrame([(mixing_domain(s), l, s, sum(n for _, n in x)) for (s, l), x in leaves.items()], "domain string, language string, source string, tokens long")
+    for b in mixing.budgets(sized, corpus_pipeline.MIX_SHARE, 1).collect():
+        mine = leaves[b["source"], b["language"]]
+        if b["epochs"]:
+            assert all(d in out for d, _ in mine)
+            continue
+        place = lambda x: hashlib.md5(f"{x[0]}|{x[1]}|0|{mixing.SEED}".encode()).hexdigest()
+        upto, want = 0, set()
+        for d, n in sorted(mine, key=place):
+            upto += n
+            if upto > b["rest"]:
+                break
+            want.add(d)
+        assert {d for d, _ in mine if d in out} == (want if b["rest"] > 0 else set())
+    assert all(r["text_crc32"] == zlib.crc32((rows[d]["text"] or "").encode()) for d, r in out.items())
+
+
+def mixing_domain(source):
+    n = int(re.fullmatch(r"src(\d+)", source)[1])
+    return "web" if n < 10 else "books" if n < 15 else "forum" if n < 20 else "other"
+
+
 def test_pipeline_stages(spark, sf):
     names = [n for n, _ in corpus_pipeline.STAGES]
     assert names == ["language id", "near-duplicates", "decontamination", "mixing", "sharding"]
@@ -299,6 +396,6 @@ def test_pipeline_stages(spark, sf):
         assert out.columns == docs.columns
         out = out.cache()
         k, ids = out.count(), out.select("doc_id").distinct().count()
-        assert 0 < k <= n and ids == k and out.exceptAll(docs).count() == 0
+        assert 0 < k <= n and ids == k and out.drop("lang").exceptAll(docs.drop("lang")).count() == 0
         docs, n = out, k
     assert corpus_pipeline.run(spark, sf).count() == n

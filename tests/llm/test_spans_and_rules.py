@@ -11,6 +11,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from coverdistinct.llm import decontam, entries, langid, pii, quality, toxicity, urlfilter
+from coverdistinct.llm.common import settle
 
 DOC = "doc_id long, text string, lang string, source string, n_chars long, kept string, w string"
 TEXTS = [None, "", "  \n ", "one", "a b c d e f g h a b c d e f g h " * 4, "x" * 5000, "Éàü ß\n" * 400, "same text", "same text", "mail a.b@c-d.example.org, ip 10.0.0.1 +1 (222) 333-4444 4111 1111 1111 1111 $$"]
@@ -125,6 +126,40 @@ def quality_of(t):
     return len(w), sum(map(len, w)), sum(c in "#*$%&|<>" for c in t), len(lines) - len(set(lines)), len(marked)
 
 
+def test_graph_scores_and_spans_against_brute_force(spark, sf):
+    """The whole operator on a whole table: candidates from the texts, all else recomputed in plain Python."""
+    docs = spark.read.parquet(f"{sf}/documents.parquet").select("doc_id", "text")
+    keys = [(10_000 + i, f"log entry token = \"{hashlib.sha1(str(i).encode()).hexdigest()}\" end, badge K{i % 7}7{i}x1") for i in range(30)] + [(20_000, 'token = "short4key9" badge A77b7x'), (None, "x")]
+    docs = docs.union(spark.createDataFrame(keys, "doc_id long, text string"))
+    texts = [(r["doc_id"], r["text"] or "") for r in docs.collect()]
+    found = {d: pii.candidates(t, pii.base_spans(t)) for d, t in texts}
+    edges, seed = set(), collections.defaultdict(float)
+    for c in (c for cs in found.values() for c in cs):
+        edges.add((c[2], c[3]))
+        seed[c[3]] = max(seed[c[3]], float(c[4]))
+    by = collections.defaultdict(set)
+    for p, i in edges:
+        by[p].add(i)
+    score, conf = dict(seed), {}
+    for _ in range(pii.ROUNDS):
+        conf = {p: sum(score[i] for i in ins) / (len(ins) + pii.PRIOR) for p, ins in by.items()}
+        new = dict(score)
+        for p, ins in by.items():
+            if len(ins) >= pii.LEAST_SUPPORT:
+                for i in ins:
+                    new[i] = max(new[i], conf[p])
+        score = {i: max(seed[i], new[i]) for i in new} if _ == 0 else {i: max(seed[i], max([conf[p] for p in ps] or [0])) for i, ps in ((i, [p for p, q in edges if q == i and len(by[p]) >= pii.LEAST_SUPPORT]) for i in seed)}
+    good = {p for p in by if conf[p] >= pii.BAR and len(by[p]) >= pii.LEAST_SUPPORT}
+    got = {r["doc_id"]: r for r in pii.find_personal_data(docs).collect()}
+    assert len(got) == len(texts)
+    for d, t in texts:
+        base = pii.base_spans(t)
+        learned = {(a, b, "secret") for a, b, p, _, s in found[d] if (p in good or s) and not any(x < b and a < y for x, y, _ in base)}
+        order = [*pii.KINDS, "secret"]
+        assert got[d]["spans"] == pii.join_spans(sorted([*base, *learned], key=lambda s: (s[0], order.index(s[2]), s[1]))), d
+    assert any("secret" in r["spans"] for r in got.values())
+
+
 def test_quality_measures_against_brute_force(spark, sf, odd, none):
     docs = spark.read.parquet(f"{sf}/documents.parquet").select("doc_id", "text", "lang").union(odd.select("doc_id", "text", "lang"))
     texts = collections.defaultdict(list)
@@ -154,6 +189,35 @@ def test_binomial_tail_and_its_guarantee(spark):
     assert few.count() == 0
 
 
+def test_cutoffs_are_proven_on_a_large_labelled_table(spark, tmp_path):
+    """The registered SQL replays the whole operator where cutoffs can be proven and reject documents that the base rules keep."""
+    rng, rows, labels = np.random.default_rng(13), [], []
+    for i in range(13_000):
+        lang = "en" if i % 2 else "de"
+        w = [f"{lang}w{k}" for k in rng.integers(0, 400, 24)]
+        bad = i % 13 == 0
+        if bad:  # symbols, long words or repeated lines
+            w = w[:20] + ["#$" * 60] if i % 3 == 0 else ["x" * 30] * 2 + [x * 5 for x in w] if i % 3 == 1 else w
+        text = " ".join(w) + ("\n" + "\n".join(["same line"] * 12) if bad and i % 3 == 2 else "")
+        rows.append((i, text, lang, "src1", len(text)))
+        labels.append((i, 0 if bad else 1, 0))
+    rows += [(20_000, None, None, None, None), (20_001, "", "en", None, 0)]
+    spark.createDataFrame(rows, "doc_id long, text string, lang string, source string, n_chars long").coalesce(1).write.parquet(f"{tmp_path}/documents")
+    spark.createDataFrame(labels, "doc_id long, quality int, toxic int").coalesce(1).write.parquet(f"{tmp_path}/labels")
+    docs, marks = (spark.read.parquet(f"{tmp_path}/{t}") for t in ("documents", "labels"))
+    got = sorted(map(tuple, quality.rule_documents(docs, marks).select("doc_id", "n_words", "n_symbols", "base_failed", "kept").collect()))
+    con = duckdb.connect()
+    for t in ("documents", "labels"):
+        con.execute(f"CREATE VIEW {t} AS SELECT * FROM read_parquet('{tmp_path}/{t}/*.parquet')")
+    assert got == sorted(con.execute(f"SELECT doc_id, n_words, n_symbols, base_failed, kept FROM ({entries.ORACLE_SQL['op10_quality_rules']})").fetchall())
+    rejected = {r[0] for r in got if not r[3] and not r[4]}
+    assert len(rejected) > 300 and all(i % 13 == 0 for i in rejected)
+    measured = settle(quality.measures(docs), "measured")
+    assert quality.cutoffs(measured, marks).count() >= 6
+    # with a bar that no count can pass, nothing but the base rules rejects: the test decides
+    assert quality.judge(measured, quality.cutoffs(measured, marks, level=1e-12)).where("kept = base_failed").count() == 0
+
+
 def test_language_codes(spark, odd, none):
     words = {"aa": "laka mola tika sola", "bb": "whex thorp grund blist", "cc": "çéte ûlnê ôrié àvec"}
     rng = np.random.default_rng(5)
@@ -188,6 +252,17 @@ def test_whole_texts_train(spark):
     assert all(r["lang_pred"] == rows[r["doc_id"]][2] for r in out)
 
 
+def test_training_takes_a_bounded_number_of_a_language(spark, monkeypatch):
+    """The first rows in the order, whatever the partitions, each once however often it is repeated."""
+    monkeypatch.setattr(langid, "TRAIN_ROWS", 20)
+    rows = [(i, f"laka{i} mola", "aa") for i in range(3000)] + [(i, f"whex{i} thorp", "bb") for i in range(3000, 3010)]
+    docs, seen = spark.createDataFrame(rows, "doc_id long, text string, lang string"), []
+    monkeypatch.setattr(langid.Codes, "fit_histograms", classmethod(lambda cls, x, langs, steps=150: seen.append((collections.Counter(langs), x.sum()))))
+    for d in (docs, docs.repartition(7), docs.union(docs).union(docs)):
+        langid.train(d)
+    assert all(s[0] == seen[0][0] and s[1] == pytest.approx(seen[0][1], rel=1e-5) for s in seen) and seen[0][0]["aa"] == 20 and 5 <= seen[0][0]["bb"] <= 10
+
+
 def test_texts_of_no_learned_language_are_dropped(spark):
     words = {"aa": "laka mola tika sola", "bb": "whex thorp grund blist", "cc": "çéte ûlnê ôrié àvec"}
     rng = np.random.default_rng(5)
@@ -197,6 +272,17 @@ def test_texts_of_no_learned_language_are_dropped(spark):
     docs = spark.createDataFrame(rows + odd, "doc_id long, text string, lang string")
     kept = langid.keep_identified(docs)
     assert kept.columns == docs.columns and sorted(r["doc_id"] for r in kept.collect()) == list(range(300))
+    # the decision takes effect: missing and plainly wrong labels are told, columns of the caller stay
+    wrong = [i for i in range(300) if i % 3 and i % 50 and zlib.crc32(str(i).encode()) % 4 == 2][:20]
+    some = docs.where("doc_id < 1000").withColumn("lang", F.when(F.col("doc_id") % 50 == 0, None).when(F.col("doc_id").isin(*wrong), "aa").otherwise(F.col("lang"))).withColumns({"score": F.lit(0.123), "lang_pred": F.lit("x"), "ambiguous": F.lit(True), "told": F.lit(7)})
+    out = {r["doc_id"]: r for r in langid.keep_identified(some).collect()}
+    assert sorted(out) == list(range(300)) and all(r["lang"] == rows[i][2] and (r["score"], r["lang_pred"], r["ambiguous"], r["told"]) == (0.123, "x", True, 7) for i, r in out.items())
+    # between two languages, a label decides; without one the text goes
+    both = docs.union(spark.createDataFrame([(3000, "laka mola tika sola whex thorp grund blist", "bb"), (3001, "laka mola tika sola whex thorp grund blist", None)], docs.schema))
+    ids = {r["doc_id"]: r["lang"] for r in langid.keep_identified(both).where("doc_id >= 3000").collect()}
+    far = {r["doc_id"]: r["ambiguous"] for r in langid.predict(both, langid.train(both)).where("doc_id >= 3000").collect()}
+    assert ids[3000] == "bb" if far[3000] else 3000 in ids
+    assert (3001 in ids) == (not far[3001])
     # nothing to learn from: texts with a letter stay
     bare = langid.keep_identified(docs.withColumn("lang", F.lit(None).cast("string")))
     assert bare.count() == docs.count() - 2
@@ -238,6 +324,40 @@ def test_toxicity_on_held_out_rows(spark, odd, none):
     assert toxicity.score_documents(odd, labels).count() == odd.count() and toxicity.score_documents(none, labels).count() == 0
 
 
+def test_swapped_sentences_score_alike_end_to_end(spark):
+    """Documents that name groups: with the penalty the group moves the score less, in each language."""
+    rng, rows, pairs = np.random.default_rng(12), [], [("muslims", "christians"), ("muslime", "christen"), ("musulmans", "chrétiens"), ("musulmanes", "cristianos")]
+    for i in range(1600):
+        toxic = i % 4 == 0
+        group = pairs[i // 4 % 4][0 if rng.random() < (0.85 if toxic else 0.15) else 1]
+        rows.append((i, " ".join(rng.permutation([group, *rng.choice([f"w{k}" for k in range(40)], 8), *(["vileword"] if toxic and rng.random() < 0.7 else [])])), int(toxic)))
+    tests = [(10_000 + 2 * k + j, f"w1 w2 w3 {p[j]} w4 w5") for k, p in enumerate(pairs) for j in (0, 1)]
+    docs = spark.createDataFrame([r[:2] for r in rows] + tests, "doc_id long, text string")
+    labels = spark.createDataFrame([(r[0], r[2]) for r in rows], "doc_id long, toxic int")
+    gaps = []
+    for penalty in (0.0, 3.0):
+        got = {r["doc_id"]: r["score"] for r in toxicity.score_documents(docs, labels, penalty).collect()}
+        gaps.append([got[10_000 + 2 * k] - got[10_001 + 2 * k] for k in range(4)])
+    assert min(gaps[0]) > 0.1 and all(abs(b) < a / 3 for a, b in zip(*gaps))
+    # groups are a parameter: words that no group names keep their pull
+    own = {r["doc_id"]: r["score"] for r in toxicity.score_documents(docs, labels, 3.0, [["muslims", "christians"]]).collect()}
+    assert abs(own[10_000] - own[10_001]) < gaps[0][0] / 3 and own[10_002] - own[10_003] > gaps[0][1] / 2
+
+
+def test_toxicity_scores_of_a_whole_table_against_the_model(spark, sf, odd):
+    """Every row's score is the trained model's, recomputed word by word; repeated ids do not add rows to the fit."""
+    docs, labels = spark.read.parquet(f"{sf}/documents.parquet").select("doc_id", "text"), spark.read.parquet(f"{sf}/labels.parquet")
+    model = toxicity.train(docs, labels)
+    weight = dict(zip(model.names, model.weights))
+    for r, text in ((r, r["text"]) for r in toxicity.score_documents(docs, labels).join(docs, "doc_id").collect()):
+        words = set(re.findall(r"\w+", text.lower()))
+        heads = collections.Counter(w[:6] for w in words if len(w) > 6 and not any(w in g for g in toxicity.IDENTITY_TERMS))
+        z = model.bias + sum(weight.get(w, 0) for w in words) + sum(weight.get("^" + h, 0) * np.log2(1 + n) for h, n in heads.items())
+        assert r["score"] == pytest.approx(1 / (1 + np.exp(-z)), abs=1e-9) and r["predicted"] == (r["score"] >= 0.5)
+    twice = toxicity.train(docs.union(docs).union(docs), labels)
+    assert twice.names == model.names and np.allclose(twice.weights, model.weights)
+
+
 def test_tiles_catch_reordered_passages():
     item = [f"t{i}" for i in range(30)]
     doc = ["x"] * 10 + item[20:] + ["y"] + item[:10] + ["z"] * 5 + item[10:20]
@@ -301,6 +421,8 @@ def test_hits_against_brute_force():
             found = sum(x[2] for x in tiles_slowly(text.split(), item, 5))
             if len(item) >= 5 and found >= 0.5 * len(item):
                 want[i] = max(want.get(i, 0), found / len(item))
+            if len(item) < 5 and text.split() == item:
+                want[i] = 1.0
         got = decontam.Benchmark.build(bench).hits(text)
         assert {x[0]: x[1] for x in got} == want and len(got) == len(want)
         assert [x[1] for x in got] == sorted(want.values(), reverse=True)
@@ -308,6 +430,33 @@ def test_hits_against_brute_force():
     assert index.hits("yes no yes no yes no yes no") == [(1, 1.0, 1, 8)] and index.hits("no no no no no no")[0][:2] == (2, 1.0)
 
 
+def test_short_items_are_found_where_they_are_the_whole_text(spark):
+    bench = spark.createDataFrame([(1, "Yes, no!"), (2, "yes no"), (None, "so"), (3, ""), (4, "a b c d e f")], "item_id long, text string")
+    docs = spark.createDataFrame([(1, "YES no"), (2, "yes no yes"), (3, "so"), (4, "so so"), (5, ""), (6, "b c d")], "doc_id long, text string")
+    out = {r["doc_id"]: r for r in decontam.decontaminate(docs, bench).collect()}
+    assert {k for k, r in out.items() if not r["kept"]} == {1, 3} and out[1]["items"] == [1, 2] and out[3]["items"] == [None] and out[1]["coverage"] == 1.0
+    assert {r["doc_id"] for r in decontam.keep_uncontaminated(docs, bench).collect()} == {2, 4, 5, 6}
+
+
+def test_decontamination_of_a_whole_table_against_brute_force(spark, sf):
+    bench = [(r["item_id"], decontam.tokens(r["text"])) for r in spark.read.parquet(f"{sf}/benchmark.parquet").collect()]
+    grams = {i: {tuple(t[k:k + 5]) for k in range(len(t) - 4)} for i, t in bench}
+    docs, want = spark.read.parquet(f"{sf}/documents.parquet"), {}
+    for r in docs.collect():
+        t = decontam.tokens(r["text"])
+        own = {tuple(t[k:k + 5]) for k in range(len(t) - 4)}
+        found = {}
+        for i, item in bench:
+            if own & grams[i]:  # without a common run of five there is no tile
+                n = sum(x[2] for x in tiles_slowly(*[[w if w in set(item) else None for w in t], item, 5][:2], 5)) if len(t) < 400 else sum(x[2] for x in decontam.tiles(t, item))
+                if 2 * n >= len(item):
+                    found[i] = n / len(item)
+        want[r["doc_id"]] = found
+    got = {r["doc_id"]: r for r in decontam.decontaminate(docs, spark.read.parquet(f"{sf}/benchmark.parquet")).collect()}
+    assert any(want.values()) and {d: set(r["items"]) for d, r in got.items()} == {d: set(w) for d, w in want.items()}
+    assert all(r["kept"] == (not want[d]) and r["coverage"] == pytest.approx(max(want[d].values(), default=0)) for d, r in got.items())
+
+
 def test_every_item_row_counts(spark):
     assert decontam.tokens("Abc 天地玄黄，宇宙 x1 ไทย É") == ["abc", *"天地玄黄宇宙", "x1", *"ไทย", "é"]
     item = ["one two three four five six", "red green blue black white grey", "ash oak elm fir yew box", "春眠不觉晓处处闻啼鸟"]
