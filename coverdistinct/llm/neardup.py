@@ -30,12 +30,12 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import Window as W
 
-from .common import ascii_lower, settle, words
+from .common import ascii_lower, settle, unit, words
 
 K = 64
 #: A list up to this length is compared in full at once; a longer one by differences from a reference set.
 SHORT = 48
-#: Members whose majority makes a reference (any set would be right, a good one makes small differences); turns in
+#: Members, about so many by their draws, whose majority makes a reference (any set would be right, a good one makes small differences); turns in
 #: which lists with a common member share one; turns after which the lists that are left are compared in full.
 VOTERS, MERGED_TURNS, TURNS = 31, 3, 12
 
@@ -177,8 +177,8 @@ class NearDuplicates:
 
     def _references(self, clusters: DataFrame, members: DataFrame) -> DataFrame:
         """``(cluster, ref)``: what most voters hold; it agrees with every list that made the cluster."""
-        order = W.partitionBy("cluster").orderBy(F.xxhash64("cluster", "id"), "id")
-        voters = members.withColumn("k", F.row_number().over(order)).where(F.col("k") <= VOTERS).drop("k")
+        sizes = members.groupBy("cluster").agg(F.count(F.lit(1)).alias("m"))
+        voters = members.join(sizes.hint("merge"), "cluster").where(F.col("m") * unit(F.col("cluster"), F.col("id")) < VOTERS).select("cluster", "id")
         voters = voters.join(voters.groupBy("cluster").agg(F.count(F.lit(1)).alias("voters")).hint("merge"), "cluster")
         votes = voters.join(self.sets, "id").select("cluster", "voters", F.explode("s").alias("value")).groupBy("cluster", "voters", "value").agg(F.count(F.lit(1)).alias("votes"))
         voted = votes.where("2 * votes > voters").select("cluster", "value", F.lit(False).alias("firm"), F.lit(True).alias("has"))
