@@ -7,12 +7,15 @@ from collections.abc import Iterator
 from pyspark.sql import SparkSession
 from pyspark.sql import functions as F
 
+from ..operators.planner import best_u_sql
+
 FUNCTIONS = {
     "cov_ratio(e1 BIGINT, l BIGINT)": "try_divide(1.0D, 1 - try_divide(e1, l))",
     "p0_hat(e1 BIGINT, l BIGINT)": "try_divide(e1, l)",
     "rel_var_sampled(p0 DOUBLE, p1 DOUBLE, l BIGINT, m BIGINT, are DOUBLE)": "(p0 * (1 - p0) + p1) / (l * (1 - p0) * (1 - p0)) + 1 / (are * m)",
     "rel_var_subsampled(p0 DOUBLE, p1 DOUBLE, u BIGINT, m BIGINT, are DOUBLE)": "(2 * p0 * (1 - p0) + p1) / (u * (1 - p0) * (1 - p0)) + 1 / (are * m)",
-    "best_u(b BIGINT, c DOUBLE, are DOUBLE)": "CAST(least(greatest(round(b * sqrt(c) / (sqrt(c) + sqrt(1 / are))), 1), b - 2) AS BIGINT)",
+    "expected_sampled(n BIGINT, p0 DOUBLE, p0_mass DOUBLE)": "n * (1 - p0) / (1 - p0_mass)",
+    "best_u(b BIGINT, c DOUBLE, are DOUBLE)": best_u_sql("b", "c", "are"),
 }
 
 

@@ -87,16 +87,22 @@ def efficiency(n, m, variance):
     return n * n / m / variance
 
 
-def _survive(f: Column, rate: float, form: str) -> Column:
-    return F.exp(-rate * f) if form == "exp" else F.pow(F.lit(1.0 - rate), f)
+def _survive(f: Column, rate: float | Column, form: str) -> Column:
+    return F.exp(-rate * f) if form == "exp" else F.pow(F.lit(1.0) - rate, f)
 
 
-def moments(freqs: DataFrame, rate: float, group_by: list[str] | None = None, form: str = "exact") -> DataFrame:
+def moments_at(freqs: DataFrame, rates: list[float], form: str = "exact") -> DataFrame:
+    """``moments`` at several rates, from one pass over the frequencies."""
+    rows = freqs.select("f", F.explode(F.array(*[F.lit(float(r)) for r in rates])).alias("rate"))
+    return moments(rows, F.col("rate"), ["rate"], form)
+
+
+def moments(freqs: DataFrame, rate: float | Column, group_by: list[str] | None = None, form: str = "exact") -> DataFrame:
     """Expected p0, p1 over values and, weighted by frequency, over occurrences.
 
     ``freqs`` has one row per value with its frequency ``f``; one aggregate."""
     f = F.col("f").cast("double")
-    once = rate * f * F.exp(-rate * f) if form == "exp" else f * rate * F.pow(F.lit(1.0 - rate), f - 1)
+    once = rate * f * F.exp(-rate * f) if form == "exp" else f * rate * F.pow(F.lit(1.0) - rate, f - 1)
     none = _survive(f, rate, form)
     return freqs.groupBy(*(group_by or [])).agg(
         F.count(F.lit(1)).alias("n"), F.sum("f").cast("long").alias("length"),
@@ -110,6 +116,16 @@ def expected_estimate(n, p0, p0_mass):
     return n * (1 - p0) / (1 - p0_mass)
 
 
+def expected_subsampled(n, p0, p0_mass, u, square=None):
+    """The mean of the subsampled estimator to second order in 1 / u.  The share of once-seen
+    draws has the sample's share as its mean and, with uniform draws that are looked up in the
+    sample, the variance p (1 - p) / u.  With draws that keep the copies of a value together, each
+    value of k copies adds (1[k = 1] - p k)^2: ``square`` is the sum of k^2 over the sample's length."""
+    p = p0_mass
+    var = (p * (1 - p) if square is None else p * (1 - 2 * p) + p * p * square) / u
+    return expected_estimate(n, p0, p) * (1 + var / ((1 - p) * (1 - p)))
+
+
 def storage(method: str, m: int, l=0, u=0, ns=None):  # noqa: E741
     """Storage units; with ``ns`` what is really held (one counter per sampled value)."""
     if method == "sampled":

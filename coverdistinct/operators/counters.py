@@ -137,14 +137,21 @@ class BottomM:
     def storage_units(self):
         return self.m
 
-    def _lowest(self, hashes, group_by):
+    def _lowest(self, hashes, group_by, near=None):
+        """The m lowest distinct hashes; ``near`` is a rough count of them, one row: with it
+        only about 2 m + 100 of the lowest go on, and no task sends more to the merge (that fewer
+        than m of them are there has odds below 1e-12)."""
         if not group_by:
+            if near is not None:
+                bound = near.select(((2.0 * self.m + 100) * float(SPAN) / F.greatest("near", F.lit(1))).alias("bound"))
+                hashes = hashes.crossJoin(F.broadcast(bound)).where(F.col("hash") < F.col("bound")).select("hash")
             return hashes.distinct().orderBy("hash").limit(self.m)
         order = W.partitionBy(*group_by).orderBy("hash")
         return hashes.distinct().withColumn("k", F.row_number().over(order)).where(F.col("k") <= self.m).drop("k")
 
     def state(self, sample, group_by=()):
-        return self._lowest(sample.select(*group_by, hash60(F.col("element"), "v", self.seed, self.fast).alias("hash")), list(group_by))
+        hashes = sample.select(*group_by, hash60(F.col("element"), "v", self.seed, self.fast).alias("hash"))
+        return self._lowest(hashes, list(group_by), None if group_by else sample.agg(F.approx_count_distinct("element").alias("near")))
 
     def merge(self, a, b):
         return self._lowest(a.unionByName(b), [c for c in a.columns if c != "hash"])

@@ -7,7 +7,7 @@ P0 from a probe.  Both give one ``EstimateRow`` per group, lazily.
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..functions import theory
@@ -68,6 +68,16 @@ def _fused(sample: DataFrame, hll: HyperLogLog, g: list[str]) -> DataFrame:
     return out.withColumn("ns_hat", hll.formula(F.col("used"), F.col("power_sum")))
 
 
+def _registers_and_length(sample: DataFrame, hll: HyperLogLog, g: list[str]) -> DataFrame:
+    """The count and the sample's length from one scan: registers carry how many rows fed
+    them, so a task shuffles m rows.  (The lowest u of a probe are another scan: the engine has
+    no aggregate that keeps them; ``fused`` folds both in one, in Python workers.)"""
+    b, r = hll.registers(F.col("element"))
+    regs = sample.select(*g, b.alias("bucket"), r.alias("rank")).groupBy(*g, "bucket").agg(F.max("rank").alias("rank"), F.count(F.lit(1)).alias("rows"))
+    out = regs.groupBy(*g).agg(F.count("bucket").alias("used"), F.coalesce(F.sum(F.pow(F.lit(2.0), -F.col("rank"))), F.lit(0.0)).alias("power_sum"), F.coalesce(F.sum("rows"), F.lit(0)).alias("l"))
+    return out.select(*g, hll.formula(F.col("used"), F.col("power_sum")).alias("ns_hat"), "l")
+
+
 def _combine(a: DataFrame, b: DataFrame, g: list[str]) -> DataFrame:
     """Two frames of one row, or of one row per group."""
     if not g:
@@ -104,9 +114,12 @@ def estimate_subsampled(sample: DataFrame, u: int, counter=None, mode: str = "va
     share comes from u occurrences; no shuffle by element."""
     counter = counter or HyperLogLog()
     g = group_by or []
-    length = sample.groupBy(*g).agg(F.count(F.lit(1)).alias("l"))
     found = probe(sample, u, mode, seed, g, fast, boundary)
-    parts = _combine(_combine(counter.estimate(counter.state(sample, g), g), length, g), found, g)
+    if type(counter) is HyperLogLog:
+        counted = _registers_and_length(sample, counter, g)
+    else:
+        counted = _combine(counter.estimate(counter.state(sample, g), g), sample.groupBy(*g).agg(F.count(F.lit(1)).alias("l")), g)
+    parts = _combine(counted, found, g)
     parts = parts.withColumn("ns", F.lit(None).cast("long")).withColumn("e1", F.lit(None).cast("long")).withColumn("e2", F.lit(None).cast("long"))
     return finish(parts, "subsampled", counter, rate, g, are)
 
@@ -151,11 +164,6 @@ def skew_aware(sample: DataFrame) -> DataFrame:
                     base.alias("coverage"), cv2.alias("cv2"), (base + F.try_divide(F.col("l") * (1 - share), share) * cv2).alias("coverage_cv"))
 
 
-def are_of(estimates: Column, n: float, m: int) -> Column:
-    """Empirical relative efficiency over replicated estimates."""
-    return F.lit(n * n / m) / F.var_pop(estimates)
-
-
 def expected(freqs: DataFrame, rate: float) -> DataFrame:
     """The mean that the coverage estimator has on a stream with these frequencies."""
     m = theory.moments(freqs, rate)

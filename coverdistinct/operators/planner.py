@@ -48,6 +48,19 @@ def best_split_sampled(budget: int, length: int, ns: int | None = None) -> int:
     return max(budget - (length if ns is None else ns), 0)
 
 
+def split_sampled(budget: Column, held: Column) -> Column:
+    """The same in the plan: null where the budget does not hold the singleton count and two registers."""
+    return F.when(budget - held >= 2, budget - held).cast("long")
+
+
+def best_u_sql(b: str, c: str, are: str) -> str:
+    """``best_u`` as SQL text, for functions whose bodies are put in line."""
+    ideal = f"{b} * sqrt({c}) / (sqrt({c}) + sqrt(1 / {are}))"
+    low, high = (f"least(greatest(CAST({f}({ideal}) AS DOUBLE), 1), {b} - 2)" for f in ("floor", "ceil"))
+    var = "{c} / ({u}) + 1 / ({are} * ({b} - ({u})))"
+    return f"CAST(CASE WHEN {var.format(c=c, u=high, are=are, b=b)} < {var.format(c=c, u=low, are=are, b=b)} THEN {high} ELSE {low} END AS BIGINT)"
+
+
 def budget_for(target: float, p0: float, p1: float, are: float = 1.0) -> int:
     """The least budget whose best split reaches the target variance."""
     return int(math.ceil((math.sqrt(coefficient(p0, p1)) + math.sqrt(1 / are)) ** 2 / target))

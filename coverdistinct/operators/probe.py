@@ -15,6 +15,7 @@ from __future__ import annotations
 import heapq
 from collections.abc import Iterator
 
+import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import Window as W
@@ -68,29 +69,59 @@ def probe(sample: DataFrame, u: int, mode: str = "value_hash", seed: int = 42, g
     return _heads(sub.groupBy(*g, "element").agg(F.count(F.lit(1)).alias("f")), g)
 
 
-def reservoir_cost(sample: DataFrame, u: int, seed: int = 42) -> DataFrame:
-    """Measured insertions of a one-pass bottom-u reservoir, per task and in all: a
-    measurement, so each task runs its own reservoir over its rows in order."""
-    hashed = sample.select(hash60(F.col("occ"), "u", seed).alias("h"))
+_HELD = "element string, key long, occ_hash long, value_hash long, seen long, insertions long"
+
+
+def reservoir_parts(sample: DataFrame, u: int, keys: str = "value", seed: int = 42) -> DataFrame:
+    """One pass per task over its rows in order, with u places: an element whose key is below
+    the highest one held takes that one's place.  Keys: ``value`` or ``occ`` hashes, or ``random``
+    draws (the classic reservoir; not the same under repartitioning).  At most u rows a task,
+    each with how many rows the task saw and how many of them were inserted."""
+    if keys not in ("value", "occ", "random"):
+        raise ValueError(keys)
+    rows = sample.select(F.col("element").cast("string").alias("element"), hash60(F.col("occ"), "u", seed).alias("occ_hash"), hash60(F.col("element"), "v", seed).alias("value_hash"))
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        heap: list[int] = []
+        from pyspark import TaskContext
+
+        rng = np.random.default_rng([seed, TaskContext.get().partitionId()])
+        held: list[tuple] = []  # a heap of what is held, the highest key on top
         seen = inserted = 0
-        for batch in batches:
-            for h in batch["h"].tolist():
-                seen += 1
-                if len(heap) < u:
-                    heapq.heappush(heap, -h)
-                    inserted += 1
-                elif h < -heap[0]:
-                    heapq.heapreplace(heap, -h)
-                    inserted += 1
-        yield pd.DataFrame({"seen": [seen], "insertions": [inserted]})
-
-    return hashed.mapInPandas(run, "seen long, insertions long")
-
-
-def classic_reservoir(sample: DataFrame, u: int, seed: int = 42) -> DataFrame:
-    """u occurrences by uniform random keys instead of hashes (not reproducible under
-    repartitioning): the test double of the uniform probe."""
-    return sample.withColumn("__r", F.rand(seed)).orderBy("__r").limit(u).drop("__r")
+        for b in batches:
+            key = b["value_hash"].to_numpy() if keys == "value" else b["occ_hash"].to_numpy() if keys == "occ" else rng.integers(0, 1 << 60, len(b))
+            seen += len(b)
+            free = max(u - len(held), 0)
+            # what is not below the top now will not be later
+            some = np.arange(len(b)) if free else np.flatnonzero(key <= -held[0][0])
+            for i in some.tolist():
+                x = (-int(key[i]), -int(b["occ_hash"].iat[i]), int(b["value_hash"].iat[i]), b["element"].iat[i])
+                if len(held) < u:
+                    heapq.heappush(held, x)
+                elif x > held[0]:
+                    heapq.heapreplace(held, x)
+                else:
+                    continue
+                inserted += 1
+        if seen:
+            yield pd.DataFrame([(e, -k, -o, v, seen, inserted) for k, o, v, e in held], columns=["element", "key", "occ_hash", "value_hash", "seen", "insertions"])
+
+    return rows.mapInPandas(run, _HELD)
+
+
+def reservoir(sample: DataFrame, u: int, keys: str = "value", seed: int = 42) -> DataFrame:
+    """The subsample U of u occurrences, merged from the reservoirs of all tasks: (element,
+    occ_hash, value_hash).  Reservoirs of parts of a stream merge the same way."""
+    return merge_reservoirs(reservoir_parts(sample, u, keys, seed), u).select("element", "occ_hash", "value_hash")
+
+
+def merge_reservoirs(parts: DataFrame, u: int) -> DataFrame:
+    return parts.orderBy("key", "occ_hash").limit(u)
+
+
+def reservoir_cost(sample: DataFrame, u: int, seed: int = 42) -> DataFrame:
+    """Per task the rows seen, the insertions measured and u (1 + ln(l / u)), what they are in
+    random order."""
+    parts = reservoir_parts(sample, u, "occ", seed).withColumn("task", F.spark_partition_id())
+    seen = F.col("seen").cast("double")
+    expected = F.when(seen <= u, seen).otherwise(u * (1 + F.log(seen / u)))
+    return parts.groupBy("task").agg(F.first("seen").alias("seen"), F.first("insertions").alias("insertions")).withColumn("expected", expected)

@@ -158,17 +158,32 @@ def _(spark, d):
         F.theta_sketch_estimate(F.theta_difference("a", "b")).alias("first_only"))
 
 
+EFFICIENCY_M, EFFICIENCY_RUNS = 50, 400
+_VALUES = f"SELECT DISTINCT element FROM ({S('cust_key')})"
+_SEEDED = f"SELECT run, {duck.h60(chr(39).join(['element || ', '|v', ' || run']))} AS h, {duck.h32(chr(39).join(['element || ', '|v', ' || run']))} % {EFFICIENCY_M} AS b, {duck.rank(chr(39).join(['element || ', '|v', ' || run']))} AS r FROM ({_VALUES}), range({EFFICIENCY_RUNS}) q(run)"
+
+
+def _efficiency(spark, d) -> DataFrame:
+    values = load(spark, d, "cust_key").select("element").distinct()
+    runs = workloads.counter_runs(values, EFFICIENCY_M, EFFICIENCY_RUNS)
+    n = values.agg(F.count(F.lit(1)).cast("double").alias("n"))
+    out = runs.crossJoin(F.broadcast(n)).groupBy("procedure", "n").agg(F.var_pop("ns_hat").alias("v"), F.count(F.lit(1)).alias("runs"))
+    return out.select("procedure", F.lit(EFFICIENCY_M).alias("m"), "runs", theory.efficiency(F.col("n"), F.lit(EFFICIENCY_M), F.col("v")).alias("efficiency"))
+
+
 @query("c_efficiency", sql(
-    "SELECT procedure, m, round(n * n / m / var_pop(ns_hat), 6) AS efficiency, count(*) AS runs FROM ("
-    + " UNION ALL ".join(f"SELECT 'bottom_m' AS procedure, {float(m)} AS m, {r} AS run, ns_hat FROM ({duck.bottom_m(S('cust_key'), m, r)}) UNION ALL SELECT 'hll', {float(m)}, {r}, ns_hat FROM ({duck.hll(S('cust_key'), m, [], r)})" for m in (50,) for r in range(8))
-    + f"), (SELECT CAST(count(DISTINCT element) AS DOUBLE) AS n FROM ({S('cust_key')})) GROUP BY procedure, m, n", "m efficiency", "runs"))
-def _(spark, d):
-    """Empirical relative efficiency over seeds (eight here; the replicate harness takes any number)."""
-    x = load(spark, d, "cust_key")
-    rows = union([c.estimate(c.state(x)).select(F.lit(c.name).alias("procedure"), F.lit(float(m)).alias("m"), "ns_hat")
-                  for m in (50,) for r in range(8) for c in (counters.BottomM(m, r), counters.HyperLogLog(m, r))])
-    n = x.agg(F.count_distinct("element").cast("double").alias("n"))
-    return rows.crossJoin(F.broadcast(n)).groupBy("procedure", "m", "n").agg((F.col("n") * F.col("n") / F.col("m") / F.var_pop("ns_hat")).alias("efficiency"), F.count(F.lit(1)).alias("runs")).drop("n")
+    f"WITH s AS MATERIALIZED ({_SEEDED}), n AS (SELECT CAST(count(*) AS DOUBLE) AS n FROM ({_VALUES})) "
+    f"SELECT procedure, CAST({EFFICIENCY_M} AS BIGINT) AS m, count(*) AS runs, n * n / {EFFICIENCY_M} / var_pop(ns_hat) AS efficiency FROM ("
+    f"SELECT 'bottom_m' AS procedure, run, {EFFICIENCY_M - 1} / (CAST(max(h) AS DOUBLE) / {float(SPAN)}) AS ns_hat FROM (SELECT run, h, row_number() OVER (PARTITION BY run ORDER BY h) AS k FROM s) WHERE k <= {EFFICIENCY_M} GROUP BY run "
+    f"UNION ALL SELECT 'hll', run, {duck.hll_formula(EFFICIENCY_M)} FROM (SELECT run, count(*) AS used, sum(pow(2.0, -r)) AS z FROM (SELECT run, b, max(r) AS r FROM s GROUP BY ALL) GROUP BY run)), n GROUP BY procedure, n", "efficiency"))
+def _(spark, d):
+    """Empirical relative efficiency over 400 seeds."""
+    return _efficiency(spark, d).where("procedure <> 'max_term'")
+
+
+@query("c_efficiency_max_term")
+def _(spark, d):
+    return _efficiency(spark, d).where("procedure = 'max_term'")
 
 
 # --- spectra ---
@@ -234,12 +249,20 @@ def _(spark, d):
 @query("r4_reservoir_cost")
 def _(spark, d):
     cost = probe.reservoir_cost(load(spark, d, "part_key"), 100)
-    return cost.agg(F.sum("seen").alias("seen"), F.sum("insertions").alias("insertions"), F.count(F.lit(1)).alias("tasks"))
+    return cost.agg(F.sum("seen").alias("seen"), F.sum("insertions").alias("insertions"), F.sum("expected").alias("expected"), F.count(F.lit(1)).alias("tasks"))
 
 
-@query("r6_classic_reservoir")
+@query("r6_classic_reservoir", "SELECT least(100, count(*)) AS u FROM lineitem")
 def _(spark, d):
-    return probe.classic_reservoir(load(spark, d, "part_key"), 100).agg(F.count(F.lit(1)).alias("u"))
+    """Random keys: another subsample under another partitioning, always of u occurrences."""
+    return probe.reservoir(load(spark, d, "part_key"), 100, "random").agg(F.count(F.lit(1)).alias("u"))
+
+
+@query("r6_reservoir", tagged({k: f"SELECT element, {duck.h60(chr(39).join(['occ || ', '|u42', '']))} AS occ_hash, {duck.h60(chr(39).join(['element || ', '|v42', '']))} AS value_hash FROM ({S('order_key')}) ORDER BY {o} LIMIT 300" for k, o in (("value", "value_hash, occ_hash"), ("occ", "occ_hash"))}, "keys"))
+def _(spark, d):
+    """The set U of the one-pass reservoir with replacement of the highest key."""
+    x = load(spark, d, "order_key")
+    return union([_tag(probe.reservoir(x, 300, k), k, "keys") for k in ("value", "occ")])
 
 
 # --- the coverage estimators ---
@@ -315,10 +338,16 @@ def _(spark, d):
     return estimators.estimate_subsampled(y, 300, counters.HyperLogLog(200), group_by=["flag"], rate=0.1)
 
 
-@query("m2_counters")
+@query("m2_counters", " UNION ALL ".join(duck.m2(duck.sample(S("order_key"), 0.1), m, 500, "value_hash", 0.1, name=k, are=are) for k, (_, m, are) in (M1_COUNTERS | {"linear": (None, 65536, 1.0)}).items()))
 def _(spark, d):
     y = sampling.bernoulli(load(spark, d, "order_key"), 0.1)
-    return union([estimators.estimate_subsampled(y, 500, c, rate=0.1) for c in (counters.Exact(), counters.BottomM(500), counters.MaxTerm(500), counters.BuiltinHll(), counters.HllSketch(10), counters.Theta(12), counters.Linear(65536))])
+    return union([estimators.estimate_subsampled(y, 500, c, rate=0.1) for c in (counters.Exact(), counters.HyperLogLog(500), counters.BottomM(500), counters.Linear(65536))])
+
+
+@query("m2_sketch_counters")
+def _(spark, d):
+    y = sampling.bernoulli(load(spark, d, "order_key"), 0.1)
+    return union([estimators.estimate_subsampled(y, 500, c, mode, rate=0.1).withColumn("probe", F.lit(mode)) for mode in ("in_sample", "value_hash") for c in (counters.MaxTerm(500), counters.BuiltinHll(), counters.HllSketch(10), counters.Theta(12))])
 
 
 @query("m2_fused", duck.m2(duck.sample(S("order_key"), 0.1), 200, 500, "value_hash", 0.1))
@@ -373,12 +402,7 @@ def _(spark, d):
 # --- accuracy and cost ---
 
 def _moments(spark, d, names=EVERY, rates=RATES) -> DataFrame:
-    out = []
-    for s in names:
-        freqs = spectrum.counts(load(spark, d, s))
-        for r in rates:
-            out.append(theory.moments(freqs, r).select(F.lit(s).alias("stream"), F.lit(r).alias("rate"), "*"))
-    return union(out)
+    return union([_tag(theory.moments_at(spectrum.counts(load(spark, d, s)), rates), s) for s in names])
 
 
 def _moments_sql(names=EVERY, rates=RATES) -> str:
@@ -397,6 +421,38 @@ def _(spark, d):
     return m.select("stream", "rate", "n", (1 - F.col("p0")).alias("naive"), theory.expected_estimate(F.lit(1.0), F.col("p0"), F.col("p0_mass")).alias("sampled"))
 
 
+def _moments_of_sql(names, rates, form="exact") -> str:
+    return " UNION ALL ".join(f"SELECT '{s}' AS stream, CAST({r!r} AS DOUBLE) AS rate, * FROM ({duck.moments_of(duck.counts(S(s)), r, form)})" for s in names for r in rates)
+
+
+@query("v_moments_exponential", sql(f"SELECT stream, rate, e.p0 AS p0_exp, e.p1 AS p1_exp, x.p0 AS p0_exact, x.p1 AS p1_exact FROM ({_moments_of_sql(EVERY, RATES, 'exp')}) e JOIN ({_moments_of_sql(EVERY, RATES)}) x USING (stream, rate)", "p0_exp p1_exp p0_exact p1_exact"))
+def _(spark, d):
+    """The published exponential forms beside the exact ones: alike at small rates."""
+    out = []
+    for s in EVERY:
+        freqs = spectrum.counts(load(spark, d, s))
+        e, x = (theory.moments_at(freqs, RATES, f).select("rate", F.col("p0").alias(f"p0_{f}"), F.col("p1").alias(f"p1_{f}")) for f in ("exp", "exact"))
+        out.append(_tag(e.join(x, "rate"), s))
+    return union(out)
+
+
+@query("v_expected_subsampled", sql(
+    "SELECT stream, rate, (1 - p0) / (1 - p0_mass) * (1 + p0_mass * (1 - p0_mass) / 100 / ((1 - p0_mass) * (1 - p0_mass))) AS in_sample, "
+    "(1 - p0) / (1 - p0_mass) * (1 + (p0_mass * (1 - 2 * p0_mass) + p0_mass * p0_mass * square) / 100 / ((1 - p0_mass) * (1 - p0_mass))) AS value_hash "
+    f"FROM ({_moments_of_sql(EVERY, [0.1])})", "in_sample value_hash"))
+def _(spark, d):
+    """Expected subsampled estimates of two probes with u = 100, as shares of n."""
+    out, r = [], 0.1
+    for s in EVERY:
+        freqs = spectrum.counts(load(spark, d, s))
+        k = r * F.col("f")
+        square = freqs.agg((F.sum(k * (1 - r) + k * k) / (r * F.sum("f"))).alias("square"))
+        m = theory.moments_at(freqs, [r]).crossJoin(F.broadcast(square))
+        p = [F.lit(1.0), F.col("p0"), F.col("p0_mass"), 100]
+        out.append(_tag(m.select("rate", theory.expected_subsampled(*p).alias("in_sample"), theory.expected_subsampled(*p, F.col("square")).alias("value_hash")), s))
+    return union(out)
+
+
 GRID_M = [50, 100, 150, 200, 500]
 
 
@@ -529,6 +585,17 @@ def _(spark, d):
     return g.select("stream", "rate", "target", planner.budget_column(F.col("target"), planner.coefficient(F.col("p0"), F.col("p1")), F.lit(1.0)).alias("budget"), m1.alias("sampled_units"))
 
 
+@query("k3_split_sampled", sql(f"SELECT stream, budget, CASE WHEN budget - l >= 2 THEN budget - l END AS m_paper, CASE WHEN budget - ns >= 2 THEN budget - ns END AS m_actual, 1 / CASE WHEN budget - ns >= 2 THEN budget - ns END AS sketch_var FROM (" + tagged({s: duck.heads(duck.sample(S(s), 0.1)) for s in LOW_SKEW}) + "), (SELECT unnest([1000, 5000, 100000]) AS budget)", "sketch_var", "budget m_paper m_actual"))
+def _(spark, d):
+    """What a budget leaves the first method's counter, after the singleton count as published and as held."""
+    out = []
+    for s in LOW_SKEW:
+        h = spectrum.heads(sampling.bernoulli(load(spark, d, s), 0.1)).select("*", F.explode(F.array(*[F.lit(b) for b in (1000, 5000, 100000)])).alias("budget"))
+        m = planner.split_sampled(F.col("budget"), F.col("ns"))
+        out.append(_tag(h.select("budget", planner.split_sampled(F.col("budget"), F.col("l")).alias("m_paper"), m.alias("m_actual"), (1 / m).alias("sketch_var")), s))
+    return union(out)
+
+
 @query("k4_pilot", sql(tagged({s: f"SELECT l, ns, e1, e2, e1 / l AS p0, 2 * e2 / l AS p1 FROM ({duck.heads(duck.sample(S(s), 0.05))})" for s in LOW_SKEW}), "p0 p1"))
 def _(spark, d):
     return union([_tag(planner.pilot_moments(sampling.bernoulli(load(spark, d, s), 0.05)), s) for s in LOW_SKEW])
@@ -536,7 +603,9 @@ def _(spark, d):
 
 # --- experiment workloads ---
 
-RUNS = 20
+#: Runs of the experiments on tables, which SQL replays; the models take the reference's number.
+RUNS, MODEL_RUNS, HEAVY_RUNS = 20, 200, 10
+HEAVY_STREAMS = ("word", "talk_word", "value", "host")
 
 
 def _runs(spark, d, s, rates, ms, runs=RUNS):
@@ -579,9 +648,9 @@ def _(spark, d):
 HEAVY = [(50, 1950), (100, 1900), (500, 1500), (1000, 1000), (1500, 500)]
 
 
-@query("w4_heavy_tail", sql(tagged({s: duck.accuracy(duck.run_m2(S(s), [0.1], HEAVY, 5, "value_hash"), S(s), "rate, m, u") for s in ("talk_word", "value", "host")}), ACC, "m u runs"))
+@query("w4_heavy_tail", sql(tagged({s: duck.accuracy(duck.run_m2(S(s), [0.1], HEAVY, HEAVY_RUNS, "value_hash"), S(s), "rate, m, u") for s in HEAVY_STREAMS}), ACC, "m u runs"))
 def _(spark, d):
-    return union([_tag(workloads.accuracy(_sub_runs(spark, d, s, [0.1], HEAVY, "value_hash", 5), F.col("n"), ["rate", "m", "u"]), s) for s in ("talk_word", "value", "host")])
+    return union([_tag(workloads.accuracy(_sub_runs(spark, d, s, [0.1], HEAVY, "value_hash", HEAVY_RUNS), F.col("n"), ["rate", "m", "u"]), s) for s in HEAVY_STREAMS])
 
 
 @query("w5_storage_sampled", sql(f"SELECT rate, m, m + mean_l AS storage, bias, variance FROM ({duck.accuracy(duck.run_m1(S('order_key'), [0.1, 0.05, 0.01], [100, 500, 1000], RUNS), S('order_key'), 'rate, m')})", "storage bias variance", "m"))
@@ -590,6 +659,7 @@ def _(spark, d):
     return a.select("rate", "m", theory.storage("sampled", F.col("m"), F.col("mean_l")).alias("storage"), "bias", "variance")
 
 
+#: The splits published for rate 1/100; ``w6_storage_best`` asks the planner for each rate.
 BEST = {100: (92, 8), 500: (460, 40), 1000: (921, 79)}
 
 
@@ -599,6 +669,19 @@ def _(spark, d):
     return a.select("rate", (F.col("m") + F.col("u")).alias("budget"), "m", "u", "bias", "variance")
 
 
+@query("w6_storage_best")
+def _(spark, d):
+    """The planner's split of each budget at each rate, from the stream's own frequencies, and what it measures."""
+    rates, out = [0.1, 0.05, 0.01], []
+    known = {r["rate"]: (r["p0"], r["p1"]) for r in _moments(spark, d, ["order_key"], rates).collect()}
+    for r in rates:
+        splits = [planner.best_split(b, *known[r]) for b in BUDGETS]
+        a = workloads.accuracy(_sub_runs(spark, d, "order_key", [r], splits, "value_hash"), F.col("n"), ["rate", "m", "u"])
+        c = planner.coefficient(*known[r])
+        out.append(a.select("rate", (F.col("m") + F.col("u")).alias("budget"), "m", "u", "bias", "variance", (c / F.col("u") + 1 / F.col("m")).alias("analysis")))
+    return union(out)
+
+
 @query("w7_full_counter", sql(duck.accuracy(duck.run_m1(S("cust_key"), [1.0], [100, 500, 1000], RUNS), S("cust_key"), "rate, m"), ACC, "m runs"))
 def _(spark, d):
     return workloads.accuracy(_runs(spark, d, "cust_key", [1.0], [100, 500, 1000]), F.col("n"), ["rate", "m"])
@@ -649,7 +732,7 @@ def published(spark, rows, names):
     return spark.createDataFrame([tuple(float(x) if not isinstance(x, int) else x for x in r) for r in rows], names)
 
 
-def model_sampled(spark, d, runs=RUNS, ms=(50, 100, 150), rates=(0.01, 0.001)):
+def model_sampled(spark, d, runs=MODEL_RUNS, ms=(50, 100, 150), rates=(0.01, 0.001)):
     """First method on the uniform model: measured, predicted and published, side by side."""
     freqs, n, m = _model(spark, d, "uniform", list(rates))
     acc = workloads.accuracy(workloads.estimates_sampled(workloads.thinned(freqs, list(rates), runs), list(ms), True), n, ["rate", "m"])
@@ -657,7 +740,7 @@ def model_sampled(spark, d, runs=RUNS, ms=(50, 100, 150), rates=(0.01, 0.001)):
     return workloads.with_theory(acc, m, False).join(told, ["rate", "m"], "left")
 
 
-def model_subsampled(spark, d, model="uniform", mode="value_hash", runs=RUNS):
+def model_subsampled(spark, d, model="uniform", mode="value_hash", runs=MODEL_RUNS):
     """Second method on either model."""
     told = workloads.PUBLISHED_SUBSAMPLED if model == "uniform" else workloads.PUBLISHED_HEAVY
     rates, splits = sorted({r[0] for r in told}), sorted({(r[1], r[2]) for r in told})
@@ -669,7 +752,7 @@ def model_subsampled(spark, d, model="uniform", mode="value_hash", runs=RUNS):
     return workloads.with_theory(acc, m, True).join(told, ["rate", "m", "u"], "left")
 
 
-def model_storage(spark, d, runs=RUNS):
+def model_storage(spark, d, runs=MODEL_RUNS):
     """Storage against variance on the uniform model: both methods and the plain counter."""
     rates = [0.01, 0.002, 0.001]
     freqs, n, m = _model(spark, d, "uniform", rates)
@@ -695,13 +778,18 @@ query("w4_model_heavy")(lambda spark, d: model_subsampled(spark, d, "heavy"))
 query("w5_w7_model_storage")(lambda spark, d: model_storage(spark, d))
 
 
-def _w1_model(spark, d, runs=RUNS):
+def _w1_model(spark, d, runs=MODEL_RUNS):
     freqs, n, _ = _model(spark, d, "uniform", [0.001])
     est = workloads.estimates_sampled(workloads.thinned(freqs, [0.001], runs), [200], True)
     return union([_tag(workloads.accuracy(est, n, ["rate", "m"], c), k, "method") for k, c in (("naive", "n_naive"), ("sampled", "n_hat"))])
 
 
-@query("w6_best_split")
+@query("w6_best_split", sql(
+    f"WITH v AS (SELECT CAST(c_custkey AS VARCHAR) AS element FROM customer ORDER BY c_custkey LIMIT 10000), f AS (SELECT CAST(100 + floor(9901 * ({duck.h60("element || '|y42'")} / {float(SPAN)})) AS BIGINT) AS f FROM v), "
+    "told(rate, budget, published_m, published_u, published_variance) AS (VALUES " + ", ".join(f"({r}::DOUBLE, {b}, {m}, {u}, {v}::DOUBLE)" for r, b, m, u, v in workloads.PUBLISHED_STORAGE_SUBSAMPLED) + "), "
+    "m AS (" + " UNION ALL ".join(f"SELECT CAST({r!r} AS DOUBLE) AS rate, * FROM ({duck.moments_of('SELECT f FROM f', r)})" for r in (0.01, 0.002, 0.001)) + f"), t AS (SELECT told.*, {_c()} AS c FROM told JOIN m USING (rate)) "
+    "SELECT rate, budget, budget - u AS m, u, analysis, published_m, published_u, published_variance FROM (SELECT *, c / u + 1 / (budget - u) AS analysis, row_number() OVER (PARTITION BY rate, budget ORDER BY c / u + 1 / (budget - u), u) AS k FROM t, range(1, 1000) r(u) WHERE u <= budget - 2) WHERE k = 1",
+    "rate analysis published_variance", "budget m u published_m published_u"))
 def _(spark, d):
     """Best splits of the model's moments next to the published ones."""
     _, _, m = _model(spark, d, "uniform", [0.01, 0.002, 0.001])
@@ -733,24 +821,55 @@ def _(spark, d):
 # --- operators around the methods ---
 
 _HLL = counters.HyperLogLog(200)
-_CUST = "SELECT n_name AS nation, r_name AS region, c_mktsegment AS segment, CAST(o_orderkey % 997 AS VARCHAR) AS element FROM orders JOIN customer ON o_custkey = c_custkey JOIN nation ON c_nationkey = n_nationkey JOIN region ON n_regionkey = r_regionkey"
+_CUST = "SELECT n_name AS nation, r_name AS region, c_mktsegment AS segment, CAST(CAST(o_orderdate AS DATE) AS VARCHAR) AS element FROM orders JOIN customer ON o_custkey = c_custkey JOIN nation ON c_nationkey = n_nationkey JOIN region ON n_regionkey = r_regionkey"
 
 
-@query("x_rollup_registers", sql(
-    f"SELECT region, nation, {duck.hll_formula(200)} AS ns_hat FROM (SELECT region, nation, count(*) AS used, sum(pow(2.0, -rank)) AS z FROM ("
-    + " UNION ALL ".join(f"SELECT {r} AS region, {n} AS nation, bucket, max(rank) AS rank FROM ({duck.registers(_CUST, 200, ['region', 'nation'])}) GROUP BY ALL" for r, n in (("region", "nation"), ("region", "'(all)'"), ("'(all)'", "'(all)'")))
-    + ") GROUP BY ALL)", "ns_hat"))
-def _(spark, d):
-    """Registers are kept at the finest level; coarser ones are their maxima, no rescan."""
+def _placed(spark, d) -> DataFrame:
+    """The dates of all orders with the place and segment of their customers."""
     t = lambda n: streams.table(spark, d, n)
-    x = (t("orders").join(t("customer"), F.col("o_custkey") == F.col("c_custkey")).join(F.broadcast(t("nation")), F.col("c_nationkey") == F.col("n_nationkey"))
-         .join(F.broadcast(t("region")), F.col("n_regionkey") == F.col("r_regionkey")).select(F.col("r_name").alias("region"), F.col("n_name").alias("nation"), (F.col("o_orderkey") % 997).cast("string").alias("element")))
-    state = _HLL.state(x, ["region", "nation"])
-    up = state.rollup("region", "nation", "bucket").agg(F.max("rank").alias("rank"), F.grouping("region").alias("gr"), F.grouping("nation").alias("gn"), F.grouping("bucket").alias("gb"))
-    fine = up.where("gb = 0").select("region", "nation", "bucket", "rank")
-    regions = fine.groupBy("region", "bucket").agg(F.max("rank").alias("rank")).select("region", F.lit("(all)").alias("nation"), "bucket", "rank")
-    every = regions.groupBy("bucket").agg(F.max("rank").alias("rank")).select(F.lit("(all)").alias("region"), F.lit("(all)").alias("nation"), "bucket", "rank")
-    return _HLL.estimate(fine.unionByName(regions).unionByName(every), ["region", "nation"])
+    return (t("orders").join(t("customer"), F.col("o_custkey") == F.col("c_custkey")).join(F.broadcast(t("nation")), F.col("c_nationkey") == F.col("n_nationkey"))
+            .join(F.broadcast(t("region")), F.col("n_regionkey") == F.col("r_regionkey"))
+            .select(F.col("r_name").alias("region"), F.col("n_name").alias("nation"), F.col("c_mktsegment").alias("segment"), F.expr("cast(cast(o_orderdate as date) as string)").alias("element")))
+
+
+def _levels_sql(keys: list[str], sets: list[tuple[str, ...]]) -> str:
+    parts = " UNION ALL ".join("SELECT " + ", ".join(k if k in x else f"'(all)' AS {k}" for k in keys) + f", bucket, max(rank) AS rank FROM ({duck.registers(_CUST, 200, keys)}) GROUP BY ALL" for x in sets)
+    return sql(f"SELECT {', '.join(keys)}, {duck.hll_formula(200)} AS ns_hat FROM (SELECT {', '.join(keys)}, count(*) AS used, sum(pow(2.0, -rank)) AS z FROM ({parts}) GROUP BY ALL)", "ns_hat")
+
+
+def _levels(state: DataFrame, keys: list[str], sets: list[tuple[str, ...]]) -> DataFrame:
+    """Estimates at several levels: registers of the finest are regrouped by their maxima, no rescan."""
+    up = state.groupingSets([[*map(F.col, x), F.col("bucket")] for x in sets], *keys, "bucket").agg(F.max("rank").alias("rank"), *[F.grouping(k).alias(f"__{k}") for k in keys])
+    return _HLL.estimate(up.select(*[F.when(F.col(f"__{k}") == 1, "(all)").otherwise(F.col(k)).alias(k) for k in keys], "bucket", "rank"), keys)
+
+
+_ROLLUP, _CUBE = [("region", "nation"), ("region",), ()], [("region", "segment"), ("region",), ("segment",), ()]
+
+
+@query("x_rollup_registers", _levels_sql(["region", "nation"], _ROLLUP))
+def _(spark, d):
+    return _levels(_HLL.state(_placed(spark, d), ["region", "nation"]), ["region", "nation"], _ROLLUP)
+
+
+@query("x_cube_registers", _levels_sql(["region", "segment"], _CUBE))
+def _(spark, d):
+    return _levels(_HLL.state(_placed(spark, d), ["region", "segment"]), ["region", "segment"], _CUBE)
+
+
+@query("x_cube_counts", "SELECT coalesce(region, '(all)') AS region, coalesce(segment, '(all)') AS segment, count(*) AS orders, count(DISTINCT element) AS n FROM (" + _CUST + ") GROUP BY CUBE (region, segment)")
+def _(spark, d):
+    c = _placed(spark, d).cube("region", "segment").agg(F.count(F.lit(1)).alias("orders"), F.count_distinct("element").alias("n"))
+    return c.select(F.coalesce("region", F.lit("(all)")).alias("region"), F.coalesce("segment", F.lit("(all)")).alias("segment"), "orders", "n")
+
+
+@query("x_register_arrays", sql(duck.hll(f"{S('user')} UNION ALL {S('cust_key')}", 200), "ns_hat"))
+def _(spark, d):
+    """Registers as arrays, one row a stream, merged place by place."""
+    def packed(name: str, out: str) -> DataFrame:
+        state = _HLL.state(load(spark, d, name)).agg(F.map_from_entries(F.collect_list(F.struct("bucket", "rank"))).alias("r"))
+        return state.select(F.transform(F.sequence(F.lit(0), F.lit(199)), lambda i: F.coalesce(F.try_element_at("r", i), F.lit(0))).alias(out))
+    both = packed("user", "a").crossJoin(packed("cust_key", "b")).select(F.explode(F.zip_with("a", "b", lambda x, y: F.greatest(x, y))).alias("rank"))
+    return _HLL.estimate(both.where("rank > 0"))
 
 
 @query("x_union_merge", sql(duck.hll(f"{S('user')} UNION ALL {S('cust_key')}", 200), "ns_hat"))
@@ -856,9 +975,26 @@ def _(spark, d):
     return one(a.union(b).distinct(), "either").crossJoin(one(a.intersect(b), "both")).crossJoin(one(b.subtract(a), "second_only"))
 
 
-@query("x_percentiles", sql(tagged({s: f"SELECT min(f) AS least, max(f) AS most, avg(f) AS mean, stddev_samp(f) AS sd FROM ({duck.counts(S(s))})" for s in LOW_SKEW}), "mean sd", "least most"))
+@query("x_set_ops_all", f"SELECT (SELECT count(*) FROM (SELECT element FROM ({S('user')}) INTERSECT ALL SELECT element FROM ({S('cust_key')}))) AS both, (SELECT count(*) FROM (SELECT element FROM ({S('cust_key')}) EXCEPT ALL SELECT element FROM ({S('user')}))) AS second_only")
 def _(spark, d):
-    return union([_tag(spectrum.counts(load(spark, d, s)).agg(F.min("f").alias("least"), F.max("f").alias("most"), F.avg("f").alias("mean"), F.stddev_samp("f").alias("sd")), s) for s in LOW_SKEW])
+    """Multiset forms: occurrences, not values."""
+    a, b = (load(spark, d, s).select("element") for s in ("user", "cust_key"))
+    return a.intersectAll(b).agg(F.count(F.lit(1)).alias("both")).crossJoin(b.exceptAll(a).agg(F.count(F.lit(1)).alias("second_only")))
+
+
+@query("x_window_ranks", f"SELECT element AS host, f, rank() OVER (ORDER BY f DESC) AS place, dense_rank() OVER (ORDER BY f DESC) AS level, ntile(4) OVER (ORDER BY f DESC, element) AS quarter, lead(f) OVER (ORDER BY f DESC, element) AS next_f FROM ({duck.counts(S('host'))})")
+def _(spark, d):
+    """Hosts by how often they occur: one row a host, so one task ranks them."""
+    c = spectrum.counts(load(spark, d, "host"))
+    by, tie = W.orderBy(F.desc("f")), W.orderBy(F.desc("f"), "element")
+    return c.select(F.col("element").alias("host"), "f", F.rank().over(by).alias("place"), F.dense_rank().over(by).alias("level"), F.ntile(4).over(tie).alias("quarter"), F.lead("f").over(tie).alias("next_f"))
+
+
+@query("x_percentiles", sql(tagged({s: f"SELECT min(f) AS least, quantile_cont(f, 0.25) AS p25, quantile_cont(f, 0.5) AS p50, quantile_cont(f, 0.9) AS p90, max(f) AS most, avg(f) AS mean, stddev_samp(f) AS sd FROM ({duck.counts(S(s))})" for s in LOW_SKEW}), "p25 p50 p90 mean sd", "least most"))
+def _(spark, d):
+    """Percentiles of the frequencies: aggregated by frequency first, so what meets are counts."""
+    return union([_tag(spectrum.counts(load(spark, d, s)).agg(
+        F.min("f").alias("least"), *[F.percentile("f", p).alias(f"p{round(100 * p)}") for p in (0.25, 0.5, 0.9)], F.max("f").alias("most"), F.avg("f").alias("mean"), F.stddev_samp("f").alias("sd")), s) for s in LOW_SKEW])
 
 
 @query("x_sql_functions", sql(f"SELECT l, e1, 1.0 / (1 - e1 / l) AS ratio, e1 / l AS p0, (e1 / l * (1 - e1 / l) + 2 * e2 / l) / (l * (1 - e1 / l) * (1 - e1 / l)) + 1 / (1.0 * 200) AS v1 FROM ({duck.heads(duck.sample(S('part_key'), 0.1))})", "ratio p0 v1"))
@@ -868,15 +1004,33 @@ def _(spark, d):
     return spark.sql("SELECT l, e1, cov_ratio(e1, l) AS ratio, p0_hat(e1, l) AS p0, rel_var_sampled(p0_hat(e1, l), 2 * e2 / l, l, 200L, 1.0D) AS v1 FROM coverage_heads")
 
 
-@query("x_udtf_grid")
+@query("x_sql_planner", sql(
+    f"SELECT stream, rate, budget, u, c / u + 1 / (budget - u) AS rel_var, n * (1 - p0) / (1 - p0_mass) AS expected FROM (SELECT *, row_number() OVER (PARTITION BY stream, rate, budget ORDER BY c / u + 1 / (budget - u), u) AS k FROM (SELECT *, {_c()} AS c FROM ({_moments_sql(LOW_SKEW)})), (SELECT unnest([5, 50, 500]) AS budget), range(1, 500) r(u) WHERE u <= budget - 2) WHERE k = 1", "rel_var expected", "budget u"))
+def _(spark, d):
+    """The planner as SQL functions; the oracle tries every split."""
+    sqlapi.register(spark)
+    _moments(spark, d, LOW_SKEW).createOrReplaceTempView("coverage_moments")
+    c = "(2 * p0 * (1 - p0) + p1) / ((1 - p0) * (1 - p0))"
+    return spark.sql(f"SELECT stream, rate, budget, u, rel_var_subsampled(p0, p1, u, budget - u, 1.0D) AS rel_var, expected_sampled(n, p0, p0_mass) AS expected FROM "
+                     f"(SELECT *, best_u(budget, {c}, 1.0D) AS u FROM coverage_moments LATERAL VIEW explode(array(5L, 50L, 500L)) AS budget)")
+
+
+@query("x_udtf_grid", sql("SELECT 200 - u AS m, u, (2 * 0.1 * 0.9 + 0.05) / (0.9 * 0.9) / u + 1 / (200 - u) AS rel_var FROM range(1, 199) r(u)", "rel_var", "m u"))
 def _(spark, d):
     sqlapi.register(spark)
     return spark.sql("SELECT * FROM variance_grid(200, 0.1D, 0.05D)")
 
 
-@query("x_pareto_grid", sql(f"SELECT stream, rate, n, length, p0, p0_mass FROM ({_moments_sql(['word', 'talk_word', 'value'], [0.1, 0.01, 0.001])})", "p0 p0_mass"))
+PARETO = [(0.9, 500), (1.1, 500), (1.5, 500), (2.5, 500), (1.1, 50)]
+
+
+@query("x_pareto_grid", sql(
+    f"WITH v AS (SELECT CAST(c_custkey AS VARCHAR) AS element FROM customer ORDER BY c_custkey LIMIT 10000), x AS (SELECT {MODEL_HASH} / {float(SPAN)} AS x FROM v) "
+    + " UNION ALL ".join(f"SELECT {a!r}::DOUBLE AS alpha, {c} AS scale, n, length, p0, p0_mass FROM ({duck.moments_of(f'SELECT CAST(floor({c} * pow(1 - x, -1 / {a!r})) AS BIGINT) AS f FROM x', 0.001)})" for a, c in PARETO), "alpha p0 p0_mass", "scale n length"))
 def _(spark, d):
-    return _moments(spark, d, ["word", "talk_word", "value"], [0.1, 0.01, 0.001]).select("stream", "rate", "n", "length", "p0", "p0_mass")
+    """The heavy-tailed model over shapes and scales, infinite mean included."""
+    ids = workloads.synthetic_ids(spark, d)
+    return union([theory.moments_at(workloads.pareto_frequencies(ids, alpha=a, scale=c), [0.001]).select(F.lit(a).alias("alpha"), F.lit(c).alias("scale"), "n", "length", "p0", "p0_mass") for a, c in PARETO])
 
 
 from ..streaming import live  # noqa: E402  (its queries need the ones above)

@@ -159,12 +159,12 @@ def m1(y: str, m: int | None = 200, rate: float | None = None, g: list[str] = ()
     return row(parts, "sampled", name, m, rate, g, are, "a")
 
 
-def m2(y: str, m: int, u: int, mode: str, rate: float | None = None, g: list[str] = (), boundary: str = "keep", are: float | None = 1 / 1.08) -> str:
+def m2(y: str, m: int | None, u: int, mode: str, rate: float | None = None, g: list[str] = (), boundary: str = "keep", are: float | None = 1 / 1.08, name: str = "hll") -> str:
     g = list(g)
-    parts = _join([(f"SELECT {cols(g)}count(*) AS l FROM ({y}) GROUP BY ALL", "a"), (f"SELECT {cols(g)}ns_hat AS ns_hat_ FROM ({hll(y, m, g)})", "b"),
+    parts = _join([(f"SELECT {cols(g)}count(*) AS l FROM ({y}) GROUP BY ALL", "a"), (f"SELECT {cols(g)}ns_hat AS ns_hat_ FROM ({COUNTERS[name](y, m, g)})", "b"),
                    (f"SELECT {cols(g)}u, p0 AS p0_, p1 AS p1_ FROM ({probe(y, u, mode, g, boundary=boundary)})", "c")], g)
     parts = f"(SELECT a.*, b.ns_hat_, c.u, c.p0_, c.p1_, NULL AS ns, NULL AS e1, NULL AS e2 FROM {parts}) a"
-    return row(parts, "subsampled", "hll", m, rate, g, are, "a")
+    return row(parts, "subsampled", name, m, rate, g, are, "a")
 
 
 # --- replicated runs ---
@@ -213,6 +213,13 @@ def accuracy(est: str, n: str, config: str, column: str = "n_hat") -> str:
             f"FROM ({est}), (SELECT CAST(count(DISTINCT element) AS DOUBLE) AS n FROM ({n})) GROUP BY ALL")
 
 
+def moments_of(freqs: str, rate: float, form: str = "exact") -> str:
+    none = f"exp(-{rate!r} * f)" if form == "exp" else f"pow({1 - rate!r}, f)"
+    once = f"{rate!r} * f * exp(-{rate!r} * f)" if form == "exp" else f"f * {rate!r} * pow({1 - rate!r}, f - 1)"
+    return (f"SELECT count(*) AS n, CAST(sum(f) AS BIGINT) AS length, avg({none}) AS p0, avg({once}) AS p1, sum(f * {none}) / sum(f) AS p0_mass, sum(f * {once}) / sum(f) AS p1_mass, "
+            f"sum({rate!r} * f * (1 - {rate!r}) + {rate!r} * f * {rate!r} * f) / ({rate!r} * sum(f)) AS square FROM ({freqs})")
+
+
 def moments(x: str, rate: float) -> str:
     return (f"SELECT count(*) AS n, CAST(sum(f) AS BIGINT) AS length, avg(pow({1 - rate!r}, f)) AS p0, avg(f * {rate!r} * pow({1 - rate!r}, f - 1)) AS p1, "
             f"sum(f * pow({1 - rate!r}, f)) / sum(f) AS p0_mass, sum(f * f * {rate!r} * pow({1 - rate!r}, f - 1)) / sum(f) AS p1_mass FROM ({counts(x)})")

@@ -9,12 +9,14 @@
 
 from __future__ import annotations
 
-import tempfile
 import uuid
 from collections.abc import Iterator
 
 import pandas as pd
+from pyspark import StorageLevel
+from pyspark.errors import AnalysisException
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 from pyspark.sql.streaming import StatefulProcessor, StatefulProcessorHandle
 
@@ -43,7 +45,7 @@ def _window(length: str, slide: str | None):
 
 
 def window_sampled(events: DataFrame, length: str = "7 days", delay: str = "1 hour", slide: str | None = None, element: str = "user_id", rate: float = 1.0) -> DataFrame:
-    """Heads of the coverage estimator per closed window."""
+    """Heads of the coverage estimator per closed window, tumbling or, with ``slide``, sliding."""
     x = _stream_of(events, element, rate).withWatermark("ts", delay)
     values = x.groupBy(_window(length, slide).alias("w"), "element").agg(F.count(F.lit(1)).alias("f"))
     return values.groupBy(F.window(F.window_time("w"), length) if slide is None else F.col("w")).agg(
@@ -61,16 +63,22 @@ def window_registers(events: DataFrame, m: int = 200, length: str = "7 days", de
     return sums.select(F.col("window.start").alias("start"), "l", hll.formula(F.col("used"), F.col("z")).alias("ns_hat"))
 
 
-def session_flows(events: DataFrame, gap: str = "6 hours", delay: str = "1 hour") -> DataFrame:
-    """Rows and distinct event types (a built-in counter, legal on streams) of each user's sessions."""
-    x = events.withWatermark("ts", delay).groupBy(F.session_window("ts", gap).alias("s"), "user_id").agg(F.count(F.lit(1)).alias("l"), F.approx_count_distinct("event_type").alias("ns_hat"))
-    return x.select(F.col("s.start").alias("start"), "user_id", "l", "ns_hat")
+def session_sampled(events: DataFrame, gap: str = "6 hours", delay: str = "1 hour", key: str = "user_id", element: str = "event_type", rate: float = 1.0) -> DataFrame:
+    """Heads of the coverage estimator of the elements in each key's sessions.  A session has
+    few kinds of elements at a time, and its state holds their counts as one map per key:
+    occurrences are gathered by the session window, and counted when it closes."""
+    x = element_stream(events, [F.col(element)], [F.col("event_id")], {"ts": F.col("ts"), "key": F.col(key)})
+    x = (x if rate == 1 else x.where(hash60(F.col("occ"), "s", 42) < threshold(rate))).withWatermark("ts", delay)
+    s = x.groupBy(F.session_window("ts", gap).alias("s"), "key").agg(F.array_sort(F.collect_list("element")).alias("x"))
+    f = F.transform(F.array_distinct("x"), lambda v: F.size(F.filter("x", lambda w: w == v)))
+    once, twice = F.size(F.filter(f, lambda k: k == 1)).cast("long"), F.size(F.filter(f, lambda k: k == 2)).cast("long")
+    return s.select(F.col("s.start").alias("start"), "key", F.size("x").cast("long").alias("l"), F.size(F.array_distinct("x")).cast("long").alias("ns"), once.alias("e1"), twice.alias("e2"))
 
 
 def probe_processor(u: int) -> type[StatefulProcessor]:
     class Probe(StatefulProcessor):
-        """Keeps the u lowest (value hash, occurrence hash) pairs of a window; emits their
-        heads when the watermark passes its end."""
+        """Keeps the u lowest (value hash, occurrence hash) pairs of one salt of a window;
+        emits them when the watermark passes its end."""
 
         def init(self, handle: StatefulProcessorHandle) -> None:
             self.handle = handle
@@ -97,9 +105,9 @@ def probe_processor(u: int) -> type[StatefulProcessor]:
                 yield pd.DataFrame()
                 return
             pairs, seen, _ = self.low.get()
-            counts = pd.Series([p[0] for p in pairs]).value_counts()
             self.low.clear()
-            yield pd.DataFrame({"start": [key[0]], "l": [seen], "u": [len(pairs)], "u1": [int((counts == 1).sum())], "u2": [int((counts == 2).sum())]})
+            # the salt's rows are told once, on its first pair
+            yield pd.DataFrame({"start": [key[0]] * len(pairs), "l": [seen] + [0] * (len(pairs) - 1), "v": [p[0] for p in pairs], "o": [p[1] for p in pairs]})
 
         def close(self) -> None:
             pass
@@ -107,12 +115,23 @@ def probe_processor(u: int) -> type[StatefulProcessor]:
     return Probe
 
 
-def window_probe(events: DataFrame, u: int = 100, length: str = "7 days", delay: str = "1 hour", element: str = "user_id", seed: int = 42) -> DataFrame:
+def window_probe(events: DataFrame, u: int = 100, length: str = "7 days", delay: str = "1 hour", element: str = "user_id", seed: int = 42, salts: int = 16) -> DataFrame:
+    """The lowest u pairs of every salt of each closed window: a window's rows are dealt to
+    ``salts`` tasks by occurrence, each with a state of u pairs.  ``probe_heads`` merges them."""
     x = _stream_of(events, element).withWatermark("ts", delay)
     x = x.select(F.window("ts", length).alias("w"), hash60(F.col("element"), "v", seed).alias("v"), hash60(F.col("occ"), "u", seed).alias("o"), "ts")
-    x = x.select(F.col("w.start").cast("string").alias("start"), (F.unix_millis("w.end")).alias("until"), "v", "o", "ts")
-    return x.groupBy("start").transformWithStateInPandas(
-        statefulProcessor=probe_processor(u)(), outputStructType="start string, l long, u long, u1 long, u2 long", outputMode="append", timeMode="EventTime")
+    x = x.select(F.col("w.start").cast("string").alias("start"), F.pmod("o", F.lit(salts)).alias("salt"), (F.unix_millis("w.end")).alias("until"), "v", "o", "ts")
+    return x.groupBy("start", "salt").transformWithStateInPandas(
+        statefulProcessor=probe_processor(u)(), outputStructType="start string, l long, v long, o long", outputMode="append", timeMode="EventTime")
+
+
+def probe_heads(parts: DataFrame, u: int) -> DataFrame:
+    """``(start, l, u, u1, u2)`` of each window from the pairs of its salts: at most salts x u rows a window."""
+    length = parts.groupBy("start").agg(F.sum("l").alias("l"))
+    low = parts.withColumn("k", F.row_number().over(W.partitionBy("start").orderBy("v", "o"))).where(F.col("k") <= u)
+    per = low.groupBy("start", "v").agg(F.count(F.lit(1)).alias("f"))
+    heads = per.groupBy("start").agg(F.sum("f").alias("u"), F.count_if(F.col("f") == 1).alias("u1"), F.count_if(F.col("f") == 2).alias("u2"))
+    return length.join(heads, "start")
 
 
 class Running:
@@ -123,14 +142,15 @@ class Running:
         self.hll = HyperLogLog(m, seed)
 
     def _versions(self, spark: SparkSession) -> list[int]:
-        """Finished versions, listed through Spark's own file system."""
-        jvm = spark._jvm
-        at = jvm.org.apache.hadoop.fs.Path(self.path)
-        fs = at.getFileSystem(spark._jsc.hadoopConfiguration())
-        if not fs.exists(at):
+        """Finished versions: a small table beside the states, to which one row is added
+        after a state is whole."""
+        try:
+            done = spark.read.schema("version long").parquet(f"{self.path}/versions")
+        except AnalysisException as error:
+            if error.getCondition() != "PATH_NOT_FOUND":
+                raise
             return []
-        names = [s.getPath() for s in fs.listStatus(at)]
-        return sorted(int(p.getName()[1:]) for p in names if p.getName().startswith("v") and fs.exists(jvm.org.apache.hadoop.fs.Path(p, "_SUCCESS")))
+        return sorted({r["version"] for r in done.collect()})
 
     def state(self, spark: SparkSession, before: int | None = None) -> DataFrame | None:
         done = [v for v in self._versions(spark) if before is None or v < before]
@@ -140,16 +160,22 @@ class Running:
         """Merges one batch; writing version ``batch_id`` again replaces it by the same."""
         spark = sample.sparkSession
         b, r = self.hll.registers(F.col("element"))
-        regs = sample.select(F.lit("register").alias("kind"), b.cast("long").alias("k"), r.cast("long").alias("v"), F.lit(None).cast("long").alias("o"))
-        pairs = sample.select(F.lit("pair").alias("kind"), F.lit(0).cast("long").alias("k"), hash60(F.col("element"), "v", self.seed).alias("v"), hash60(F.col("occ"), "u", self.seed).alias("o"))
-        length = sample.agg(F.count(F.lit(1)).alias("v")).select(F.lit("length").alias("kind"), F.lit(0).cast("long").alias("k"), "v", F.lit(None).cast("long").alias("o"))
-        new = regs.unionByName(pairs.orderBy("v", "o").limit(self.u)).unionByName(length)
+        # the batch is read and hashed once; four numbers a row are kept for its three uses
+        rows = sample.select(b.cast("long").alias("b"), r.cast("long").alias("r"), hash60(F.col("element"), "v", self.seed).alias("v"), hash60(F.col("occ"), "u", self.seed).alias("o")).persist(StorageLevel.MEMORY_AND_DISK)
+        none, zero = F.lit(None).cast("long"), F.lit(0).cast("long")
+        regs = rows.groupBy(F.col("b").alias("k")).agg(F.max("r").alias("v"), F.count(F.lit(1)).alias("n"))
+        pairs = rows.orderBy("v", "o").limit(self.u).select(F.lit("pair").alias("kind"), zero.alias("k"), "v", "o")
+        length = regs.agg(F.coalesce(F.sum("n"), F.lit(0)).alias("v")).select(F.lit("length").alias("kind"), zero.alias("k"), "v", none.alias("o"))
+        new = regs.select(F.lit("register").alias("kind"), "k", "v", none.alias("o")).unionByName(pairs).unionByName(length)
         old = self.state(spark, batch_id)
         rows = new if old is None else new.unionByName(old.select("kind", "k", "v", "o"))
         merged = rows.where("kind = 'register'").groupBy("kind", "k").agg(F.max("v").alias("v")).withColumn("o", F.lit(None).cast("long"))
         merged = merged.unionByName(rows.where("kind = 'pair'").orderBy("v", "o").limit(self.u))
         merged = merged.unionByName(rows.where("kind = 'length'").groupBy("kind", "k").agg(F.sum("v").alias("v")).withColumn("o", F.lit(None).cast("long")))
+        # at most m + u + 1 rows
         merged.coalesce(1).write.mode("overwrite").parquet(f"{self.path}/v{batch_id}")
+        rows.unpersist()
+        spark.createDataFrame([(batch_id,)], "version long").coalesce(1).write.mode("append").parquet(f"{self.path}/versions")
 
     def estimate(self, spark: SparkSession) -> DataFrame:
         s = self.state(spark)
@@ -167,8 +193,13 @@ class Running:
 
 def scratch(spark: SparkSession) -> str:
     """A new folder that all executors see: under the session's checkpoint folder where it
-    has one."""
-    base = spark.conf.get("spark.checkpoint.dir", None) or f"file://{tempfile.gettempdir()}/checkpoints"
+    has one; a cluster without it is refused, as a machine's own folder loses data there."""
+    base = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getConf().get("spark.checkpoint.dir", None)
+    if not base:
+        master = spark.sparkContext.master
+        if master != "local" and not master.startswith("local["):
+            raise ValueError("set spark.checkpoint.dir to a folder that all executors share")
+        base = "file:///tmp/checkpoints"
     return f"{base.rstrip('/')}/live-{uuid.uuid4().hex}"
 
 
@@ -198,15 +229,16 @@ def late_rows(query) -> int:
 WEEK = "time_bucket(INTERVAL 7 DAY, ts, TIMESTAMP '1970-01-01')"
 
 
-def closing(spark: SparkSession, sf_dir: str) -> str:
-    """The events and, as a file of a later batch, one row far behind them in time, which
-    closes all their windows."""
+def closing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """A stream of the events and, in a later batch, one row far behind them in time, which
+    closes all their windows.  The first batch takes all files of the events."""
     at = scratch(spark)
     events = table(spark, sf_dir, "events")
-    events.coalesce(1).write.parquet(f"{at}/a")
+    events.write.parquet(f"{at}/a")
+    files = len(spark.read.parquet(f"{at}/a").inputFiles())
     end = events.limit(1).select(F.lit(-1).cast("long").alias("event_id"), F.expr("cast('2030-01-01' as timestamp_ntz)").alias("ts"), F.lit(-1).cast("long").alias("user_id"), F.lit("end").alias("event_type"), F.lit(0.0).alias("value"), F.lit("{}").alias("props"))
     end.coalesce(1).write.parquet(f"{at}/b")
-    return at
+    return source(spark, f"{at}/*", max(files, 1))
 
 
 def _closed(df: DataFrame) -> DataFrame:
@@ -219,29 +251,55 @@ def add_queries(query, sql) -> None:
 
     @query("t_window_sampled", duck.heads(by_week, ["start"]))
     def _(spark, d):
-        return _closed(finish(window_sampled(source(spark, f"{closing(spark, d)}/*"))))
+        return _closed(finish(window_sampled(closing(spark, d))))
 
     @query("w11_stream", duck.heads(duck.sample(by_week, 0.5), ["start"]))
     def _(spark, d):
         """A stream of which half is processed: sampled before any state is kept."""
-        return _closed(finish(window_sampled(source(spark, f"{closing(spark, d)}/*"), rate=0.5)))
+        return _closed(finish(window_sampled(closing(spark, d), rate=0.5)))
 
     @query("t_window_registers", sql(f"SELECT * FROM (SELECT start, count(*) AS l FROM ({by_week}) GROUP BY ALL) JOIN ({duck.hll(by_week, 200, ['start'])}) USING (start)", "ns_hat"))
     def _(spark, d):
-        return _closed(finish(window_registers(source(spark, f"{closing(spark, d)}/*"))))
+        return _closed(finish(window_registers(closing(spark, d))))
 
     @query("t_window_probe", sql(f"SELECT start, l, u, u1, u2 FROM ({duck.probe(by_week, 500, 'value_hash', ['start'])}) JOIN (SELECT start, count(*) AS l FROM ({by_week}) GROUP BY ALL) USING (start)", "", "l u u1 u2"))
     def _(spark, d):
-        out = finish(window_probe(source(spark, f"{closing(spark, d)}/*"), 500), custom_state=True)
+        out = probe_heads(finish(window_probe(closing(spark, d), 500), custom_state=True), 500)
         return _closed(out.withColumn("start", F.to_timestamp("start")))
 
-    @query("t_sliding", None)
+    sliding = f"SELECT strftime(date_trunc('day', ts) - to_days(CAST(k AS INT)), '%Y-%m-%d %H:%M:%S') AS start, element, occ FROM ({duck.stream('user', {'ts': 'ts'})}), range(7) q(k)"
+
+    @query("t_sliding", duck.heads(sliding, ["start"]))
+    def _(spark, d):
+        return _closed(finish(window_sampled(closing(spark, d), "7 days", "1 hour", "1 day")))
+
+    marked = "SELECT *, CASE WHEN ts < lag(ts) OVER (PARTITION BY key ORDER BY ts, occ) + INTERVAL 6 HOUR THEN 0 ELSE 1 END AS fresh FROM ({})"
+    numbered = "SELECT *, sum(fresh) OVER (PARTITION BY key ORDER BY ts, occ) AS run FROM ({})".format(marked.format(duck.stream("event_type", {"ts": "ts", "key": "user_id"})))
+    sessions = f"SELECT strftime(min(ts) OVER (PARTITION BY key, run), '%Y-%m-%d %H:%M:%S') AS start, key, element, occ FROM ({numbered})"
+
+    @query("t_session", f"SELECT *, CASE WHEN e1 < l THEN round(ns / (1 - e1 / l), 6) END AS n_hat FROM ({duck.heads(sessions, ['start', 'key'])})")
     def _(spark, d):
-        return _closed(finish(window_sampled(source(spark, f"{closing(spark, d)}/*"), "7 days", "1 hour", "1 day")))
+        """The coverage estimate of event types in each user's sessions."""
+        out = _closed(finish(session_sampled(closing(spark, d))))
+        return out.withColumn("n_hat", F.try_divide(F.col("ns").cast("double"), 1 - F.col("e1") / F.col("l")))
 
-    @query("t_session", None)
+    @query("t_rate_source", "SELECT 1000 AS l, 100 AS ns, 0 AS e1, 0 AS e2")
     def _(spark, d):
-        return _closed(finish(session_flows(source(spark, f"{closing(spark, d)}/*")))).drop("user_id")
+        """A generated stream (``rate-micro-batch``) into the ``memory`` sink: heads of ten batches."""
+        x = spark.readStream.format("rate-micro-batch").option("rowsPerBatch", 100).option("numPartitions", 4).load()
+        name = f"heads_{uuid.uuid4().hex}"
+        values = x.select((F.col("value") % 100).alias("element")).groupBy("element").agg(F.count(F.lit(1)).alias("f"))
+        q = values.writeStream.format("memory").queryName(name).outputMode("complete").option("checkpointLocation", f"{scratch(spark)}/log").start()
+        try:
+            while (q.lastProgress or {"batchId": -1})["batchId"] < 9 and q.isActive:
+                q.awaitTermination(1)
+        finally:
+            q.stop()
+        seen = spark.table(name)
+        # the stream has no end: it is read at the tenth batch, whose counts are ten each, or later, where they are the same for all
+        turns = F.floor(F.sum("f") / 100)
+        return seen.agg(turns.alias("turns"), F.count(F.lit(1)).alias("ns"), F.count_if(F.col("f") == 1).alias("e1"), F.count_if(F.col("f") == 2).alias("e2")).select(
+            F.when(F.col("turns") >= 10, 1000).cast("long").alias("l"), "ns", "e1", "e2")
 
     @query("t_running", sql(f"SELECT l, u, u1, ns_hat, ns_hat / (1 - u1 / u) AS n_hat FROM (SELECT count(*) AS l FROM ({duck.stream('user')})), ({duck.hll(duck.stream('user'), 200)}), ({duck.probe(duck.stream('user'), 500, 'value_hash')})", "ns_hat n_hat", "l u u1"))
     def _(spark, d):

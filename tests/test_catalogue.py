@@ -10,7 +10,8 @@ from coverdistinct.plans import catalogue
 TABLES = "region nation customer supplier part orders lineitem events documents embeddings pages benchmark labels conversations".split()
 CHECKED = ["s1_bernoulli_count", "s5_stratified", "c1_exact", "c2_hll_m200", "c2_hll_m10_smallrange", "c5_bottom_m", "g1_spectrum", "g3_good_turing", "g5_unseen_truth", "r1_probe_in_sub", "r2_probe_in_sample",
            "r3_probe_value_hash", "r3_probe_grouped", "m1_sampled", "m1_grouped", "m1_counters", "m1_empty", "m1_all_singletons", "m1_null_policy", "m2_sampled", "m2_grouped", "b6_skew_aware", "v_moments",
-           "v_th2", "k1_best_split", "w1_naive_vs_coverage", "w10_flows_per_day", "x_rollup_registers", "x_running_registers", "x_asof_estimate", "x_outer_truth", "x_sql_functions", "t_window_sampled", "t_window_probe", "t_running"]
+           "v_th2", "k1_best_split", "w1_naive_vs_coverage", "w10_flows_per_day", "x_rollup_registers", "x_running_registers", "x_asof_estimate", "x_outer_truth", "x_sql_functions", "t_window_sampled", "t_window_probe", "t_running", "t_sliding", "t_session",
+           "r6_reservoir", "m2_counters", "v_moments_exponential", "v_expected_subsampled", "k3_split_sampled", "w6_best_split", "x_cube_registers", "x_register_arrays", "x_set_ops_all", "x_window_ranks", "x_percentiles", "x_sql_planner", "x_pareto_grid"]
 
 
 @pytest.fixture(scope="module")
@@ -43,6 +44,11 @@ def test_entry_imports_and_names():
     assert "m1_sampled" in e.queries()
 
 
+def test_the_planner_of_each_rate_measures_what_it_predicts(spark, sf):
+    got = catalogue.QUERIES["w6_storage_best"](spark, sf).collect()
+    assert len(got) == 9 and all(r["m"] + r["u"] == r["budget"] for r in got)
+
+
 def test_model_tables_have_published_values_beside(spark, sf):
     got = catalogue.QUERIES["w2_model"](spark, sf).collect()
     assert len(got) == 6 and all(r["published_simulation"] is not None and r["analysis"] > 0 for r in got)

@@ -1,7 +1,8 @@
 import pytest
 from pyspark.sql import functions as F
 
-from coverdistinct.operators import counters, estimators, planner, probe, sampling, spectrum
+from coverdistinct.functions import theory
+from coverdistinct.operators import counters, estimators, fused, planner, probe, sampling, spectrum
 from coverdistinct.plans import workloads
 from coverdistinct.sources import streams
 
@@ -120,6 +121,89 @@ def test_one_scan_and_no_expand_in_the_flagship(spark, sf):
     assert "TakeOrderedAndProject" in plan
 
 
+def plan_of(df):
+    return df._jdf.queryExecution().executedPlan().toString()
+
+
+def test_the_subsampled_estimator_reads_its_sample_twice_and_shuffles_registers(spark, sf):
+    y = sampling.bernoulli(streams.load(spark, sf, "part_key"), 0.1)
+    assert plan_of(estimators.estimate_subsampled(y, 100)).count("FileScan") == 2
+    assert plan_of(fused.fused(y, 100)).count("FileScan") <= 3  # the one Python pass is reused by its three readers
+    regs = plan_of(estimators._registers_and_length(y, counters.HyperLogLog(50), []))
+    assert regs.count("FileScan") == 1 and "Join" not in regs
+
+
+def test_a_bottom_sketch_sends_few_hashes_to_the_merge(spark):
+    x = spark.range(200_000).select(F.col("id").cast("string").alias("element"), F.col("id").cast("string").alias("occ"))
+    for m in (10, 200):
+        c = counters.BottomM(m, fast=True)
+        near = x.agg(F.approx_count_distinct("element").alias("near"))
+        from coverdistinct.functions.hashing import SPAN, hash60
+        h = x.select(hash60(F.col("element"), "v", 42, True).alias("hash"))
+        want = [r["hash"] for r in h.orderBy("hash").limit(m).collect()]
+        assert sorted(r["hash"] for r in c.state(x).collect()) == want
+        kept = h.crossJoin(near).where(F.col("hash") < (2.0 * m + 100) * float(SPAN) / F.col("near")).count()
+        assert m <= kept <= 4 * m + 200
+    assert counters.BottomM(10).state(x.where("false")).count() == 0
+
+
+def test_the_reservoir_is_the_lowest_and_its_insertions_are_as_expected(spark, sf):
+    x = streams.load(spark, sf, "order_key").repartition(3)
+    for mode, keys in (("value_hash", "value"), ("in_sub", "occ")):
+        want = {(r["value_hash"], r["occ_hash"]) for r in probe.subsample(x, 150, mode).collect()}
+        assert {(r["value_hash"], r["occ_hash"]) for r in probe.reservoir(x, 150, keys).collect()} == want
+    parts = probe.reservoir_parts(x, 150, "occ")
+    halves = probe.merge_reservoirs(parts.union(probe.reservoir_parts(x.limit(0), 150, "occ")), 150)
+    assert parts.count() <= 3 * 150 and halves.count() == 150
+    cost = probe.reservoir_cost(x, 150).agg(F.sum("seen").alias("seen"), F.sum("insertions").alias("got"), F.sum("expected").alias("want")).first()
+    assert cost["seen"] == x.count() and cost["got"] == pytest.approx(cost["want"], rel=0.1)
+    assert probe.reservoir(x, 100, "random").distinct().count() == 100 and probe.reservoir(x, 10**6, "value").count() == x.count()
+    with pytest.raises(ValueError):
+        probe.reservoir_parts(x, 5, "other")
+
+
+def test_efficiencies_of_three_counters(spark):
+    values = spark.range(3000).select(F.col("id").cast("string").alias("element"))
+    got = {r["procedure"]: 3000**2 / 50 / r["v"] for r in workloads.counter_runs(values, 50, 400).groupBy("procedure").agg(F.var_pop("ns_hat").alias("v")).collect()}
+    # a variance over 400 runs has a relative deviation of 0.07; 50 places are a little short of the limit laws
+    assert 0.75 < got["hll"] < 1.15 and 0.78 < got["bottom_m"] < 1.22 and 0.78 < got["max_term"] < 1.25
+
+
+def test_samplers_without_replay_keep_their_rate(spark):
+    x = spark.range(20_000).select((F.col("id") % 500).cast("string").alias("element"), F.col("id").cast("string").alias("occ"))
+    assert abs(sampling.native(x, 0.1).count() - 2000) < 6 * 42 and abs(sampling.with_replacement(x, 0.5).count() - 10_000) < 6 * 100
+    assert sampling.with_replacement(x, 2.0).groupBy("occ").count().agg(F.max("count")).first()[0] > 1
+
+
+def test_sketch_counters_are_near_the_truth(spark):
+    x = spark.range(30_000).select((F.col("id") % 6000).cast("string").alias("element"), F.col("id").cast("string").alias("occ"))
+    for c in (counters.BuiltinHll(), counters.HllSketch(10), counters.Theta(12), counters.MaxTerm(500)):
+        assert estimators.full(x, c).first()["n_hat"] == pytest.approx(6000, rel=0.25)
+    for c in (counters.HllSketch(10), counters.Theta(12), counters.MaxTerm(500)):
+        r = estimators.estimate_subsampled(sampling.bernoulli(x, 0.5), 2000, c, rate=0.5).first()
+        assert r["status"] == "ok" and r["n_hat"] == pytest.approx(6000, rel=0.3)
+
+
+def test_the_second_order_mean_of_the_subsampled_estimator(spark):
+    """Measured over runs for both probes that do not diverge."""
+    ids = spark.range(3000).select(F.col("id").cast("string").alias("element"), (5 + F.col("id") % 40).alias("f"))
+    values = workloads.thinned(ids, [0.1], 120)
+    m = theory.moments(ids, 0.1).first()
+    for mode in ("in_sample", "value_hash"):
+        est = workloads.probe_thinned(values, [30], mode).agg(F.avg(1 / (1 - F.col("p0"))).alias("mean"), F.stddev_samp(1 / (1 - F.col("p0"))).alias("sd")).first()
+        square = values.groupBy("run").agg((F.sum(F.col("k") * F.col("k")) / F.sum("k")).alias("x")).agg(F.avg("x")).first()[0]
+        want = theory.expected_subsampled(1.0, 0.0, m["p0_mass"], 30, None if mode == "in_sample" else square)
+        assert abs(est["mean"] - want) < 4 * est["sd"] / 120**0.5 + 0.03
+
+
+def test_whole_files_are_sampled_as_clusters(spark, sf, tmp_path):
+    spark.read.parquet(f"{sf}/orders.parquet").repartition(40).write.parquet(f"{tmp_path}/o")
+    part = streams.block_sample(spark, f"{tmp_path}/o", 0.5)
+    n, files = spark.read.parquet(f"{tmp_path}/o").count(), len(part.inputFiles())
+    assert 8 <= files <= 32 and abs(part.count() / n - files / 40) < 0.1 and {r["design"] for r in part.select("design").distinct().collect()} == {"cluster"}
+    assert streams.block_sample(spark, f"{tmp_path}/o", 1.0).count() == n
+
+
 def test_formats_round_trip(spark, sf, tmp_path):
     df = spark.read.parquet(f"{sf}/events.parquet").select("event_id", "user_id", "event_type").limit(50)
     for fmt in ("parquet", "orc", "json", "csv"):
