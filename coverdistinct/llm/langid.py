@@ -196,6 +196,8 @@ def predict(docs: DataFrame, codes: Codes) -> DataFrame:
                 out.loc[part, "lang_pred"], out.loc[part, "score"], out.loc[part, "ambiguous"], out.loc[part, "told"] = names, score, near, told
             yield out
 
+    # not to be pushed into a later filter, which would decode every text again
+    decode = decode.asNondeterministic()
     return docs.drop("lang_pred", "score", "ambiguous", "told").withColumn("__p", decode("text")).select("*", "__p.lang_pred", "__p.score", "__p.ambiguous", "__p.told").drop("__p")
 
 
