@@ -38,6 +38,11 @@ SHORT = 48
 #: Members, about so many by their draws, whose majority makes a reference (any set would be right, a good one makes small differences); turns in
 #: which lists with a common member share one; turns after which the lists that are left are compared in full.
 VOTERS, MERGED_TURNS, TURNS = 31, 3, 12
+#: A list of differences with up to so many far members is compared, these with all: some numbers a pair, against
+#: hundreds of shingles a member for a reference of its own.
+FARS = 128
+#: Values before its own that a list remembers of each member, so that a pair comes from one list alone.
+REMEMBERED = 64
 
 
 def with_sets(docs: DataFrame, n: int) -> DataFrame:
@@ -215,15 +220,17 @@ class NearDuplicates:
         lists = _ranked(entries.join(shared.hint("merge"), ["cluster", "value"]), ["cluster", "id"]).where(F.col("rank") <= F.col("room"))
         lengths = lists.groupBy("cluster", "value").agg(F.count(F.lit(1)).alias("m"), F.count_if("far").alias("fars")).where("m > 1 AND fars > 0")
         lists = lists.join(lengths.hint("merge"), ["cluster", "value"])
-        return star, settle(lists.select("cluster", "value", "has", "id", "n", "size", "slack", "far", "rank", "fars"), "difference-lists")
+        before = W.partitionBy("cluster", "id").orderBy("rank").rowsBetween(-REMEMBERED, -1)
+        lists = lists.withColumn("earlier", F.collect_list("value").over(before))
+        return star, settle(lists.select("cluster", "value", "has", "id", "n", "size", "slack", "far", "rank", "fars", "earlier"), "difference-lists")
 
     def _far_pairs(self, lists: DataFrame) -> DataFrame:
-        """Each far member of a list with all others."""
-        x = lists.where("far").select("cluster", "value", F.col("id").alias("x"), F.col("n").alias("nx"), F.col("slack").alias("slack_x"), *_at("x"))
-        y = lists.select("cluster", "value", "id", "n", "far", "slack", *_at("y"))
+        """Each far member of a list with all others, but for those that an earlier list gives."""
+        x = lists.where("far").select("cluster", "value", F.col("id").alias("x"), F.col("n").alias("nx"), F.col("slack").alias("slack_x"), F.col("earlier").alias("earlier_x"), *_at("x"))
+        y = lists.select("cluster", "value", "id", "n", "far", "slack", "earlier", *_at("y"))
         once = ~F.col("far") | (F.col("x") < F.col("id"))
         enough = 2 * (100 + self.percent) * _most_shared("x", "y") >= -(F.col("slack_x") + F.col("slack"))
-        both = y.join(x, (y["cluster"] == x["cluster"]) & (y["value"] == x["value"]) & (F.col("id") != F.col("x")) & once & self._alike_sizes("n", "nx") & enough)
+        both = y.join(x, (y["cluster"] == x["cluster"]) & (y["value"] == x["value"]) & (F.col("id") != F.col("x")) & once & self._alike_sizes("n", "nx") & enough & ~F.arrays_overlap("earlier", "earlier_x"))
         return both.select(F.least("x", "id").alias("a"), F.greatest("x", "id").alias("b"))
 
     def run(self) -> DataFrame:
@@ -237,7 +244,7 @@ class NearDuplicates:
             rest, turn = full.where(F.col("m") > SHORT).select(F.lit(0).cast("long").alias("cluster"), "value", "id", F.lit(True).alias("has")), 0
             while not rest.isEmpty():
                 star, lists = self._related(self._differences(self._gather(rest, turn < MERGED_TURNS)))
-                few = (F.col("fars") <= SHORT) | F.lit(turn == TURNS)
+                few = (F.col("fars") <= FARS) | F.lit(turn == TURNS)
                 links = links.union(star).union(settle(self._confirm(self._far_pairs(lists.where(few))), "confirmed"))
                 rest, turn = lists.where(~few).select("cluster", "value", "id", "has"), turn + 1
         labels = None if links.isEmpty() else components(links)

@@ -132,6 +132,7 @@ def test_near_duplicates_in_small_groups(spark):
 def test_near_duplicates_in_one_large_group_and_a_common_passage(spark, monkeypatch):
     """Long lists: full sets, pivots and differences, with many documents near the threshold."""
     monkeypatch.setattr(neardup, "SHORT", 6)
+    monkeypatch.setattr(neardup, "FARS", 6)
     rng = np.random.default_rng(1)
     base = [f"w{i}" for i in range(150)]
     passage = [f"p{i}" for i in range(60)]
@@ -168,6 +169,7 @@ def test_pairs_grow_with_the_members_of_families_not_with_their_pairs(spark, mon
 def test_families_within_families(spark, monkeypatch):
     """Every turn of new references, the ones of single lists and the last, in full, included."""
     monkeypatch.setattr(neardup, "SHORT", 3)
+    monkeypatch.setattr(neardup, "FARS", 3)
     rng = np.random.default_rng(9)
     base = [f"w{i}" for i in range(200)]
     texts = []
