@@ -46,10 +46,12 @@ def main() -> None:
     runs = int(os.environ.get("BENCH_RUNS", "200"))
     start = time.perf_counter()
     accuracy = {}
-    for table, got in (("sampled", catalogue.model_sampled(spark, sf_dir, runs)), ("subsampled", catalogue.model_subsampled(spark, sf_dir, runs=runs))):
-        for r in got.collect():
-            key = f"P={r['rate']:g} m={r['m']}" + (f" u={r['u']}" if table == "subsampled" else "")
-            accuracy.setdefault(table, {})[key] = {k: round(r[k], 5) for k in ("bias", "variance", "analysis", "published_bias", "published_simulation")}
+    tables = {"example": catalogue._w1_model(spark, sf_dir, runs), "sampled": catalogue.model_sampled(spark, sf_dir, runs), "subsampled": catalogue.model_subsampled(spark, sf_dir, runs=runs),
+              "heavy": catalogue.model_subsampled(spark, sf_dir, "heavy", runs=runs), "storage": catalogue.model_storage(spark, sf_dir, runs)}
+    for table, got in tables.items():
+        for r in (x.asDict() for x in got.collect()):
+            key = " ".join(filter(None, (r.get("stream") or r.get("method"), f"P={r['rate']:g} m={r['m']}", f"u={r['u']}" if r.get("u") else None)))
+            accuracy.setdefault(table, {})[key] = {k: round(r[k], 5) for k in ("bias", "variance", "analysis", "published_bias", "published_simulation") if r.get(k) is not None}
     took["model_tables"] = round(time.perf_counter() - start, 3)
     print(json.dumps({"metric": "headline queries, second run, sum", "value": round(sum(took.values()), 3), "unit": "sec", "queries": took, "sf": sf_dir.rstrip("/").rpartition("sf")[2], "runs": runs, "accuracy": accuracy,
                       "rows_per_sec_full_stream": {k: round(rows / took[k]) for k in ("fast_m1", "fast_m2", "fast_full", "builtin_full")},
