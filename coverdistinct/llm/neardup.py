@@ -20,7 +20,7 @@
    within the family), it gets a reference of its own, and so on: the work grows with the
    members, not with their pairs.  No list is capped.
 4. The union sketch of a pair estimates its similarity and drops hopeless pairs;
-   the rest is confirmed on full sets.  Components of the confirmed links follow by
+   the rest is confirmed on full sets, which only documents of the rest and of long lists get.  Components of the confirmed links follow by
    minimum labels and pointer jumping.
 """
 
@@ -43,6 +43,8 @@ VOTERS, MERGED_TURNS, TURNS = 31, 3, 12
 FARS = 128
 #: Values before its own that a list remembers of each member, so that a pair comes from one list alone.
 REMEMBERED = 64
+#: What moves texts, sketch values or full sets goes in up to so many rounds, one more for each so many rows: the disk holds the shuffle of one at a time.
+ROUNDS, ROUND_ROWS = 4, 1 << 16
 
 
 def with_sets(docs: DataFrame, n: int) -> DataFrame:
@@ -101,11 +103,27 @@ def _most_shared(x: str, y: str) -> Column:
     return 1 + F.least(F.col(f"size_{x}") - F.col(f"rank_{x}"), F.col(f"size_{y}") - F.col(f"rank_{y}"))
 
 
+def _rounds(rows: int) -> int:
+    return min(ROUNDS, 1 + rows // ROUND_ROWS)
+
+
+def _turn(c: Column, k: int, rounds: int) -> Column:
+    """Whether ``c`` belongs to round ``k``."""
+    return F.pmod(F.xxhash64(c), F.lit(rounds)) == k if rounds > 1 else F.lit(True)
+
+
+def _all(parts: list[DataFrame]) -> DataFrame:
+    out = parts[0]
+    for p in parts[1:]:
+        out = out.union(p)
+    return out
+
+
 class NearDuplicates:
     """One run over ``docs`` (doc_id, text); ``percent``: the least similarity, in hundredths."""
 
     def __init__(self, docs: DataFrame, n: int = 3, percent: int = 85):
-        self.docs, self.n, self.percent = docs.select("doc_id", "text"), n, percent
+        self.docs, self.n, self.percent, self.sets = docs.select("doc_id", "text"), n, percent, None
         self.similarity = percent / 100
 
     def _confirm(self, pairs: DataFrame) -> DataFrame:
@@ -116,7 +134,10 @@ class NearDuplicates:
                    .join(side(k, "a", ["n", "sketch"]), "a").join(side(k, "b", ["n", "sketch"]), "b")
                    .where(_sketch_passes(F.col("sketch_a"), F.col("sketch_b"), F.col("n_a"), F.col("n_b"), self.similarity))
                    .select("a", "b"))
-        return self._measure(settle(hopeful, "hopeful")).where(self._linked()).select("a", "b")
+        hopeful = settle(hopeful, "hopeful")
+        if self.sets is None:
+            self._build_sets(settle(hopeful.select(F.col("a").alias("id")).union(hopeful.select("b")).union(self.long).distinct(), "compared"))
+        return self._measure(hopeful).where(self._linked()).select("a", "b")
 
     def _alike_sizes(self, x: str, y: str) -> Column:
         return 100 * F.least(x, y) >= self.percent * F.greatest(x, y)
@@ -130,24 +151,45 @@ class NearDuplicates:
         reps = self.base.select("doc_id", "n", "u", "v", "sketch").join(
             firsts.select(F.col("id").alias("doc_id"), "n", "u", "v").hint("merge"), ["doc_id", "n", "u", "v"], "left_semi")
         reps = settle(reps.dropDuplicates(["doc_id", "n", "u", "v"]).select(F.col("doc_id").alias("id"), "n", "sketch"), "reps")
-        entries = reps.select("id", "n", F.explode("sketch").alias("value"))
-        shared = entries.groupBy("value").agg(F.count(F.lit(1)).alias("df")).where("df > 1")
-        hits = entries.join(shared.hint("merge"), "value")
+        self.rounds = _rounds(self.base.count())
         size = F.least("n", F.lit(K))
+        hits = _all([self._hits(reps, k) for k in range(self.rounds)])
         lists = _ranked(hits.withColumn("size", size), ["id", "n"]).where(F.col("rank") <= size - least_shared(F.col("n"), self.similarity) + 1)
         lists = lists.select("value", "id", "n", "size", "rank")
         lengths = lists.groupBy("value").agg(F.count(F.lit(1)).alias("m")).where("m > 1")
         self.lists = settle(lists.join(lengths.hint("merge"), "value"), "lists")
         members = settle(self.lists.select("id").distinct(), "members")
         self.sketches = settle(reps.join(members.hint("merge"), "id", "left_semi"), "member-sketches")
-        texts = self.docs.join(members.withColumnRenamed("id", "doc_id").hint("merge"), "doc_id", "left_semi")
-        self.sets = settle(with_sets(texts, self.n).withColumnRenamed("doc_id", "id"), "sets")
+        self.long = settle(self.lists.where(F.col("m") > SHORT).select("id").distinct(), "long")
+
+    def _hits(self, reps: DataFrame, k: int) -> DataFrame:
+        """Retained values of round ``k`` that several documents have, with how many (``df``)."""
+        mine = F.col("sketch") if self.rounds == 1 else F.filter("sketch", lambda v: _turn(v, k, self.rounds))
+        entries = reps.select("id", "n", F.explode(mine).alias("value"))
+        shared = entries.groupBy("value").agg(F.count(F.lit(1)).alias("df")).where("df > 1")
+        hits = entries.join(shared.hint("merge"), "value")
+        return settle(hits, "hits") if self.rounds > 1 else hits
+
+    def _build_sets(self, ids: DataFrame) -> None:
+        """The full sets of ``ids`` alone; the texts are read once a round, and meet the ids of that round."""
+        parts = []
+        for k in range(self.rounds):
+            mine = _turn(F.col("doc_id"), k, self.rounds)
+            texts = self.docs.where(mine).join(ids.withColumnRenamed("id", "doc_id").where(mine).hint("merge"), "doc_id", "left_semi")
+            parts.append(settle(with_sets(texts, self.n).withColumnRenamed("doc_id", "id"), "sets"))
+        self.sets = _all(parts)
 
     def _measure(self, pairs: DataFrame) -> DataFrame:
-        """``(a, b, n_a, n_b, both)``: shared shingles of distinct ``pairs`` on the full sets."""
-        side = lambda x: self.sets.select(F.col("id").alias(x), F.size("s").cast("long").alias(f"n_{x}"), F.col("s").alias(f"s_{x}"))
-        return (pairs.join(side("a"), "a").join(side("b"), "b")
-                .select("a", "b", "n_a", "n_b", F.size(F.array_intersect("s_a", "s_b")).cast("long").alias("both")))
+        """``(a, b, n_a, n_b, both)``: shared shingles of distinct settled ``pairs`` on the full sets, a part of all shingles in each round."""
+        rounds, parts = _rounds(pairs.count()), []
+        for k in range(rounds):
+            mine = F.col("s") if rounds == 1 else F.filter("s", lambda v: _turn(v, k, rounds))
+            side = lambda x: self.sets.select(F.col("id").alias(x), F.size("s").cast("long").alias(f"n_{x}"), mine.alias(f"s_{x}"))  # noqa: B023, E731
+            parts.append(pairs.join(side("a"), "a").join(side("b"), "b")
+                         .select("a", "b", "n_a", "n_b", F.size(F.array_intersect("s_a", "s_b")).cast("long").alias("both")))
+        if rounds == 1:
+            return parts[0]
+        return _all([settle(p, "measured") for p in parts]).groupBy("a", "b", "n_a", "n_b").agg(F.sum("both").alias("both"))
 
     def _linked(self) -> Column:
         return 100 * F.col("both") >= self.percent * (F.col("n_a") + F.col("n_b") - F.col("both"))
@@ -237,9 +279,8 @@ class NearDuplicates:
         """``(doc_id, n_shingles, component_id, kept)``, one row per row of ``docs``."""
         self._prepare()
         links = settle(self._confirm(self._short_pairs(self.lists, True)), "confirmed")
-        long_ = self.lists.where(F.col("m") > SHORT).select("id").distinct()
-        if not long_.isEmpty():
-            full = settle(self._full_lists(settle(long_, "long")), "full-lists")
+        if not self.long.isEmpty():
+            full = settle(self._full_lists(self.long), "full-lists")
             links = links.union(settle(self._confirm(self._short_pairs(full, False)), "confirmed"))
             rest, turn = full.where(F.col("m") > SHORT).select(F.lit(0).cast("long").alias("cluster"), "value", "id", F.lit(True).alias("has")), 0
             while not rest.isEmpty():

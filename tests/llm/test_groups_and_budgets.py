@@ -183,6 +183,29 @@ def test_families_within_families(spark, monkeypatch):
         check(spark, texts)
 
 
+def test_only_documents_that_sketches_leave_get_full_sets_in_rounds(spark, monkeypatch):
+    """Texts that share a short passage alone are members of lists, but need no full sets; what is moved at once is a part."""
+    monkeypatch.setattr(neardup, "ROUND_ROWS", 1)
+    rows, rounds = collections.Counter(), collections.Counter()
+    keep = neardup.settle
+
+    def counted(df, name):
+        out = keep(df, name)
+        rows[name] += out.count()
+        rounds[name] += 1
+        return out
+
+    monkeypatch.setattr(neardup, "settle", counted)
+    rng = np.random.default_rng(3)
+    passages = [[f"p{k}_{i}" for i in range(120)] for k in range(60)]
+    texts = [" ".join(passages[k % 60] + [f"u{rng.integers(1 << 30)}" for _ in range(80)]) for k in range(120)]
+    base = [f"w{i}" for i in range(150)]
+    texts += [edited(rng, base, 1) for _ in range(10)] + [edited(rng, base[:60], e) for e in (0, 0, 1, 9)]
+    check(spark, texts)
+    assert rows["members"] >= 60 and rows["sets"] <= 30
+    assert rounds["hits"] == rounds["sets"] == rounds["measured"] == neardup.ROUNDS
+
+
 def test_near_duplicates_of_odd_rows(spark, odd, none):
     out = neardup.near_duplicates(odd).collect()
     assert len(out) == odd.count() and all(r["component_id"] == r["doc_id"] for r in out if r["doc_id"] != 5 and r["doc_id"] is not None)
