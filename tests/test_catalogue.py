@@ -5,7 +5,8 @@ import math
 import duckdb
 import pytest
 
-from coverdistinct.plans import catalogue
+from coverdistinct.plans import catalogue, workloads
+from coverdistinct.sources import streams
 
 TABLES = "region nation customer supplier part orders lineitem events documents embeddings pages benchmark labels conversations".split()
 CHECKED = ["s1_bernoulli_count", "s5_stratified", "c1_exact", "c2_hll_m200", "c2_hll_m10_smallrange", "c5_bottom_m", "g1_spectrum", "g3_good_turing", "g5_unseen_truth", "r1_probe_in_sub", "r2_probe_in_sample",
@@ -52,3 +53,15 @@ def test_the_planner_of_each_rate_measures_what_it_predicts(spark, sf):
 def test_model_tables_have_published_values_beside(spark, sf):
     got = catalogue.QUERIES["w2_model"](spark, sf).collect()
     assert len(got) == 6 and all(r["published_simulation"] is not None and r["analysis"] > 0 for r in got)
+
+
+def test_counts_of_runs_give_the_probe_of_occurrences_from_one_shuffle(spark, sf):
+    rates, us = [0.3, 0.1], [7, 60, 1_000_000]
+    x = streams.load(spark, sf, "user")
+    samples, values = workloads.sampled_runs(x, rates, 3), workloads.counted_runs(x, rates, 3)
+    assert rows([r.asDict() for r in workloads._per_value(samples).collect()], ["rate", "run", "element", "k"]) == rows([r.asDict() for r in values.collect()], ["rate", "run", "element", "k"])
+    want = rows([r.asDict() for r in workloads.probe_runs(samples, us, "value_hash").collect()], ["rate", "run", "u", "p0"])
+    assert len(want) == 18 and want == rows([r.asDict() for r in workloads.probe_counted(values, us).collect()], ["rate", "run", "u", "p0"])
+    both = catalogue._sub_runs(spark, sf, "user", rates, [(20, 7)], "value_hash", 3)
+    both.collect()
+    assert "ReusedExchange" in both._jdf.queryExecution().executedPlan().toString().split("== Initial Plan ==")[0]
