@@ -65,3 +65,8 @@ def test_counts_of_runs_give_the_probe_of_occurrences_from_one_shuffle(spark, sf
     both = catalogue._sub_runs(spark, sf, "user", rates, [(20, 7)], "value_hash", 3)
     both.collect()
     assert "ReusedExchange" in both._jdf.queryExecution().executedPlan().toString().split("== Initial Plan ==")[0]
+
+
+def test_the_planned_splits_of_all_rates_come_from_one_sampling(spark, sf):
+    plan = catalogue.QUERIES["w6_storage_best"](spark, sf)._jdf.queryExecution().optimizedPlan().toString()
+    assert plan.count("Range (0, 20,") == 2  # registers and probe, which share a shuffle; two for each rate before
