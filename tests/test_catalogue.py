@@ -70,3 +70,9 @@ def test_counts_of_runs_give_the_probe_of_occurrences_from_one_shuffle(spark, sf
 def test_the_planned_splits_of_all_rates_come_from_one_sampling(spark, sf):
     plan = catalogue.QUERIES["w6_storage_best"](spark, sf)._jdf.queryExecution().optimizedPlan().toString()
     assert plan.count("Range (0, 20,") == 2  # registers and probe, which share a shuffle; two for each rate before
+
+
+def test_the_empty_sample_is_one_of_a_table(spark, sf):
+    df = catalogue.QUERIES["m1_empty"](spark, sf)
+    assert "lineitem.parquet" in df._jdf.queryExecution().executedPlan().toString()
+    assert [(r["l"], r["status"]) for r in df.collect()] == [(0, "empty_sample")]
