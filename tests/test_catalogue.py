@@ -12,7 +12,7 @@ TABLES = "region nation customer supplier part orders lineitem events documents
 CHECKED = ["s1_bernoulli_count", "s5_stratified", "c1_exact", "c2_hll_m200", "c2_hll_m10_smallrange", "c5_bottom_m", "g1_spectrum", "g3_good_turing", "g5_unseen_truth", "r1_probe_in_sub", "r2_probe_in_sample",
            "r3_probe_value_hash", "r3_probe_grouped", "m1_sampled", "m1_grouped", "m1_counters", "m1_empty", "m1_all_singletons", "m1_null_policy", "m2_sampled", "m2_grouped", "b6_skew_aware", "v_moments",
            "v_th2", "k1_best_split", "w1_naive_vs_coverage", "w10_flows_per_day", "x_rollup_registers", "x_running_registers", "x_asof_estimate", "x_outer_truth", "x_sql_functions", "t_window_sampled", "t_window_probe", "t_running", "t_sliding", "t_session",
-           "r6_reservoir", "m2_counters", "v_moments_exponential", "v_expected_subsampled", "k3_split_sampled", "w6_best_split", "x_cube_registers", "x_register_arrays", "x_set_ops_all", "x_window_ranks", "x_percentiles", "x_sql_planner", "x_pareto_grid", "t_rate_source"]
+           "r6_reservoir", "m2_counters", "v_moments_exponential", "v_expected_subsampled", "k3_split_sampled", "w6_best_split", "x_cube_registers", "x_register_arrays", "x_set_ops_all", "x_window_ranks", "x_percentiles", "x_sql_planner", "x_pareto_grid", "t_rate_source", "x_udtf_grid"]
 
 
 @pytest.fixture(scope="module")
@@ -80,3 +80,10 @@ def test_the_empty_sample_is_one_of_a_table(spark, sf):
 
 def test_the_stream_in_batches_holds_all_events(spark, sf):
     assert catalogue.QUERIES["t_rate_source"](spark, sf).first()["l"] == streams.load(spark, sf, "user").count()
+
+
+def test_the_grid_of_splits_is_one_of_tables(spark, sf):
+    got = catalogue.QUERIES["x_udtf_grid"](spark, sf)
+    plan = got._jdf.queryExecution().executedPlan().toString()
+    assert "lineitem.parquet" in plan and "orders.parquet" in plan
+    assert got.groupBy("stream", "rate").count().where("count = 198").count() == 6
